@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+from .matroska import op8_matroska
 from .packing import op4_packing
+from .warc import OP5_SQL, op5_warc
 
 
 def queries() -> dict:
-    return {"op4_packing": op4_packing}
+    return {"op4_packing": op4_packing, "op5_warc": op5_warc, "op8_matroska": op8_matroska}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op5_warc": OP5_SQL}
