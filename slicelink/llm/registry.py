@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
+from .htmltext import op9_htmltext
 from .matroska import op8_matroska
 from .packing import op4_packing
 from .warc import OP5_SQL, op5_warc
 
 
 def queries() -> dict:
-    return {"op4_packing": op4_packing, "op5_warc": op5_warc, "op8_matroska": op8_matroska}
+    return {"op4_packing": op4_packing, "op5_warc": op5_warc, "op8_matroska": op8_matroska, "op9_htmltext": op9_htmltext}
 
 
 def oracle_sql() -> dict[str, str]:
