@@ -5,11 +5,12 @@ from __future__ import annotations
 from .htmltext import op9_htmltext
 from .matroska import op8_matroska
 from .packing import op4_packing
+from .quality import op10_quality
 from .warc import OP5_SQL, op5_warc
 
 
 def queries() -> dict:
-    return {"op4_packing": op4_packing, "op5_warc": op5_warc, "op8_matroska": op8_matroska, "op9_htmltext": op9_htmltext}
+    return {"op4_packing": op4_packing, "op5_warc": op5_warc, "op8_matroska": op8_matroska, "op9_htmltext": op9_htmltext, "op10_quality": op10_quality}
 
 
 def oracle_sql() -> dict[str, str]:
