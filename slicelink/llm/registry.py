@@ -6,12 +6,13 @@ from .htmltext import op9_htmltext
 from .jaccard import op7_jaccard
 from .matroska import op8_matroska
 from .packing import op4_packing
+from .passages import op6_passages
 from .quality import op10_quality
 from .warc import OP5_SQL, op5_warc
 
 
 def queries() -> dict:
-    return {"op4_packing": op4_packing, "op5_warc": op5_warc, "op7_jaccard": op7_jaccard, "op8_matroska": op8_matroska, "op9_htmltext": op9_htmltext, "op10_quality": op10_quality}
+    return {"op4_packing": op4_packing, "op5_warc": op5_warc, "op6_passages": op6_passages, "op7_jaccard": op7_jaccard, "op8_matroska": op8_matroska, "op9_htmltext": op9_htmltext, "op10_quality": op10_quality}
 
 
 def oracle_sql() -> dict[str, str]:
