@@ -1,10 +1,75 @@
-"""The corpus pipeline: quality rules, n-gram Jaccard join, substring dedup, PII, packing."""
+"""The corpus pipeline: quality rules, n-gram Jaccard join, substring dedup, personal data, packing.
+
+Every stage takes all that the one before kept. All but the last return the columns of documents, n_chars set anew
+where a stage changes texts. Rows with a null doc_id pass the filtering stages untouched: no verdict can name them.
+"""
 
 from __future__ import annotations
 
-from slicelink.llm.common import fresh_path, ready
+from pyspark.sql import functions as F
+
+from slicelink.llm.common import fresh_path, ready, slices
+from slicelink.llm.jaccard import similar
+from slicelink.llm.packing import pack
+from slicelink.llm.passages import passages
+from slicelink.llm.pii import redact
+from slicelink.llm.quality import judge
+
+COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
+
+
+def _without(docs, ids):
+    """docs but for those whose doc_id is among ids (column doc_id)."""
+    return docs.select(COLUMNS).join(ids.select("doc_id"), "doc_id", "left_anti").select(COLUMNS)
+
+
+def quality(spark, docs, sf_dir):
+    """Rejected documents go."""
+    return _without(docs, judge(docs).where(~F.col("kept")))
+
+
+def near_duplicates(spark, docs, sf_dir):
+    """Of each group of similar documents the one with the smallest id stays."""
+    return _without(docs, similar(docs).where(F.col("class_id") != F.col("doc_id")))
+
+
+def _cut(batches):
+    import pyarrow as pa
+
+    for part in slices(batches, "text"):
+        texts = part.column(1).to_pylist()
+        for i, spans in enumerate(part.column(5).to_pylist()):
+            if spans:
+                out, at = [], 0
+                for s in sorted((x["start"], x["end"]) for x in spans):
+                    out.append(texts[i][at : max(at, s[0])])
+                    at = max(at, s[1])
+                texts[i] = "".join(out) + texts[i][at:]
+        yield part.set_column(1, "text", pa.array(texts, pa.string())).select(COLUMNS)
+
+
+def repeated_passages(spark, docs, sf_dir):
+    """A passage stays in the first document that holds it and is cut from the others; one with nothing else goes."""
+    found = passages(docs).groupBy("doc_id").agg(F.collect_set(F.struct("start", "end")).alias("spans"))  # as many as its own length allows
+    rows = docs.select(COLUMNS).join(found, "doc_id", "left")
+    kind = docs.select(COLUMNS).schema
+    cut = rows.where("spans IS NOT NULL").select(*COLUMNS, "spans").mapInArrow(_cut, kind).withColumn("n_chars", F.length("text").cast(kind["n_chars"].dataType))
+    return rows.where("spans IS NULL").select(COLUMNS).union(cut.where(F.col("text").rlike("[^ \\t\\n\\x0B\\f\\r]")))
+
+
+def personal_data(spark, docs, sf_dir):
+    """Personal data gives way to the name of its kind."""
+    out = redact(docs.select(COLUMNS))
+    return out.withColumn("n_chars", F.coalesce(F.length("text"), F.lit(0)).cast(docs.schema["n_chars"].dataType)).select(COLUMNS)
+
+
+def packing(spark, docs, sf_dir):
+    """Sequences of tokens."""
+    return pack(docs)
+
 
-STAGES: list = []
+STAGES = [("quality", quality), ("near_duplicates", near_duplicates), ("repeated_passages", repeated_passages), ("personal_data", personal_data), ("packing", packing)]
+#: Perplexities, alignments and the field's labels have no SQL; tests hold every stage against a plain version.
 ORACLE_SQL = None
 
 
