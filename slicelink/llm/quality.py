@@ -2,10 +2,10 @@
 
 The model's units are the bytes of UTF-8, `ORDER` at a time, for each language: all languages share one alphabet, the
 table of n-grams grows with the corpus but saturates, and a key packs its n-gram without collisions. Tasks count their
-own n-grams in sorted arrays, Spark sums the counts and computes continuation counts, the three discounts of every
-order, interpolation weights and probabilities in SQL. Scoring reads the model as sorted arrays of keys, broadcast
-while it has at most `most` entries; beyond that the texts' n-gram counts are joined to the model's table by shuffle,
-with the same result. A text's perplexity is held against its language's band, set from the quartiles of all texts
+own n-grams in sorted arrays and Spark sums the counts; while there are at most `most` n-grams the driver turns
+the counts into the model (continuation counts, three discounts an order, interpolation) and broadcasts it as sorted
+arrays of keys; beyond that the model is made in SQL and joined to the texts' n-gram counts by shuffle, with the same
+result. A text's perplexity is held against its language's band, set from the quartiles of all texts
 with `LEAST_BYTES` bytes; shorter ones have too noisy a value and are judged by the base rules alone.
 
 Defined results: null text has no words, null language is the empty one; an empty text has no perplexity and fails
@@ -144,17 +144,47 @@ def kneser_ney(counts, order: int = ORDER):
 class Model:
     """Per language and order: sorted keys, log-probabilities, and back-off weights (nan: none)."""
 
-    def __init__(self, arrow: pa.Table, order: int = ORDER):
-        self.order, self.of = order, {}
-        lang = arrow.column("lang").combine_chunks().dictionary_encode()
-        lang = lang.combine_chunks() if isinstance(lang, pa.ChunkedArray) else lang
-        names, code = lang.dictionary.to_pylist(), lang.indices.to_numpy(zero_copy_only=False)
-        cols = {c: arrow.column(c).to_numpy() for c in ("n", "key", "logp", "logbow")}
-        for i, name in enumerate(names):
-            for n in range(order + 1):
-                at = np.flatnonzero((code == i) & (cols["n"] == n))
-                at = at[np.argsort(cols["key"][at])]
-                self.of[name, n] = tuple(cols[c][at] for c in ("key", "logp", "logbow"))
+    def __init__(self, of: dict, order: int = ORDER):
+        self.of, self.order = of, order
+
+    @classmethod
+    def from_counts(cls, counts: pa.Table, order: int = ORDER) -> Model:
+        """The same model as kneser_ney() gives, from lang, key, c in memory."""
+        lang = counts.column("lang").combine_chunks().dictionary_encode()
+        code = lang.indices.to_numpy(zero_copy_only=False)
+        key, c = counts.column("key").to_numpy(), counts.column("c").to_numpy()
+        of = {}
+        for i, name in enumerate(lang.dictionary.to_pylist()):
+            at = np.flatnonzero(code == i)
+            at = at[np.argsort(key[at])]
+            keys, freq = {order: key[at]}, {order: c[at]}
+            for k in range(order - 1, 0, -1):
+                keys[k], freq[k] = np.unique(keys[k + 1] & ((1 << 8 * k) - 1), return_counts=True)
+            low, weights = None, {}
+            for k in range(1, order + 1):
+                n = [int((freq[k] == j).sum()) for j in range(1, 5)]
+                y = n[0] / (n[0] + 2 * n[1]) if n[0] else 0.0
+                d = np.array([min(max(j - (j + 1) * y * (n[j] / n[j - 1] if n[j - 1] else 0.0), 0.05), j - 0.05) if n[0] and n[1] else 0.5 for j in (1, 2, 3)])
+                d = d[np.minimum(freq[k], 3) - 1]
+                ctx = keys[k] >> 8
+                first = np.flatnonzero(np.concatenate([[True], ctx[1:] != ctx[:-1]]))
+                size = np.diff(first, append=len(ctx))
+                s, ds = np.add.reduceat(freq[k].astype(np.float64), first), np.add.reduceat(d, first)
+                base = 1 / 256 if low is None else low[np.searchsorted(keys[k - 1], keys[k] & ((1 << 8 * (k - 1)) - 1))]
+                low = (freq[k] - d + np.repeat(ds, size) * base) / np.repeat(s, size)
+                weights[k - 1] = (ctx[first], np.log(ds / s))
+                of[name, k] = [keys[k], np.log(low).astype(np.float32), None]
+            of[name, 0] = [np.zeros(0, np.int64), np.zeros(0, np.float32), None]
+            for k, (ctx, bow) in weights.items():
+                if k:
+                    at = np.searchsorted(of[name, k][0], ctx)  # contexts at a text's start are no n-grams themselves
+                    at[at == len(of[name, k][0])] = 0
+                    fits = of[name, k][0][at] == ctx
+                    own = np.full(len(of[name, k][0]), np.nan, np.float32)
+                    own[at[fits]] = bow[fits]
+                    of[name, k][2] = own
+            of[name, order][2] = np.full(len(of[name, order][0]), np.nan, np.float32)
+        return cls({k: tuple(v) for k, v in of.items()}, order)
 
     def logp(self, lang: str, keys: np.ndarray) -> np.ndarray:
         """Natural log-probability of the last byte of each key, backing off where an n-gram is unseen."""
@@ -266,11 +296,12 @@ def joined_logp(docs, model, id_col: str = "doc_id", text_col: str = "text", lan
 def judge(docs, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", most: int = MOST_ENTRIES, below: float = BELOW, above: float = ABOVE):
     """One row per text: the base counts, bits a byte, perplexity, the language's band and the verdict."""
     spark = ready(docs.sparkSession)
-    model = written(kneser_ney(written(ngram_counts(docs, text_col, lang_col), "ngrams")), "model")
-    if model.count() <= most:
-        held = spark.sparkContext.broadcast(Model(model.toArrow()))
+    counts = written(ngram_counts(docs, text_col, lang_col), "ngrams")
+    if counts.count() <= most:
+        held = spark.sparkContext.broadcast(Model.from_counts(counts.toArrow()))
         scored = measures(docs, lambda: held.value, id_col, text_col, lang_col)
     else:
+        model = written(kneser_ney(counts), "model")
         scored = measures(docs, None, id_col, text_col, lang_col).drop("logp").join(joined_logp(docs, model, id_col, text_col, lang_col), "doc_id", "left")
     scored = written(scored.withColumn("bits", F.when(F.col("n_bytes") > 0, -F.col("logp") / F.log(F.lit(2.0)) / F.col("n_bytes"))).drop("logp"), "scored")
     q = F.percentile_approx("bits", F.array(*map(F.lit, (0.25, 0.5, 0.75))), 1000)
