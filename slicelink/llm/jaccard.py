@@ -184,12 +184,13 @@ def similar(docs, similarity: float = SIMILARITY, recall: float = RECALL, id_col
     first = sketch.where("n_shingles > 0").join(same.select(F.col("r").alias("doc_id")).distinct(), "doc_id", "left_semi")
     inside = first.select("doc_id", F.explode("paths").alias("p"))
     heads = inside.groupBy("p").agg(F.min("doc_id").alias("m"), F.count("*").alias("n")).where("n > 1").select("p", "m")
-    edges = inside.join(heads, "p").where("doc_id <> m").select(F.col("doc_id").alias("a"), F.col("m").alias("b")).distinct()
+    # merge joins at every size: what is small here grows with the input
+    edges = inside.join(heads.hint("merge"), "p").where("doc_id <> m").select(F.col("doc_id").alias("a"), F.col("m").alias("b")).distinct()
     group = components(edges)
     size = group.groupBy("c").agg(F.count("*").alias("k"))
     own = group.join(size, "c").select("v", "c", F.ceil(F.col("k") / BLOCK).cast("int").alias("nb"))
     own = own.withColumn("b", F.pmod(F.xxhash64("v"), F.col("nb")).cast("int"))
-    rows = texts.join(own, F.col("i") == F.col("v"))
+    rows = texts.join(own.hint("merge"), F.col("i") == F.col("v"))
     rows = rows.select("c", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)).alias("o"), "b", "i", F.coalesce("t", F.lit("")).alias("t"))
     rows = rows.select("c", F.least("b", "o").alias("x"), F.greatest("b", "o").alias("y"), "b", "i", "t")
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
