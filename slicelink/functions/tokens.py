@@ -5,6 +5,7 @@ from __future__ import annotations
 import re
 from collections import Counter
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -76,7 +77,6 @@ def train_bpe(df: DataFrame, text_col: str, vocab: int = 200) -> Merges:
 
 def bpe_counter(merges: Merges):
     """An Arrow-batched function of a text column."""
-    import pandas as pd
 
     @F.pandas_udf(T.IntegerType())
     def bpe_count(texts: pd.Series) -> pd.Series:

@@ -19,7 +19,8 @@ def _finish(df: DataFrame, variant: str, kind: str, user: Column, assistant: Col
     return out.withColumn("label_tokens", tokens.count("assistant", count)).withColumn("n_tokens", whole + F.col("label_tokens"))
 
 
-_NO_HISTORY = F.array().cast("array<string>")
+def _none() -> Column:
+    return F.array().cast("array<string>")
 
 
 def _whole(qa: DataFrame, catalog: DataFrame) -> DataFrame:
@@ -66,13 +67,13 @@ def sliced(qa: DataFrame, slices: DataFrame, catalog: DataFrame, history: str =
     rows = steps(qa, slices).select("qid", "db_id", "question", "gold_tables", F.inline("steps"))
     if emission == "per_table":
         rows = rows.withColumn("own", F.explode("gold_tables"))
-        rows = rows.withColumn("target", F.when(F.array_contains("target", F.col("own")), F.array("own")).otherwise(_NO_HISTORY)).drop("own")
+        rows = rows.withColumn("target", F.when(F.array_contains("target", F.col("own")), F.array("own")).otherwise(_none())).drop("own")
     rows = rows.withColumn("weight", F.lit(1.0))
     positive = F.size("target") > 0
     if history == "none":
-        rows = rows.withColumn("history", _NO_HISTORY)
+        rows = rows.withColumn("history", _none())
     if balance == "double_positive":
-        copies = F.when(positive, F.array(F.col("history"), _NO_HISTORY)).otherwise(F.array(F.col("history")))
+        copies = F.when(positive, F.array(F.col("history"), _none())).otherwise(F.array(F.col("history")))
         rows = rows.select(*[c for c in rows.columns if c != "history"], F.posexplode(copies).alias("copy", "history"))
     elif balance == "weight":
         rows = rows.withColumn("weight", F.when(positive, 2.0).otherwise(1.0))
@@ -92,7 +93,7 @@ def slice_texts(slices: DataFrame, catalog: DataFrame) -> DataFrame:
 
 def sql_pipeline(qa: DataFrame, pred: DataFrame, catalog: DataFrame, union: str = "both") -> DataFrame:
     """(question, predicted and gold tables' descriptions) -> gold SQL; union gold or pred: only those."""
-    df = qa.join(pred.select("qid", "pred_tables"), "qid", "left").withColumn("pred_tables", F.coalesce("pred_tables", _NO_HISTORY))
+    df = qa.join(pred.select("qid", "pred_tables"), "qid", "left").withColumn("pred_tables", F.coalesce("pred_tables", _none()))
     used = {"both": F.array_union("pred_tables", "gold_tables"), "gold": F.col("gold_tables"), "pred": F.col("pred_tables")}[union]
     texts = df.select("qid", "db_id", F.explode(used).alias("table_name")).join(catalog.select("db_id", "table_name", "text"), ["db_id", "table_name"])
     schema = texts.groupBy("qid").agg(F.array_join(F.array_sort(F.collect_list("text")), "; ").alias("schema"))
