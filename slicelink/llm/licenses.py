@@ -12,6 +12,9 @@ further columns are ignored.
 
 from __future__ import annotations
 
+import math
+import re
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -51,29 +54,37 @@ def units(files: DataFrame) -> DataFrame:
     return lines.union(whole)
 
 
+def template_weights(total: int, df: dict[str, int]) -> list[tuple[str, str, float]]:
+    """(term, template, weight) of the templates' unit vectors; their number is bounded by TEMPLATES."""
+    out = []
+    for name, texts in TEMPLATES.items():
+        for i, t in enumerate(texts):
+            tf: dict[str, int] = {}
+            for term in re.findall("[a-z0-9]+", t.lower()):
+                tf[term] = tf.get(term, 0) + 1
+            w = {term: n * (math.log((1.0 + total) / (1.0 + df.get(term, 0))) + 1.0) for term, n in tf.items()}
+            norm = math.sqrt(sum(x * x for x in w.values()))
+            out += [(term, f"{name}#{i}", x / norm) for term, x in w.items()]
+    return out
+
+
 def own_licenses(files: DataFrame, least: float = LEAST) -> DataFrame:
     """id, license, cosine of the files that name a licence."""
     spark = files.sparkSession
     found = written(units(files), "units")
-    counts = found.select("id", "unit", F.explode("terms").alias("term")).groupBy("id", "unit", "term").agg(F.count("*").alias("tf"))
-    total = found.agg(F.count("*").alias("total"))
+    total = found.count()
+    counts = written(found.select("id", "unit", F.explode("terms").alias("term")).groupBy("id", "unit", "term").agg(F.count("*").alias("tf")), "terms")
     df = counts.groupBy("term").agg(F.count("*").alias("df"))
-    idf = df.crossJoin(F.broadcast(total)).select("term", (F.log((1.0 + F.col("total")) / (1.0 + F.col("df"))) + 1.0).alias("idf"))  # total is one row
-    rows = [(k, i, t) for k, v in TEMPLATES.items() for i, t in enumerate(v)]
-    known = spark.createDataFrame(rows, "license string, variant int, t string").select("license", "variant", F.explode(_terms(F.col("t"))).alias("term"))
-    known = known.groupBy("license", "variant", "term").agg(F.count("*").alias("ttf"))
-    # a template term that the corpus lacks has df 0
-    known = known.join(idf, "term", "left").crossJoin(F.broadcast(total))
-    known = known.select("license", "variant", "term", (F.col("ttf") * F.coalesce("idf", F.log(1.0 + F.col("total")) + 1.0)).alias("tw"))
-    size = known.groupBy("license", "variant").agg(F.sqrt(F.sum(F.col("tw") * F.col("tw"))).alias("tn"))
-    known = known.join(F.broadcast(size), ["license", "variant"])  # a few hundred rows, by the length of TEMPLATES
-    weights = counts.join(idf, "term").select("id", "unit", "term", (F.col("tf") * F.col("idf")).alias("w"))
+    names = sorted({x for v in TEMPLATES.values() for t in v for x in re.findall("[a-z0-9]+", t.lower())})
+    own = {r.term: r.df for r in df.where(F.col("term").isin(names)).collect()}  # a row for each template term
+    known = spark.createDataFrame(template_weights(total, own), "term string, template string, tw double")
+    idf = F.log(F.lit(1.0 + total) / (1.0 + F.col("df"))) + 1.0
+    weights = written(counts.join(df, "term").select("id", "unit", "term", (F.col("tf") * idf).alias("w")), "weights")
     norm = weights.groupBy("id", "unit").agg(F.sqrt(F.sum(F.col("w") * F.col("w"))).alias("n"))
-    dots = weights.join(F.broadcast(known), "term").groupBy("id", "unit", "license", "variant").agg((F.sum(F.col("w") * F.col("tw")) / F.max("tn")).alias("dot"))
-    cosine = dots.join(norm, ["id", "unit"]).select("id", "license", F.round(F.col("dot") / F.col("n"), 6).alias("cosine"))
-    best = cosine.groupBy("id", "license").agg(F.max("cosine").alias("cosine")).where(F.col("cosine") >= least)
-    top = best.groupBy("id").agg(F.max("cosine").alias("cosine"))
-    return best.join(top, ["id", "cosine"]).groupBy("id", "cosine").agg(F.min("license").alias("license")).select("id", "license", "cosine")
+    dots = weights.join(F.broadcast(known), "term").groupBy("id", "unit", "template").agg(F.sum(F.col("w") * F.col("tw")).alias("dot"))
+    cosine = dots.join(norm, ["id", "unit"]).select("id", F.substring_index("template", "#", 1).alias("license"), F.round(F.col("dot") / F.col("n"), 6).alias("cosine")).where(F.col("cosine") >= least)
+    best = cosine.groupBy("id").agg(F.min(F.struct((-F.col("cosine")).alias("c"), "license")).alias("b"))
+    return best.select("id", F.col("b.license").alias("license"), (-F.col("b.c")).alias("cosine"))
 
 
 def scan(docs: DataFrame, id_col: str = "doc_id", path_col: str = "path", text_col: str = "text", least: float = LEAST) -> DataFrame:
@@ -90,7 +101,7 @@ def scan(docs: DataFrame, id_col: str = "doc_id", path_col: str = "path", text_c
     parts = F.split("dir", "/")
     above = dirs.select("dir", F.explode(F.sequence(F.lit(0), F.size(parts))).alias("depth"), parts.alias("parts"))
     above = above.select("dir", "depth", F.array_join(F.slice("parts", F.lit(1), F.col("depth")), "/").alias("up")).where((F.col("depth") > 0) | (F.col("dir") != ""))
-    near = above.join(held.withColumnRenamed("dir", "up"), "up").groupBy("dir").agg(F.max_by("inherited", "depth").alias("inherited"), F.max_by("up", "depth").alias("license_dir"))
+    near = written(above.join(held.withColumnRenamed("dir", "up"), "up").groupBy("dir").agg(F.max_by("inherited", "depth").alias("inherited"), F.max_by("up", "depth").alias("license_dir")), "near")
     out = slim.join(own, "id", "left").join(near, "dir", "left")
     basis = F.when(F.col("license").isNotNull(), "header").when(F.col("inherited").isNotNull(), "directory").otherwise("none")
     return out.select(F.col("id").alias("doc_id"), "path", F.coalesce("license", "inherited").alias("license"), "cosine", basis.alias("basis"), F.when(F.col("license").isNull(), F.col("license_dir")).alias("license_dir"))
