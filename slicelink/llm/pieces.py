@@ -34,7 +34,7 @@ def suffix_array(text: np.ndarray, depth: int) -> np.ndarray:
     key = np.zeros(n, np.int64)
     for k in range(step):
         key <<= bits
-        key[: n - k] |= text[k:]
+        key[: max(0, n - k)] |= text[k:]
     order = np.argsort(key)
     while step < depth:
         new = np.ones(n, np.int64)
@@ -42,7 +42,7 @@ def suffix_array(text: np.ndarray, depth: int) -> np.ndarray:
         rank = np.empty(n, np.int64)
         rank[order] = np.cumsum(new)
         key = rank * (n + 1)
-        key[: n - step] += rank[step:]
+        key[: max(0, n - step)] += rank[step:]
         order = np.argsort(key)
         step *= 2
     return order
