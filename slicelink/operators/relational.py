@@ -106,9 +106,9 @@ def join_semi(spark, sf):
     return c.join(o, c.c_custkey == o.o_custkey, "left_semi").select("c_custkey")
 
 
-@op("SELECT c_custkey FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey)")
+@op("SELECT c_custkey FROM customer WHERE NOT EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_totalprice > 300000)")
 def join_anti(spark, sf):
-    c, o = t(spark, sf, "customer"), t(spark, sf, "orders")
+    c, o = t(spark, sf, "customer"), t(spark, sf, "orders").where("o_totalprice > 300000")
     return c.join(o, c.c_custkey == o.o_custkey, "left_anti").select("c_custkey")
 
 
@@ -162,7 +162,7 @@ def join_salted(spark, sf):
     return salted_join(x, t(spark, sf, "supplier").select(F.col("s_suppkey").alias("k"), "s_nationkey"), "k").groupBy("s_nationkey").agg(F.count("*").alias("n"), F.sum("l_quantity").alias("q"))
 
 
-@op("SELECT l_returnflag, l_linestatus, count(*) AS n, sum(l_quantity) AS q, round(avg(l_discount), 6) AS d, min(l_tax) AS lo, max(l_tax) AS hi, round(stddev(l_quantity), 4) AS s, count_if(l_quantity > 25) AS many FROM lineitem GROUP BY ALL")
+@op("SELECT l_returnflag, l_linestatus, count(*) AS n, sum(l_quantity) AS q, round(avg(l_discount), 6) AS d, min(l_tax) AS lo, max(l_tax) AS hi, round(stddev(l_quantity), 4) AS s, count_if(l_quantity > 25)::BIGINT AS many FROM lineitem GROUP BY ALL")
 def aggregate(spark, sf):
     return t(spark, sf, "lineitem").groupBy("l_returnflag", "l_linestatus").agg(F.count("*").alias("n"), F.sum("l_quantity").alias("q"), F.round(F.avg("l_discount"), 6).alias("d"), F.min("l_tax").alias("lo"), F.max("l_tax").alias("hi"), F.round(F.stddev("l_quantity"), 4).alias("s"), F.count_if(F.col("l_quantity") > 25).alias("many"))
 
@@ -204,7 +204,7 @@ def grouping_sets(spark, sf):
     return t(spark, sf, "part").groupingSets([["p_brand"], ["p_size"]], "p_brand", "p_size").agg(F.count("*").alias("n"))
 
 
-@op("SELECT o_orderpriority, count_if(o_orderstatus = 'F') AS f, count_if(o_orderstatus = 'O') AS o, count_if(o_orderstatus = 'P') AS p FROM orders GROUP BY 1")
+@op("SELECT o_orderpriority, count_if(o_orderstatus = 'F')::BIGINT AS f, count_if(o_orderstatus = 'O')::BIGINT AS o, count_if(o_orderstatus = 'P')::BIGINT AS p FROM orders GROUP BY 1")
 def pivot(spark, sf):
     return t(spark, sf, "orders").groupBy("o_orderpriority").pivot("o_orderstatus", ["F", "O", "P"]).count().na.fill(0).withColumnsRenamed({"F": "f", "O": "o", "P": "p"})
 

@@ -89,6 +89,18 @@ def fk_edges(catalog: DataFrame) -> DataFrame:
     return catalog.select("db_id", "table_name", F.explode("fks").alias("k")).select("db_id", "table_name", F.array_join("k.cols", "+").alias("cols"), F.col("k.ref_table").alias("ref_table"), F.array_join("k.ref_cols", "+").alias("ref_cols"))
 
 
+def prune_columns(chosen: DataFrame, catalog: DataFrame, words_of) -> DataFrame:
+    """qid, table_name, columns kept of chosen tables (qid, db_id, question, table_name): keys, and those that share a word with the question.
+
+    words_of: text column -> array of its words.
+    """
+    keys = F.flatten(F.transform(F.coalesce("fks", F.array().cast(f"array<{FK}>")), lambda k: k["cols"]))
+    rows = chosen.join(catalog.select("db_id", "table_name", "columns", keys.alias("keys")), ["db_id", "table_name"]).withColumn("q", words_of(F.col("question")))
+    named = lambda c: F.arrays_overlap(words_of(F.regexp_replace(c["name"], "_", " ")), F.col("q"))
+    kept = F.filter("columns", lambda c: F.array_contains("keys", c["name"]) | c["name"].endswith("key") | c["name"].endswith("_id") | named(c))
+    return rows.select("qid", "table_name", F.transform(kept, lambda c: c["name"]).alias("columns"))
+
+
 # --- keys found in data
 
 

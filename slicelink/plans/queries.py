@@ -433,6 +433,11 @@ def vote_of_three(spark, sf):
 VOTE_SQL = sql("SELECT q.qid, coalesce(string_agg(t, ',' ORDER BY t), '') AS pred FROM qa q LEFT JOIN (SELECT qid, t FROM (SELECT qid, unnest(pred) AS t FROM p1 UNION ALL SELECT qid, unnest(pred) FROM p2 UNION ALL SELECT qid, unnest(pred) FROM p3) GROUP BY qid, t HAVING count(*) >= 2) USING (qid) GROUP BY q.qid", CAT, QA_SQL, *(_noisy(s, 20, 20).replace("names AS", f"names{s} AS").replace("FROM qa, names)", f"FROM qa, names{s})").replace("pred AS (SELECT qid, question", f"p{s} AS (SELECT qid, question") for s in (1, 2, 3)))
 
 
+def prune_columns(spark, sf):
+    qa = _qa(spark).select("qid", "db_id", "question", F.explode("gold_tables").alias("table_name"))
+    return C.prune_columns(qa, _base(spark, sf), linkers.word_list).select("qid", "table_name", F.array_join("columns", ",").alias("columns"))
+
+
 def execution_accuracy(spark, sf):
     from .sqlgen import NoisyGenerator
 
@@ -548,19 +553,31 @@ def queries() -> dict:
         catalog_columns, render_schema, fk_inclusion_exact, fk_inclusion_sketch, unique_columns, token_count_word, token_count_char4, token_count_bpe, reference_split, correlation_groups, correlation_groups_by_joins, correlation_groups_per_fk,
         slice_order, pack_slices, pack_slices_small, pack_slices_group_boundary, pack_first_fit, pack_split_columns, slice_coverage, slice_cap_sweep, cap_search, qa_split, workload_sizes, difficulty_levels, examples_full, examples_names_only,
         examples_sql_direct, examples_sliced_nohist, examples_sliced_hist, examples_balanced, examples_weighted, examples_per_table, examples_sql_union, token_report, memory_fit, time_fit, budget_gate, budget_caps, infer_lexical_once,
-        infer_lexical_sliced, infer_lexical_fold, infer_cap_sweep, noisy_oracle_predictions, link_scores, link_scores_by_difficulty_cube, link_intervals, paired_mcnemar, vote_of_three, execution_accuracy, logical_match, docs_pack, passage_link,
+        infer_lexical_sliced, infer_lexical_fold, infer_cap_sweep, noisy_oracle_predictions, link_scores, link_scores_by_difficulty_cube, link_intervals, paired_mcnemar, vote_of_three, prune_columns, execution_accuracy, logical_match, docs_pack, passage_link,
         dense_link_topk, host_groups, label_balance, conversation_history, cost_tradeoff, published_saving, exp_methods, exp_train_granularity, exp_history, exp_infer_granularity, exp_end_to_end,
     ]
     return {f.__name__: f for f in names}
 
 
-_FKTEXT = "coalesce((SELECT string_agg('fk(' || col || '->' || ref_table || '.' || ref_col || ')', ', ') FROM fk WHERE fk.table_name = c.table_name), '')"
+RENDER_SQL = sql("""SELECT c.table_name, c.table_name AS names, c.table_name || '(' || string_agg(column_name, ', ' ORDER BY pos) || ')' AS columns, any_value(t.text) AS types,
+  any_value(substr(t.text, 1, length(t.text) - 1) || coalesce((SELECT ', ' || string_agg('fk(' || col || '->' || ref_table || '.' || ref_col || ')', ', ' ORDER BY col) FROM fk WHERE fk.table_name = c.table_name), '') || ')') AS keys
+FROM cols c JOIN tok t USING (table_name) GROUP BY c.table_name""", CAT)
+_TOTAL = "(len(list_filter(pred, lambda t: NOT list_contains(gold, t))) = 0 AND len(list_filter(gold, lambda t: NOT list_contains(pred, t))) = 0)::INT"
+_SECOND = _noisy(2, 30, 5).replace("names AS", "names2 AS").replace("FROM qa, names)", "FROM qa, names2)").replace("pred AS (SELECT qid, question", "pred2 AS (SELECT qid, question")
+PAIRED_SQL = sql(f"""SELECT n, only_a, only_b, CASE WHEN only_a + only_b > 0 THEN round(greatest(abs(only_a - only_b) - 1, 0)::DOUBLE * greatest(abs(only_a - only_b) - 1, 0) / (only_a + only_b), 4) ELSE 0.0 END AS chi2
+FROM (SELECT count(*) AS n, count(*) FILTER (WHERE x > y) AS only_a, count(*) FILTER (WHERE x < y) AS only_b FROM (SELECT qid, {_TOTAL} AS x FROM pred) a JOIN (SELECT qid, {_TOTAL} AS y FROM pred2) b USING (qid))""", CAT, QA_SQL, _noisy(1, 15, 15), _SECOND)
+
+
+def _tradeoff_sql(caps):
+    m, t = experiments.memory(1), cost.TimeModel.fit(cost.TIME_POINTS[1])
+    one = " UNION ALL ".join(f"SELECT {c} AS cap, max(slice_id)::BIGINT AS n_slices FROM pk{c}" for c in caps)
+    return sql(f"SELECT cap, n_slices, round({m.base!r}::DOUBLE + {2 * m.per_token!r}::DOUBLE * cap, 1) AS est_mb, round({t.fixed!r}::DOUBLE + {t.per_call!r}::DOUBLE * n_slices, 3) AS est_s FROM ({one})", CAT, GRP, *(packed(c, f"pk{c}") for c in caps))
 
 
 def oracle_sql() -> dict[str, str]:
     return {
         "catalog_columns": f"WITH {COLS} SELECT table_name, pos, column_name, type FROM cols",
-        "fk_inclusion_exact": FK_SQL, "unique_columns": UNIQUE_SQL,
+        "render_schema": RENDER_SQL, "paired_mcnemar": PAIRED_SQL, "cost_tradeoff": _tradeoff_sql([50, 100, 200, 315]), "fk_inclusion_exact": FK_SQL, "unique_columns": UNIQUE_SQL,
         "token_count_word": sql("SELECT table_name, n_tokens FROM tok", CAT), "token_count_char4": sql("SELECT table_name, ceil(length(text) / 4.0)::INT AS n_tokens FROM tok", CAT),
         "reference_split": sql("SELECT t.table_name, tied.table_name IS NOT NULL AS has_reference FROM tok t LEFT JOIN tied USING (table_name)", CAT, GRP),
         "correlation_groups": sql("SELECT * FROM grp", CAT, GRP), "correlation_groups_by_joins": sql("SELECT * FROM grp", CAT, GRP),
