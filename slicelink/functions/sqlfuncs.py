@@ -26,5 +26,5 @@ def register(spark: SparkSession) -> None:
     """token_count(text), link_f1(pred, gold) as SQL functions, pack_slices(tables, tokens, cap) as a table function."""
     pattern = WORD.replace("\\", "\\\\").replace("'", "\\'")
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION token_count(t STRING) RETURNS INT RETURN size(regexp_extract_all(t, '{pattern}', 0))")
-    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION link_f1(p ARRAY<STRING>, g ARRAY<STRING>) RETURNS DOUBLE RETURN CASE WHEN size(p) + size(g) = 0 THEN 1.0 ELSE 2.0 * size(array_intersect(p, g)) / (size(p) + size(g)) END")
+    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION link_f1(p ARRAY<STRING>, g ARRAY<STRING>) RETURNS DOUBLE RETURN CASE WHEN size(p) + size(g) = 0 THEN 1D ELSE 2D * size(array_intersect(p, g)) / (size(p) + size(g)) END")
     spark.udtf.register("pack_slices", PackSlices)
