@@ -174,7 +174,7 @@ class Model:
                 low = (freq[k] - d + np.repeat(ds, size) * base) / np.repeat(s, size)
                 weights[k - 1] = (ctx[first], np.log(ds / s))
                 of[name, k] = [keys[k], np.log(low).astype(np.float32), None]
-            of[name, 0] = [np.zeros(0, np.int64), np.zeros(0, np.float32), None]
+            of[name, 0] = [np.zeros(1, np.int64), np.full(1, np.nan, np.float32), weights[0][1].astype(np.float32)]
             for k, (ctx, bow) in weights.items():
                 if k:
                     at = np.searchsorted(of[name, k][0], ctx)  # contexts at a text's start are no n-grams themselves
