@@ -20,7 +20,8 @@ COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
 def _without(docs, ids):
     """docs but for those whose doc_id is among ids (column doc_id)."""
-    return docs.select(COLUMNS).join(ids.select("doc_id"), "doc_id", "left_anti").select(COLUMNS)
+    # a merge join at every size: ids grow with the input
+    return docs.select(COLUMNS).join(ids.select("doc_id").hint("merge"), "doc_id", "left_anti").select(COLUMNS)
 
 
 def quality(spark, docs, sf_dir):
@@ -51,7 +52,7 @@ def _cut(batches):
 def repeated_passages(spark, docs, sf_dir):
     """A passage stays in the first document that holds it and is cut from the others; one with nothing else goes."""
     found = passages(docs).groupBy("doc_id").agg(F.collect_set(F.struct("start", "end")).alias("spans"))  # as many as its own length allows
-    rows = docs.select(COLUMNS).join(found, "doc_id", "left")
+    rows = docs.select(COLUMNS).join(found.hint("merge"), "doc_id", "left")
     kind = docs.select(COLUMNS).schema
     cut = rows.where("spans IS NOT NULL").select(*COLUMNS, "spans").mapInArrow(_cut, kind).withColumn("n_chars", F.length("text").cast(kind["n_chars"].dataType))
     return rows.where("spans IS NULL").select(COLUMNS).union(cut.where(F.col("text").rlike("[^ \\t\\n\\x0B\\f\\r]")))
