@@ -105,7 +105,7 @@ class PairLogit:
 
     context_window = 100_000
 
-    def __init__(self, reg: float = 1e-4, iters: int = 40, threshold: float = 0.5):
+    def __init__(self, reg: float = 1e-4, iters: int = 15, threshold: float = 0.5):
         self.reg, self.iters, self.threshold, self.w, self.b = reg, iters, threshold, np.zeros(len(NUMERIC)), 0.0
 
     def fit(self, rows: DataFrame, seed: int = 1) -> PairLogit:
