@@ -64,7 +64,7 @@ def tuned(model: str, rows: DataFrame, epochs: int, steps: int):
 class Lab:
     """Trains each (model, slices, history) once."""
 
-    def __init__(self, s: Setting, epochs: int | None = None, steps: int = 6):
+    def __init__(self, s: Setting, epochs: int | None = None, steps: int = 8):
         self.s, self.epochs, self.steps, self.made = s, epochs or (2 if s.which == 1 else 3), steps, {}
 
     def shelf(self, method: str, wanted: int):

@@ -127,7 +127,7 @@ class LowRankConfig:
 
     published = {"rank": 64, "alpha": 32, "lr": 1e-5}
 
-    def __init__(self, rank: int = 8, alpha: float = 16.0, lr: float = 0.05, dim: int = 1 << 12):
+    def __init__(self, rank: int = 8, alpha: float = 16.0, lr: float = 0.3, dim: int = 1 << 12):
         self.rank, self.alpha, self.lr, self.dim = rank, alpha, lr, dim
 
 
