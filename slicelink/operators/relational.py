@@ -118,7 +118,7 @@ def join_theta(spark, sf):
     return a.join(F.broadcast(b), (F.length("n_name") > F.length("r_name")) & (F.col("n_nationkey") > F.col("r_regionkey"))).select(F.col("n_name").alias("a"), F.col("r_name").alias("b"))  # five rows
 
 
-@op("SELECT event_id, lo FROM events JOIN (SELECT i * 25.0 AS lo, i * 25.0 + 10 AS hi FROM range(0, 40) r(i)) x ON value >= lo AND value < hi")
+@op("SELECT event_id, lo FROM events JOIN (SELECT (i * 25.0)::DOUBLE AS lo, (i * 25.0 + 10)::DOUBLE AS hi FROM range(0, 40) r(i)) x ON value >= lo AND value < hi")
 def join_range_bins(spark, sf):
     r = spark.range(40).select((F.col("id") * 25.0).alias("lo"), (F.col("id") * 25.0 + 10).alias("hi"))
     return range_join(t(spark, sf, "events").select("event_id", "value"), r, "value", "lo", "hi", 50).select("event_id", "lo")
@@ -214,7 +214,7 @@ def unpivot(spark, sf):
     return t(spark, sf, "labels").unpivot("doc_id", ["quality", "toxic"], "measure", "v")
 
 
-@op("SELECT o_orderkey, row_number() OVER w AS rn, rank() OVER v AS rk, dense_rank() OVER v AS dr, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd, ntile(4) OVER w AS nt FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_totalprice, o_orderkey), v AS (PARTITION BY o_custkey ORDER BY o_orderstatus)")
+@op("SELECT o_orderkey, (row_number() OVER w)::INT AS rn, (rank() OVER v)::INT AS rk, (dense_rank() OVER v)::INT AS dr, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd, (ntile(4) OVER w)::INT AS nt FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_totalprice, o_orderkey), v AS (PARTITION BY o_custkey ORDER BY o_orderstatus)")
 def window_ranks(spark, sf):
     w, v = Window.partitionBy("o_custkey").orderBy("o_totalprice", "o_orderkey"), Window.partitionBy("o_custkey").orderBy("o_orderstatus")
     return t(spark, sf, "orders").select("o_orderkey", F.row_number().over(w).alias("rn"), F.rank().over(v).alias("rk"), F.dense_rank().over(v).alias("dr"), F.round(F.percent_rank().over(w), 6).alias("pr"), F.round(F.cume_dist().over(w), 6).alias("cd"), F.ntile(4).over(w).alias("nt"))
@@ -278,12 +278,12 @@ def parameters(spark, sf):
     return spark.sql("SELECT o_orderkey FROM {orders} WHERE o_orderstatus = :s AND o_totalprice > :p", args={"s": "F", "p": 200000}, orders=t(spark, sf, "orders"))
 
 
-@op("SELECT c_custkey, lower(trim(c_name)) AS a, substr(c_name, 1, 3) AS b, split_part(c_name, '#', 1) AS c, regexp_extract(c_name, '([0-9]+)', 1) AS d, regexp_replace(c_name, '0+', 'o', 'g') AS e, levenshtein(c_mktsegment, 'BUILDING') AS f, translate(c_mktsegment, 'AEIOU', 'aeiou') AS g, len(regexp_extract_all(c_name, '0')) AS h FROM customer")
+@op("SELECT c_custkey, lower(trim(c_name)) AS a, substr(c_name, 1, 3) AS b, split_part(c_name, '#', 1) AS c, regexp_extract(c_name, '([0-9]+)', 1) AS d, regexp_replace(c_name, '0+', 'o', 'g') AS e, levenshtein(c_mktsegment, 'BUILDING')::INT AS f, translate(c_mktsegment, 'AEIOU', 'aeiou') AS g, len(regexp_extract_all(c_name, '0'))::INT AS h FROM customer")
 def strings(spark, sf):
     return t(spark, sf, "customer").select("c_custkey", F.lower(F.trim("c_name")).alias("a"), F.substring("c_name", 1, 3).alias("b"), F.split_part("c_name", F.lit("#"), F.lit(1)).alias("c"), F.regexp_extract("c_name", "([0-9]+)", 1).alias("d"), F.regexp_replace("c_name", "0+", "o").alias("e"), F.levenshtein("c_mktsegment", F.lit("BUILDING")).alias("f"), F.translate("c_mktsegment", "AEIOU", "aeiou").alias("g"), F.regexp_count("c_name", F.lit("0")).alias("h"))
 
 
-@op("SELECT o_orderkey, date_trunc('month', o_orderdate) AS m, year(o_orderdate) AS y, weekofyear(o_orderdate) AS w, date_diff('day', TIMESTAMP '1995-01-01', o_orderdate) AS d FROM orders")
+@op("SELECT o_orderkey, date_trunc('month', o_orderdate) AS m, year(o_orderdate)::INT AS y, weekofyear(o_orderdate)::INT AS w, date_diff('day', TIMESTAMP '1995-01-01', o_orderdate)::INT AS d FROM orders")
 def dates(spark, sf):
     d = F.col("o_orderdate")
     return t(spark, sf, "orders").select("o_orderkey", F.date_trunc("month", d).cast("timestamp_ntz").alias("m"), F.year(d).alias("y"), F.weekofyear(d).alias("w"), F.datediff(d, F.lit("1995-01-01")).alias("d"))
@@ -295,7 +295,7 @@ def numbers(spark, sf):
     return t(spark, sf, "part").select("p_partkey", F.round(p / 7, 3).alias("a"), F.ceil(p).alias("b"), F.round(F.log(p), 6).alias("c"), F.round(F.sqrt(p), 6).alias("d"), F.pmod(-F.col("p_size"), F.lit(7)).alias("e"), F.greatest("p_size", F.lit(25)).alias("f"))
 
 
-@op("SELECT doc_id, len(list_distinct(w)) AS n_words, array_to_string(list_sort(list_distinct(list_filter(w, lambda x: length(x) > 14))), ' ') AS long_words FROM (SELECT doc_id, string_split(text, ' ') AS w FROM documents WHERE doc_id < 100)")
+@op("SELECT doc_id, len(list_distinct(w))::INT AS n_words, array_to_string(list_sort(list_distinct(list_filter(w, lambda x: length(x) > 14))), ' ') AS long_words FROM (SELECT doc_id, string_split(text, ' ') AS w FROM documents WHERE doc_id < 100)")
 def arrays(spark, sf):
     w = F.split("text", " ")
     return t(spark, sf, "documents").where("doc_id < 100").select("doc_id", F.size(F.array_distinct(w)).alias("n_words"), F.array_join(F.array_sort(F.array_distinct(F.filter(w, lambda x: F.length(x) > 14))), " ").alias("long_words"))

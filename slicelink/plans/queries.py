@@ -68,7 +68,7 @@ def _lit(x) -> str:
     return "NULL" if x is None else "[" + ", ".join(f"'{v}'" for v in x) + "]" if isinstance(x, list) else str(x) if isinstance(x, (int, float)) else "'" + x.replace("'", "''") + "'"
 
 
-QA_SQL = "qa(qid, question, gold, gold_sql, difficulty) AS (VALUES " + ", ".join(f"({q[0]}, {_lit(q[2])}, {_lit(q[3])}, {_lit(q[4])}, {_lit(q[5])})" for q in SMALL_QA) + ")"
+QA_SQL = "qa(qid, question, gold, gold_sql, difficulty) AS (VALUES " + ", ".join(f"({q[0]}::BIGINT, {_lit(q[2])}, {_lit(q[3])}, {_lit(q[4])}, {_lit(q[5])})" for q in SMALL_QA) + ")"
 SL = f"{packed(CAP)}, sl AS (SELECT slice_id, list(table_name ORDER BY pos) AS tables, sum(n_tokens) AS slice_tokens FROM pk GROUP BY slice_id)"
 STEPS = f"{SL}, st AS (SELECT qid, question, gold, slice_id, list_sort(list_filter(tables, lambda t: list_contains(gold, t))) AS target FROM qa, sl), hist AS (SELECT *, (SELECT list_sort(flatten(list(b.target))) FROM st b WHERE b.qid = a.qid AND b.slice_id < a.slice_id) AS history FROM st a)"
 
@@ -525,7 +525,7 @@ def published_saving(spark, sf):
     return cost.compare(spark.createDataFrame(rows, "dataset int, model string, method string, tot_acc double, mem_mb double"))
 
 
-SAVING_SQL = "SELECT * FROM (VALUES (2, 'A', 'slice_wise', 42.23, 2.25), (2, 'B', 'slice_wise', 43.02, 2.81)) x(dataset, model, method, saving_pct, loss_points)"
+SAVING_SQL = "SELECT * FROM (VALUES (2, 'A', 'slice_wise', 42.23::DOUBLE, 2.25::DOUBLE), (2, 'B', 'slice_wise', 43.02, 2.81)) x(dataset, model, method, saving_pct, loss_points)"
 
 
 def exp_methods(spark, sf):
@@ -582,7 +582,7 @@ def oracle_sql() -> dict[str, str]:
         "reference_split": sql("SELECT t.table_name, tied.table_name IS NOT NULL AS has_reference FROM tok t LEFT JOIN tied USING (table_name)", CAT, GRP),
         "correlation_groups": sql("SELECT * FROM grp", CAT, GRP), "correlation_groups_by_joins": sql("SELECT * FROM grp", CAT, GRP),
         "correlation_groups_per_fk": sql("SELECT table_name, min(group_key) AS group_key FROM (SELECT ref_table AS group_key, table_name FROM fk UNION ALL SELECT ref_table, ref_table FROM fk) GROUP BY table_name", CAT),
-        "slice_order": sql("SELECT table_name, has_reference, group_id, pos FROM ord", CAT, GRP),
+        "slice_order": sql("SELECT table_name, has_reference, group_id::INT AS group_id, pos::INT AS pos FROM ord", CAT, GRP),
         "pack_slices": _pk_sql(CAP), "pack_slices_small": _pk_sql(50), "pack_slices_group_boundary": _pk_sql(CAP, by_group=True),
         "slice_coverage": sql("SELECT (SELECT count(*) FROM tok) AS n_tables, count(DISTINCT table_name) AS n_placed, (SELECT count(*) FROM tok) - count(DISTINCT table_name) AS n_missing, 0::BIGINT AS n_extra, count(*) - count(DISTINCT table_name) AS n_twice FROM pk", CAT, GRP, packed(CAP)),
         "slice_cap_sweep": SWEEP_SQL, "qa_split": QA_SPLIT_SQL, "workload_sizes": WORKLOAD_SQL, "difficulty_levels": DIFFICULTY_SQL,
