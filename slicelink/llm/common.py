@@ -58,7 +58,18 @@ def as_text(column: pa.Array) -> pa.Array:
     return column.fill_null("") if column.null_count else column
 
 
-def slices(batches, column: str, most: int = 4 << 20):
+def trim() -> None:
+    """Give freed memory back: workers stay alive between tasks, beside others of their executor."""
+    import ctypes
+    import ctypes.util
+
+    try:
+        ctypes.CDLL(ctypes.util.find_library("c")).malloc_trim(0)
+    except (AttributeError, OSError, TypeError):  # another C library
+        pass
+
+
+def slices(batches, column: str, most: int = 1 << 20):
     """Record batches cut so that `column` holds about `most` bytes each; one longer text makes one slice."""
     for batch in batches:
         if not batch.num_rows:
@@ -71,6 +82,8 @@ def slices(batches, column: str, most: int = 4 << 20):
             to = min(max(to, at + 1), len(text))
             yield batch.slice(at, to - at)
             at = to
+    _powers.cache_clear()
+    trim()
 
 
 def raw(text: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -95,7 +108,7 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> _U(31))
 
 
-@lru_cache(maxsize=2)
+@lru_cache(maxsize=1)
 def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     with np.errstate(over="ignore"):
         up = np.full(n, _BASE, _U)

@@ -369,7 +369,7 @@ def scan(docs, model=None, id_col: str = "doc_id", text_col: str = "text"):
     model = model or default_model()
 
     def run(batches):
-        for part in slices(batches, "t", 2 << 20):
+        for part in slices(batches, "t"):
             base, every = find(part.column(1), model)
             counts = [pa.array([sum(k == j for _, k, _ in b) for b in base], pa.int64()) for j in range(4)]
             yield pa.RecordBatch.from_arrays([part.column(0), *counts, pa.array([hashlib.sha256(joined(b).encode()).hexdigest() for b in base]), pa.array([joined(e) for e in every]), pa.array([len(e) - len(b) for b, e in zip(base, every, strict=True)], pa.int64())], names=[x.split()[0] for x in FOUND.split(", ")])
@@ -384,7 +384,7 @@ def redact(docs, text_col: str = "text", model=None):
     at = docs.columns.index(text_col)
 
     def run(batches):
-        for part in slices(batches, text_col, 2 << 20):
+        for part in slices(batches, text_col):
             column = as_text(part.column(at))
             _, every = find(column, model)
             hit = [i for i, e in enumerate(every) if e]

@@ -88,12 +88,12 @@ def ngram_counts(docs, text_col: str = "text", lang_col: str = "lang", order: in
                 keys.append(key)
                 counts.append(n)
                 size += len(key)
-            if size > 6_000_000:
+            if size > 2_000_000:
                 for lang, (keys, counts) in list(held.items()):
                     key, n = merged(keys, counts)
                     held[lang] = ([key], [n])
                 size = sum(len(k[0]) for k, _ in held.values())
-                if size > 4_000_000:
+                if size > 1_500_000:
                     yield from out()
                     size = 0
         yield from out()
@@ -252,7 +252,7 @@ def measures(docs, model_of=None, id_col: str = "doc_id", text_col: str = "text"
 
     def run(batches):
         model = model_of() if model_of else None
-        for part in slices(batches, "t", 2 << 20):
+        for part in slices(batches, "t"):
             words = Words(part.column(2))
             base = base_counts(words)
             size = words.offsets[1:] - words.offsets[:-1]
