@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from slicelink.llm.common import fresh_path, ready, slices
+from slicelink.llm.common import fresh_path, ready, slices, written
 from slicelink.llm.jaccard import similar
 from slicelink.llm.packing import pack
 from slicelink.llm.passages import passages
@@ -35,27 +35,31 @@ def near_duplicates(spark, docs, sf_dir):
 
 
 def _cut(batches):
+    """Rows (COLUMNS, spans): texts without their spans; a text that had some and has no word left goes."""
     import pyarrow as pa
 
     for part in slices(batches, "text"):
-        texts = part.column(1).to_pylist()
-        for i, spans in enumerate(part.column(5).to_pylist()):
-            if spans:
+        spans = part.column(5).to_pylist()
+        hit = [i for i, s in enumerate(spans) if s]
+        if hit:
+            texts, chars, keep = part.column(1).to_pylist(), part.column(4).to_pylist(), [True] * part.num_rows
+            for i in hit:
                 out, at = [], 0
-                for s in sorted((x["start"], x["end"]) for x in spans):
+                for s in sorted((x["start"], x["end"]) for x in spans[i]):
                     out.append(texts[i][at : max(at, s[0])])
                     at = max(at, s[1])
                 texts[i] = "".join(out) + texts[i][at:]
-        yield part.set_column(1, "text", pa.array(texts, pa.string())).select(COLUMNS)
+                chars[i], keep[i] = len(texts[i]), bool(texts[i].strip(" \t\n\x0b\x0c\r"))
+            part = part.set_column(1, "text", pa.array(texts, pa.string())).set_column(4, "n_chars", pa.array(chars, part.schema.field(4).type)).filter(pa.array(keep))
+        yield part.select(COLUMNS)
 
 
 def repeated_passages(spark, docs, sf_dir):
     """A passage stays in the first document that holds it and is cut from the others; one with nothing else goes."""
     found = passages(docs).groupBy("doc_id").agg(F.collect_set(F.struct("start", "end")).alias("spans"))  # as many as its own length allows
+    found = written(found, "spans")
     rows = docs.select(COLUMNS).join(found.hint("merge"), "doc_id", "left")
-    kind = docs.select(COLUMNS).schema
-    cut = rows.where("spans IS NOT NULL").select(*COLUMNS, "spans").mapInArrow(_cut, kind).withColumn("n_chars", F.length("text").cast(kind["n_chars"].dataType))
-    return rows.where("spans IS NULL").select(COLUMNS).union(cut.where(F.col("text").rlike("[^ \\t\\n\\x0B\\f\\r]")))
+    return rows.select(*COLUMNS, "spans").mapInArrow(_cut, docs.select(COLUMNS).schema)
 
 
 def personal_data(spark, docs, sf_dir):
