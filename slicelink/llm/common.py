@@ -37,11 +37,21 @@ def fresh_path(spark, name: str) -> str:
     return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
 
 
-def written(df, name: str):
-    """Cut the lineage: write as Parquet into the shared folder and read back."""
+FREES = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+
+def written(df, name: str, free: bool = False):
+    """Cut the lineage: write as Parquet into the shared folder and read back; with `free`, delete the shuffle files at once."""
     spark = df.sparkSession
     path = fresh_path(spark, name)
-    df.write.parquet(path)
+    before = spark.conf.get(FREES, None)
+    if free:
+        spark.conf.set(FREES, "true")
+    try:
+        df.write.parquet(path)
+    finally:
+        if free:
+            spark.conf.unset(FREES) if before is None else spark.conf.set(FREES, before)
     return spark.read.schema(df.schema).parquet(path)
 
 

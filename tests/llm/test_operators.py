@@ -251,6 +251,47 @@ def test_passages_found_and_clean_left(spark):
     assert text[1][one.start : one.end] == passage == text[0][one.source_start : one.source_end]
 
 
+def test_passages_whose_parts_stand_in_smaller_documents(spark):
+    for n in (50, 51, 60, 75, 98):
+        p = prose(n, n, 10**6).split()
+        third, half = n // 3, n // 2
+        rows = [(0, prose(40, 40, 10**6) + " " + " ".join(p[:half])), (1, " ".join(p[half:]) + " " + prose(40, 41, 10**6)), (2, prose(30, 42, 10**6) + " " + " ".join(p)), (3, " ".join(p[third : n - 5]) if n - 5 - third < 50 else prose(60, 46, 10**6)), (4, " ".join(p) + " " + prose(30, 43, 10**6))]
+        text, got = dict(rows), passages.passages(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+        assert {(r.doc_id, r.source_id, text[r.doc_id][r.start : r.end]) for r in got} == {(4, 2, " ".join(p))}
+
+
+def test_passages_every_run_is_covered(spark):
+    r = random.Random(60)
+    pool = [prose(r.randint(8, 90), 100 + i, 10**6) for i in range(14)]
+    rows = [(i, " ".join(x for _ in range(r.randint(1, 7)) for x in (r.choice(pool), prose(r.randint(0, 12), r.randrange(10**6), 10**6)))) for i in range(60)]
+    seen, covered = {}, defaultdict(list)
+    for x in passages.passages(spark.createDataFrame(rows, "doc_id long, text string").repartition(3)).collect():
+        assert x.source_id < x.doc_id
+        covered[x.doc_id].append((x.start, x.end))
+    missed = 0
+    for d, t in rows:
+        w = [m.span() for m in re.finditer(WORD, t)]
+        for i in range(len(w) - 49):
+            run = tuple(t[a:z] for a, z in w[i : i + 50])
+            if seen.setdefault(run, d) != d:
+                missed += not any(a <= w[i][0] and w[i + 49][1] <= z for a, z in covered[d])
+    assert missed == 0
+
+
+def test_passage_links_do_not_depend_on_batches():
+    r = random.Random(61)
+    texts = [" ".join(prose(r.randint(20, 70), r.randrange(4), 10**6) for _ in range(3)) for _ in range(30)]
+
+    class Docs:
+        def mapInArrow(self, run, _):  # noqa: N802
+            return pa.Table.from_batches(run([pa.RecordBatch.from_arrays([pa.array(range(30)), pa.array(texts)], names=["doc", "t"])]))
+
+    found = passages.seeds(Docs()).sort_by([("h", "ascending"), ("doc", "ascending"), ("pos", "ascending")]).combine_chunks()
+    got = [{x for b in passages._linked(found.to_batches(max_chunksize=n)) for x in zip(*(c.to_pylist() for c in b.columns), strict=True)} for n in (10**6, 7, 1)]
+    assert got[0] and all(x[:2] in {y[:2] for y in got[0]} for x in got[2])
+    assert {x[:2] for x in got[0]} == {x[:2] for x in got[1]} == {x[:2] for x in got[2]}
+
+
 def test_passages_against_all_windows(spark, sf, docs, texts):
     held = defaultdict(set)
     for d, t in texts.items():
