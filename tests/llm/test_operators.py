@@ -260,6 +260,15 @@ def test_passages_whose_parts_stand_in_smaller_documents(spark):
         assert {(r.doc_id, r.source_id, text[r.doc_id][r.start : r.end]) for r in got} == {(4, 2, " ".join(p))}
 
 
+def test_passages_all_places_in_a_document(spark):
+    p, often = prose(60, 70, 10**6), [prose(9, 71 + i, 10**6) for i in range(3)]
+    p = " ".join(x for i, x in enumerate(p.split()) for x in ([x, *often[i // 20].split()] if i % 20 == 9 else [x]))
+    alone = " ".join(prose(12, 80 + i, 10**6) + " " + x for i, x in enumerate(often))
+    rows = [(0, prose(30, 90, 10**6) + " " + p), (1, alone + " " + prose(20, 91, 10**6) + " " + p + " " + prose(25, 92, 10**6) + " " + p + " " + prose(20, 93, 10**6) + " " + p)]
+    text, got = dict(rows), passages.passages(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert [text[1][r.start : r.end] for r in got] == [p] * 3 and len({r.start for r in got}) == 3
+
+
 def test_passages_every_run_is_covered(spark):
     r = random.Random(60)
     pool = [prose(r.randint(8, 90), 100 + i, 10**6) for i in range(14)]
