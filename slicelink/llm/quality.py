@@ -15,6 +15,8 @@ of one language, equal verdicts; an empty table gives no rows; further columns a
 
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Window
@@ -248,7 +250,8 @@ def _again(value: np.ndarray, doc: np.ndarray, first: bool) -> np.ndarray:
 
 
 def measures(docs, model_of=None, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang"):
-    """BASE columns and, with a model (a function that gives it in a task), logp: the text's log-probability."""
+    """BASE columns and, with a model (a function that gives it in a task), logp: the text's log-probability; else key: of language and text."""
+    last = "logp double" if model_of else "key binary"
 
     def run(batches):
         model = model_of() if model_of else None
@@ -261,11 +264,16 @@ def measures(docs, model_of=None, id_col: str = "doc_id", text_col: str = "text"
                 keys, n = keys_of(words.data, words.offsets, which)
                 upto = np.concatenate([[0], np.cumsum(model.logp(lang, keys))])[np.concatenate([[0], np.cumsum(n)])]
                 logp[which] = np.diff(upto)
-            cols = [part.column(0), as_text(part.column(1)), *(pa.array(base[c]) for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")), pa.array(size), pa.array(logp)]
-            yield pa.RecordBatch.from_arrays(cols, names=[x.split()[0] for x in (BASE + ", logp double").split(", ")])
+            cols = [part.column(0), as_text(part.column(1)), *(pa.array(base[c]) for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")), pa.array(size), pa.array(logp) if model else text_keys(part.column(1), words.data, words.offsets)]
+            yield pa.RecordBatch.from_arrays(cols, names=[x.split()[0] for x in f"{BASE}, {last}".split(", ")])
 
     ready(docs.sparkSession)
-    return _rows(docs, id_col, lang_col, text_col).mapInArrow(run, BASE + ", logp double")
+    return _rows(docs, id_col, lang_col, text_col).mapInArrow(run, f"{BASE}, {last}")
+
+
+def text_keys(lang, data: np.ndarray, offsets: np.ndarray) -> pa.Array:
+    """A key of each text and its language: equal ones, equal keys, whatever their ids."""
+    return pa.array([hashlib.blake2b(data[a:z].tobytes(), digest_size=16, key=hashlib.blake2b(x.encode(), digest_size=16).digest()).digest() for x, a, z in zip(as_text(lang).to_pylist(), offsets, offsets[1:], strict=False)], pa.binary())
 
 
 def _rows(docs, id_col, lang_col, text_col):
@@ -273,7 +281,8 @@ def _rows(docs, id_col, lang_col, text_col):
 
 
 def joined_logp(docs, model, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang"):
-    """doc_id, logp by a shuffled join of n-gram counts to the model's table, for models too large to broadcast.
+    """key, logp by a shuffled join of n-gram counts to the model's table, for models too large to broadcast: the sum
+    over all texts of a key.
 
     The texts must be among those the model was counted on, so that every n-gram is in it.
     """
@@ -281,16 +290,17 @@ def joined_logp(docs, model, id_col: str = "doc_id", text_col: str = "text", lan
     def run(batches):
         for part in slices(batches, "t"):
             data, off = raw(part.column(2))
+            own = text_keys(part.column(1), data, off)
             for lang, which in _languages(part.column(1)).items():
                 for d in which.tolist():
                     key, n = counted(keys_of(data, off, np.array([d]))[0])
                     if len(key):
                         one = pa.array(np.zeros(len(key), np.int32))
-                        yield pa.RecordBatch.from_arrays([part.column(0).slice(d, 1).take(one), pa.array([lang]).take(one), pa.array(key), pa.array(n)], names=["doc_id", "lang", "key", "k"])
+                        yield pa.RecordBatch.from_arrays([own.slice(d, 1).take(one), pa.array([lang]).take(one), pa.array(key), pa.array(n)], names=["text", "lang", "key", "k"])
 
-    rows = _rows(docs, id_col, lang_col, text_col).mapInArrow(run, "doc_id long, lang string, key long, k long")
+    rows = _rows(docs, id_col, lang_col, text_col).mapInArrow(run, "text binary, lang string, key long, k long")
     top = model.where(F.col("n") == ORDER).select("lang", "key", "logp")
-    return rows.join(top, ["lang", "key"]).groupBy("doc_id").agg(F.sum(F.col("k") * F.col("logp").cast("double")).alias("logp"))
+    return rows.join(top, ["lang", "key"]).groupBy(F.col("text").alias("key")).agg(F.sum(F.col("k") * F.col("logp").cast("double")).alias("logp"))
 
 
 def judge(docs, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", most: int = MOST_ENTRIES, below: float = BELOW, above: float = ABOVE):
@@ -302,7 +312,10 @@ def judge(docs, id_col: str = "doc_id", text_col: str = "text", lang_col: str =
         scored = measures(docs, lambda: held.value, id_col, text_col, lang_col)
     else:
         model = written(kneser_ney(counts), "model")
-        scored = measures(docs, None, id_col, text_col, lang_col).drop("logp").join(joined_logp(docs, model, id_col, text_col, lang_col), "doc_id", "left")
+        scored = written(measures(docs, None, id_col, text_col, lang_col), "measured")
+        copies = scored.groupBy("key").agg(F.count("*").alias("copies"))
+        logp = joined_logp(docs, model, id_col, text_col, lang_col).join(copies, "key").select("key", (F.col("logp") / F.col("copies")).alias("logp"))
+        scored = scored.join(logp, "key", "left").drop("key")
     scored = written(scored.withColumn("bits", F.when(F.col("n_bytes") > 0, -F.col("logp") / F.log(F.lit(2.0)) / F.col("n_bytes"))).drop("logp"), "scored")
     q = F.percentile_approx("bits", F.array(*map(F.lit, (0.25, 0.5, 0.75))), 1000)
     bands = scored.where(F.col("n_bytes") >= LEAST_BYTES).groupBy("lang").agg(q.alias("q"))

@@ -477,6 +477,13 @@ def test_quality_model_both_ways(spark, docs):
     assert a == b
 
 
+def test_quality_model_both_ways_on_repeated_and_null_ids(spark, docs):
+    rows = [(r.doc_id // 2 if r.doc_id % 5 else None, r.text, r.lang) for r in docs.where("doc_id < 24").collect()]
+    some = spark.createDataFrame([*rows, *rows[:8], rows[3], (None, "", "en"), (1, None, None)], "doc_id long, text string, lang string")
+    a, b = (Counter((r.doc_id, r.n_bytes, r.bits if r.bits is None else round(r.bits, 6), r.kept) for r in quality.judge(some, most=m).collect()) for m in (quality.MOST_ENTRIES, 0))
+    assert a == b and sum(a.values()) == some.count()
+
+
 def test_kneser_ney_sums_to_one(spark, docs):
     model = quality.Model.from_counts(quality.ngram_counts(docs.where("doc_id < 25")).toArrow())
     keys = model.of["en", quality.ORDER][0]
