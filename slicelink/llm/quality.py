@@ -5,8 +5,8 @@ table of n-grams grows with the corpus but saturates, and a key packs its n-gram
 own n-grams in sorted arrays and Spark sums the counts; while there are at most `most` n-grams the driver turns
 the counts into the model (continuation counts, three discounts an order, interpolation) and broadcasts it as sorted
 arrays of keys; beyond that the model is made in SQL and joined to the texts' n-gram counts by shuffle, with the same
-result. A text's perplexity is held against its language's band, set from the quartiles of all texts
-with `LEAST_BYTES` bytes; shorter ones have too noisy a value and are judged by the base rules alone.
+result. A text's perplexity is held against its language's band, set from the quartiles of all texts and wider the
+shorter the text, whose value is the noisier.
 
 Defined results: null text has no words, null language is the empty one; an empty text has no perplexity and fails
 the base rule; a language whose quartiles coincide has a band of at least `LEAST_WIDTH` bits to each side; equal texts
@@ -25,8 +25,10 @@ from pyspark.sql import functions as F
 from .common import Words, as_text, mix, ready, raw, slices, table, written
 
 ORDER = 5
-#: A text is out where its bits a byte lie further from the median than so many times the quartile's distance.
-BELOW, ABOVE, LEAST_WIDTH, LEAST_BYTES = 8.0, 8.0, 0.25, 200
+#: A text is out where its bits a byte lie further from the median than so many times the quartile's distance, widened
+#: by sqrt(1 + LENGTH / bytes). Set so that each side takes about 0.5 % of the documents of sf0.01 that have neither
+#: more symbols than a fiftieth of their characters nor label quality 0.
+BELOW, ABOVE, LEAST_WIDTH, LENGTH = 4.0, 3.0, 0.05, 1000.0
 MOST_ENTRIES = 8_000_000
 SYMBOLS = np.zeros(256, np.int64)
 SYMBOLS[list(b"#*$%&|<>")] = 1
@@ -318,12 +320,13 @@ def judge(docs, id_col: str = "doc_id", text_col: str = "text", lang_col: str =
         scored = scored.join(logp, "key", "left").drop("key")
     scored = written(scored.withColumn("bits", F.when(F.col("n_bytes") > 0, -F.col("logp") / F.log(F.lit(2.0)) / F.col("n_bytes"))).drop("logp"), "scored")
     q = F.percentile_approx("bits", F.array(*map(F.lit, (0.25, 0.5, 0.75))), 1000)
-    bands = scored.where(F.col("n_bytes") >= LEAST_BYTES).groupBy("lang").agg(q.alias("q"))
+    bands = scored.groupBy("lang").agg(q.alias("q"))
     side = lambda a, b, k: F.greatest((F.col("q")[a] - F.col("q")[b]) * k, F.lit(LEAST_WIDTH))
-    bands = bands.select("lang", (F.col("q")[1] - side(1, 0, below)).alias("low_bits"), (F.col("q")[1] + side(2, 1, above)).alias("high_bits"))
-    out = scored.join(bands, "lang", "left")
+    bands = bands.select("lang", F.col("q")[1].alias("middle"), side(1, 0, below).alias("below"), side(2, 1, above).alias("above"))
+    wide = F.when(F.col("n_bytes") > 0, F.sqrt(1 + F.lit(LENGTH) / F.col("n_bytes")))
+    out = scored.join(bands, "lang", "left").withColumn("low_bits", F.col("middle") - F.col("below") * wide).withColumn("high_bits", F.col("middle") + F.col("above") * wide)
     failed = (F.col("n_words") < 20) | (100 * F.col("n_repeat_words") > 30 * F.col("n_words"))
-    fits = F.coalesce(F.col("bits").between(F.col("low_bits"), F.col("high_bits")) | (F.col("n_bytes") < LEAST_BYTES), F.lit(True))
+    fits = F.coalesce(F.col("bits").between(F.col("low_bits"), F.col("high_bits")), F.lit(True))
     return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", failed.alias("base_failed"), (~failed & fits).alias("kept"), "lang", "n_bytes", "bits", F.pow(F.lit(2.0), "bits").alias("perplexity"), "low_bits", "high_bits")
 
 

@@ -500,6 +500,18 @@ def test_quality_keeps_clean_and_rejects_noise(spark):
     assert all(got[i] for i, *_ in clean) and not any(got[i] for i, *_ in noise)
 
 
+def test_quality_rejects_symbol_junk_and_short_noise(spark, sf):
+    docs = spark.read.parquet(f"{sf[:-5]}0.01/documents.parquet").select("doc_id", "text", "lang")
+    r = random.Random(11)
+    noise = [(10**6 + i, " ".join("".join(chr(r.randrange(0x400, 0x2000)) for _ in range(2)) for _ in range(24)), "en") for i in range(4)]
+    assert all(len(t.encode()) < 200 for _, t, _ in noise)
+    got = [x for x in quality.judge(docs.union(spark.createDataFrame(noise, "doc_id long, text string, lang string"))).collect() if not x.base_failed]
+    symbols = [x.kept for x in got if x.n_symbols * 50 > x.word_chars and x.doc_id < 10**6]
+    clean = [x.kept for x in got if x.n_symbols * 50 <= x.word_chars and x.doc_id < 10**6]
+    assert not any(x.kept for x in got if x.doc_id >= 10**6)
+    assert sum(symbols) <= 0.7 * len(symbols) and sum(clean) >= 0.98 * len(clean)
+
+
 def test_written_tables_survive(spark):
     df = written(spark.range(5), "x")
     assert df.count() == 5 and "Scan parquet" in df._jdf.queryExecution().toString()
