@@ -3,15 +3,21 @@
 A document is the set of its five-word shingles (all words at once, where it has fewer). Exact copies are first
 collapsed to one text. A set is embedded in `COORDINATES` min-wise tokens; a run then splits the collection again and
 again: at each node two tokens are sampled, the same ones for all sets in it, and sets that share a sampled token go
-on together. After `DEPTH` splits what is left together is a bucket. A pair of similarity s is lost by a run with the
-extinction probability of that branching process, so the number of runs follows from the target recall. Buckets that
-share a document are joined to groups, and each group is compared by brute force on the exact shingle sets, in pairs
-of blocks of about `BLOCK` documents where it is large, so every pair is compared once, none is emitted, and no task
-holds more than two blocks.
+on together. After `DEPTH` splits a node with at most `BLOCK` sets is a small bucket. A larger one is compared at once
+if its sets are alike (they meet its first set in as many nodes as sets of similarity `CLOSE` do), and split `DEPTH`
+times more if not, up to `ROUNDS` times in all. A pair of similarity s is lost by a run with the extinction
+probability of that branching process, which hardly grows with depth, so the number of runs follows from the target
+recall.
+
+Small buckets are compared by brute force on the exact shingle sets: those that are tied by common sets to at most
+`BLOCK` of them in one go, others bucket by bucket, where a pair counts in the first bucket that holds both. Nodes of
+many sets that are alike are tied to dense groups, which are compared in pairs of blocks of about `BLOCK`: nearly
+every pair of them is a link that has to be counted. No pair is emitted, and no task holds more than two blocks.
 
 Defined results: null text is an empty one; texts without words have no shingles and no links, but equal ones are
-copies; copies share class and links; a link counts for different texts only; an empty table gives no rows; further
-columns are ignored.
+copies; copies share class and links; a link counts for different texts only, once for each text, whatever the ids: a
+row with a null or repeated id is judged by its text, and class_id is the smallest id that is known of the class (null
+where none is); an empty table gives no rows; further columns are ignored.
 """
 
 from __future__ import annotations
@@ -27,7 +33,7 @@ from .common import Words, mix, raw, ready, slices, table, written
 from .components import components
 
 SHINGLE, SIMILARITY, RECALL = 5, 0.8, 0.999
-COORDINATES, DEPTH, WIDTH, BLOCK = 64, 4, 2, 96
+COORDINATES, DEPTH, WIDTH, BLOCK, CLOSE, ROUNDS = 64, 4, 2, 96, 0.65, 3
 _U = np.uint64
 _XOR = mix(np.arange(1, COORDINATES + 1, dtype=_U) * _U(0x9E3779B97F4A7C15))
 _MUL = mix(_XOR) | _U(1)
@@ -66,10 +72,14 @@ def signatures(gram: np.ndarray, first: np.ndarray) -> np.ndarray:
     return out
 
 
-def paths(sig: np.ndarray, runs: int, depth: int = DEPTH, width: int = WIDTH) -> np.ndarray:
-    """The nodes a set is in after all splits of all runs: (texts, runs * width ** depth)."""
+def roots(n: int, runs: int) -> np.ndarray:
+    """The node of each run that holds everything, for n sets."""
+    return np.broadcast_to(mix(np.arange(1, runs + 1, dtype=_U) * _U(0xA24BAED4963EE407)), (n, runs))
+
+
+def paths(sig: np.ndarray, node: np.ndarray, depth: int = DEPTH, width: int = WIDTH) -> np.ndarray:
+    """The nodes a set is in after `depth` more splits of each node (texts, nodes): (texts, nodes * width ** depth)."""
     rows = np.arange(len(sig))[:, None]
-    node = np.broadcast_to(mix(np.arange(1, runs + 1, dtype=_U) * _U(0xA24BAED4963EE407)), (len(sig), runs))
     with np.errstate(over="ignore"):
         for _ in range(depth):
             parts = []
@@ -80,24 +90,95 @@ def paths(sig: np.ndarray, runs: int, depth: int = DEPTH, width: int = WIDTH) ->
     return node
 
 
-def sketches(docs, runs: int, id_col: str = "doc_id", text_col: str = "text"):
-    """doc_id, digest (of the text), n_shingles, paths."""
+SKETCH = "u long, doc_id long, digest binary, n_shingles int, sig binary"
+
+
+def sketches(docs, id_col: str = "doc_id", text_col: str = "text"):
+    """SKETCH: a number of the row (unique in a written table), its text's MD5, and the upper halves of its min-wise tokens (null without shingles)."""
 
     def run(batches):
+        from pyspark import TaskContext
+
+        u = TaskContext.get().partitionId() << 33
         for part in slices(batches, "t"):
             words = Words(part.column(1))
             gram, doc = shingles(words)
             size = np.bincount(doc, minlength=part.num_rows)
             have = np.flatnonzero(size)
-            nodes = paths(signatures(gram, np.searchsorted(doc, have)), runs) if len(have) else np.zeros((0, 0), _U)
-            offsets = np.concatenate([[0], np.cumsum(np.where(size > 0, nodes.shape[1], 0))]).astype(np.int32)
+            sig = (signatures(gram, np.searchsorted(doc, have)) >> _U(32)).astype(np.uint32) if len(have) else np.zeros((0, COORDINATES), np.uint32)
+            offsets = np.concatenate([[0], np.cumsum(np.where(size > 0, 4 * COORDINATES, 0))]).astype(np.int32)
+            sig = pa.Array.from_buffers(pa.binary(), part.num_rows, [None, pa.py_buffer(offsets), pa.py_buffer(sig.tobytes())])
             data, off = words.data, words.offsets
-            digest = [hashlib.blake2b(data[a:b], digest_size=16).digest() for a, b in zip(off[:-1].tolist(), off[1:].tolist(), strict=True)]
-            lists = pa.ListArray.from_arrays(pa.array(offsets), pa.array(nodes.ravel().view(np.int64)))
-            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(digest, pa.binary()), pa.array(size.astype(np.int32)), lists], names=["doc_id", "digest", "n_shingles", "paths"])
+            digest = [hashlib.md5(data[a:b], usedforsecurity=False).digest() for a, b in zip(off[:-1].tolist(), off[1:].tolist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([pa.array(u + np.arange(part.num_rows)), part.column(0), pa.array(digest, pa.binary()), pa.array(size.astype(np.int32)), sig], names=[x.split()[0] for x in SKETCH.split(", ")])
+            u += part.num_rows
 
     ready(docs.sparkSession)
-    return docs.select(docs[id_col].cast("long").alias("i"), docs[text_col].alias("t")).mapInArrow(run, "doc_id long, digest binary, n_shingles int, paths array<long>")
+    return docs.select(docs[id_col].cast("long").alias("i"), docs[text_col].alias("t")).mapInArrow(run, SKETCH)
+
+
+def _splits(runs: int):
+    """Rows (v, sig, nodes; none at first) -> v, paths: the nodes after DEPTH more splits."""
+
+    def run(batches):
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            sig = np.frombuffer(b"".join(batch.column(1).to_pylist()), np.uint32).reshape(-1, COORDINATES).astype(_U)
+            if batch.num_columns == 2:
+                out = paths(sig, roots(len(sig), runs))
+                lists = pa.ListArray.from_arrays(pa.array(np.arange(len(out) + 1, dtype=np.int32) * out.shape[1]), pa.array(out.ravel().view(np.int64)))
+            else:
+                nodes = batch.column(2)
+                size = np.diff(nodes.offsets.to_numpy())
+                own = nodes.flatten().to_numpy().view(_U)
+                out = paths(sig[np.repeat(np.arange(len(size)), size)], own[:, None])
+                lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(size) * out.shape[1]]).astype(np.int32)), pa.array(out.ravel().view(np.int64)))
+            yield pa.RecordBatch.from_arrays([batch.column(0), lists], names=["v", "paths"])
+
+    return run
+
+
+def buckets(first, runs: int, block: int = BLOCK):
+    """The sets (v, sig) split: vs, the distinct small buckets as sorted lists; and m, v: the sets of nodes that are dense, with the node's first."""
+    none = first.sparkSession.createDataFrame([], "m long, v long")
+    small, dense, rows = None, none, first.select("v", "sig")
+    for k in range(1, ROUNDS + 1):
+        inside = rows.mapInArrow(_splits(runs), "v long, paths array<long>").select("v", F.explode("paths").alias("p"))
+        count = inside.groupBy("p").agg(F.count("*").alias("n"), F.min("v").alias("m")).where("n > 1")
+        # merge joins at every size: what is small here grows with the input
+        shared = written(inside.join(count.hint("merge"), "p"), "shared")
+        here = shared.where(F.col("n") <= block).groupBy("p").agg(F.array_sort(F.collect_list("v")).alias("vs")).select("vs")
+        small = here if small is None else small.union(here)
+        large = shared.where(F.col("n") > block)
+        if large.isEmpty():
+            break
+        met = large.groupBy("v", "m").agg(F.count("*").alias("q"))
+        alike = large.join(met.hint("merge"), ["v", "m"]).groupBy("p").agg((F.avg("q") >= runs * (WIDTH * CLOSE) ** (DEPTH * k)).alias("alike"))
+        large = written(large.join(alike.hint("merge"), "p").select("p", "v", "m", (F.col("alike") | F.lit(k == ROUNDS)).alias("alike")), "large")
+        dense = dense.union(large.where("alike").select("m", "v").distinct())
+        rows = large.where("NOT alike").groupBy("v").agg(F.collect_list("p").alias("nodes"))  # as many as a text's own splits
+        if rows.isEmpty():
+            break
+        rows = rows.join(first.hint("merge"), "v").select("v", "sig", "nodes")
+    return written(small.distinct(), "buckets"), dense
+
+
+def units(vs, dense, block: int = BLOCK):
+    """v, kind, c, nb, b, us, d: in which units (kind, c) a set is compared; nb blocks of the unit and the set's own; us: all units of it where pairs may meet in several; d: its dense group."""
+    groups = components(dense.select(F.col("v").alias("a"), F.col("m").alias("b")))
+    size = groups.groupBy("c").agg(F.ceil(F.count("*") / block).cast("int").alias("nb"))
+    none = F.lit(None).cast("array<long>")
+    thick = groups.join(size, "c").select("v", F.lit(2).alias("kind"), "c", "nb", F.pmod(F.xxhash64("v"), F.col("nb")).cast("int").alias("b"), none.alias("us"), F.lit(None).cast("long").alias("d"))
+    tied = components(vs.select(F.col("vs")[0].alias("a"), F.explode("vs").alias("b")))
+    size = tied.groupBy("c").agg(F.count("*").alias("k"))
+    one = tied.join(size.where(F.col("k") <= block), "c").select("v", F.lit(0).alias("kind"), "c", none.alias("us"))
+    wide = tied.join(size.where(F.col("k") > block).hint("merge"), "c").select(F.col("v").alias("a"))
+    lists = vs.withColumn("a", F.col("vs")[0]).join(wide.hint("merge"), "a", "left_semi").select(F.xxhash64("vs").alias("c"), F.explode("vs").alias("v")).distinct()
+    of = lists.groupBy("v").agg(F.array_sort(F.collect_list("c")).alias("us"))  # as many as a text's own splits
+    many = lists.join(of.hint("merge"), "v").select("v", F.lit(1).alias("kind"), "c", "us")
+    thin = one.union(many).join(groups.select("v", F.col("c").alias("d")).hint("merge"), "v", "left")
+    return thick.unionByName(thin.select("v", "kind", "c", F.lit(1).alias("nb"), F.lit(0).alias("b"), "us", "d"))
 
 
 def intersections(gram: np.ndarray, doc: np.ndarray, n: int) -> np.ndarray:
@@ -121,9 +202,9 @@ def intersections(gram: np.ndarray, doc: np.ndarray, n: int) -> np.ndarray:
     return out
 
 
-def compare(ids: list[int], left: np.ndarray, right: np.ndarray, gram: np.ndarray, doc: np.ndarray, similarity: float) -> list[tuple[int, int, int]]:
+def compare(ids: list[int], left: np.ndarray, right: np.ndarray, gram: np.ndarray, doc: np.ndarray, similarity: float, counted=None) -> list[tuple[int, int, int]]:
     """(id, links found here, smallest id it is linked with here, through others too) of those with links; compared are the pairs with one
-    text of `left` and one of `right` (masks; the same mask: all pairs)."""
+    text of `left` and one of `right` (masks; the same mask: all pairs), but for links (x, y) that `counted` says are counted elsewhere."""
     n = len(ids)
     size = np.bincount(doc, minlength=n).astype(np.float64)
     both = intersections(gram, doc, n)
@@ -131,6 +212,10 @@ def compare(ids: list[int], left: np.ndarray, right: np.ndarray, gram: np.ndarra
     link &= (left[:, None] & right[None, :]) | (right[:, None] & left[None, :])
     link &= (size > 0)[:, None]
     np.fill_diagonal(link, False)
+    if counted is not None:
+        for x, y in np.argwhere(np.triu(link)).tolist():
+            if counted(x, y):
+                link[x, y] = link[y, x] = False
     count = link.sum(1)
     root = np.array(ids, np.int64)
     while True:  # the smallest id spreads over the links
@@ -143,19 +228,27 @@ def compare(ids: list[int], left: np.ndarray, right: np.ndarray, gram: np.ndarra
 
 
 def _blocks(batches, similarity):
-    """Rows (c, x, y, b, id, text) sorted by (c, x, y): those of one key are compared."""
+    """Rows (kind, c, x, y, b, v, t, us, d) sorted by kind, c, x, y, v: those of one key are compared."""
     schema = pa.schema([("v", pa.int64()), ("links", pa.int64()), ("root", pa.int64())])
     key, held, found = None, [], []
 
     def settle():
-        tables = pa.Table.from_batches(held)
-        words = Words(tables.column("t").combine_chunks())
+        rows = pa.Table.from_batches(held).combine_chunks()
+        v = rows.column("v").to_numpy()
+        rows = rows.take(pa.array(np.flatnonzero(np.concatenate([[True], v[1:] != v[:-1]]))))  # equal rows of one id
+        words = Words(rows.column("t").combine_chunks())
         gram, doc = shingles(words)
-        b = tables.column("b").to_numpy()
-        return compare(tables.column("i").to_pylist(), b == key[1], b == key[2], gram, doc, similarity)
+        b, us, d = rows.column("b").to_numpy(), rows.column("us").to_pylist(), rows.column("d").to_pylist()
+        elsewhere = None
+        if key[0] == 1 or any(x is not None for x in d):
+            us = [set(x) if x else None for x in us]
+            elsewhere = lambda x, y: d[x] is not None and d[x] == d[y] or key[0] == 1 and min(us[x] & us[y]) != key[1]
+        return compare(rows.column("v").to_pylist(), b == key[2], b == key[3], gram, doc, similarity, elsewhere)
 
     for batch in batches:
-        cols = [batch.column(j).to_numpy() for j in range(3)]
+        if not batch.num_rows:
+            continue
+        cols = [batch.column(j).to_numpy() for j in range(4)]
         new = np.ones(batch.num_rows, bool)
         new[1:] = np.any([c[1:] != c[:-1] for c in cols], 0)
         starts = [*np.flatnonzero(new).tolist(), batch.num_rows]
@@ -175,32 +268,29 @@ def _blocks(batches, similarity):
         yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found, strict=True)], schema=schema)
 
 
-def similar(docs, similarity: float = SIMILARITY, recall: float = RECALL, id_col: str = "doc_id", text_col: str = "text"):
+def similar(docs, similarity: float = SIMILARITY, recall: float = RECALL, id_col: str = "doc_id", text_col: str = "text", block: int = BLOCK):
     """One row per document: class_id (the smallest id of its class), copy_of (the smallest id with the same text),
-    n_copies, n_links (different texts of at least that similarity), n_shingles."""
-    texts = docs.select(docs[id_col].cast("long").alias("i"), docs[text_col].alias("t"))
-    sketch = written(sketches(docs, runs_for(recall, similarity), id_col, text_col), "sketches")
-    same = written(sketch.groupBy("digest").agg(F.min("doc_id").alias("r"), F.count("*").alias("n_copies")), "copies")
-    first = sketch.where("n_shingles > 0").join(same.select(F.col("r").alias("doc_id")).distinct(), "doc_id", "left_semi")
-    inside = first.select("doc_id", F.explode("paths").alias("p"))
-    heads = inside.groupBy("p").agg(F.min("doc_id").alias("m"), F.count("*").alias("n")).where("n > 1").select("p", "m")
-    # merge joins at every size: what is small here grows with the input
-    edges = inside.join(heads.hint("merge"), "p").where("doc_id <> m").select(F.col("doc_id").alias("a"), F.col("m").alias("b")).distinct()
-    group = components(edges)
-    size = group.groupBy("c").agg(F.count("*").alias("k"))
-    own = group.join(size, "c").select("v", "c", F.ceil(F.col("k") / BLOCK).cast("int").alias("nb"))
-    own = own.withColumn("b", F.pmod(F.xxhash64("v"), F.col("nb")).cast("int"))
-    rows = texts.join(own.hint("merge"), F.col("i") == F.col("v"))
-    rows = rows.select("c", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)).alias("o"), "b", "i", F.coalesce("t", F.lit("")).alias("t"))
-    rows = rows.select("c", F.least("b", "o").alias("x"), F.greatest("b", "o").alias("y"), "b", "i", "t")
+    n_copies, n_links (different texts of at least that similarity), n_shingles, digest (the text's MD5)."""
+    texts = docs.select(docs[id_col].cast("long").alias("i"), F.coalesce(docs[text_col], F.lit("")).alias("t"))
+    sketch = written(sketches(docs, id_col, text_col), "sketches")
+    same = written(sketch.groupBy("digest").agg(F.min("u").alias("v"), F.min("doc_id").alias("r"), F.count("*").alias("n_copies")), "copies")
+    first = sketch.where("n_shingles > 0").select(F.col("u").alias("v"), "sig").join(same.select("v").hint("merge"), "v", "left_semi")
+    own = units(*buckets(written(first, "texts"), runs_for(recall, similarity), block), block)
+    own = own.join(same.select("v", "r", "digest").hint("merge"), "v")
+    texts = texts.withColumn("h", F.unhex(F.md5("t")))
+    rows = texts.join(own.hint("merge"), (F.col("h") == F.col("digest")) & F.col("i").eqNullSafe(F.col("r")))
+    rows = rows.select("kind", "c", F.explode(F.sequence(F.lit(0), F.col("nb") - 1)).alias("o"), "b", "v", "t", "us", "d")
+    rows = rows.select("kind", "c", F.least("b", "o").alias("x"), F.greatest("b", "o").alias("y"), "b", "v", "t", "us", "d")
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    rows = rows.repartition(parts, "c", "x", "y").sortWithinPartitions("c", "x", "y", "i")
+    rows = rows.repartition(parts, "kind", "c", "x", "y").sortWithinPartitions("kind", "c", "x", "y", "v")
     found = written(rows.mapInArrow(lambda batches: _blocks(batches, similarity), "v long, links long, root long"), "links")
     classes = components(found.select(F.col("v").alias("a"), F.col("root").alias("b")))
     links = found.groupBy("v").agg(F.sum("links").alias("n_links"))
-    of = same.join(classes.join(links, "v", "full").withColumnRenamed("v", "r"), "r", "left")
-    out = sketch.select("doc_id", "digest", "n_shingles").join(of, "digest")
-    return out.select("doc_id", F.coalesce("c", "r").alias("class_id"), F.col("r").alias("copy_of"), "n_copies", F.coalesce("n_links", F.lit(0)).alias("n_links"), "n_shingles")
+    linked = written(classes.join(links, "v").join(same.select("v", "r").hint("merge"), "v"), "linked")
+    names = linked.groupBy("c").agg(F.min("r").alias("class_id"))
+    of = same.join(linked.join(names, "c").select("v", "class_id", "n_links").hint("merge"), "v", "left")
+    of = of.select("digest", F.coalesce("class_id", "r").alias("class_id"), F.col("r").alias("copy_of"), "n_copies", F.coalesce("n_links", F.lit(0)).alias("n_links"))
+    return sketch.select("doc_id", "digest", "n_shingles").join(of, "digest").select("doc_id", "class_id", "copy_of", "n_copies", "n_links", "n_shingles", "digest")
 
 
 def op7_jaccard(spark, sf_dir):
