@@ -1,14 +1,17 @@
 """Personal data: patterns, and a skip-chain conditional random field that adds what patterns alone don't see.
 
 Nodes are the words of a text that hold a digit or an "@" (any other word can't be labelled and is left out of the
-graph). Neighbouring nodes share chain potentials; nodes that repeat an earlier one, or its last digits, share skip
-potentials with its latest occurrence, however far away. Loopy sum-product messages over all texts of a batch at once
+graph: names of people are not among the labels). Nodes of neighbouring words share chain potentials; nodes that repeat
+an earlier one, or its last digits, share skip potentials with its latest occurrence, however near or far, unless the
+two are neighbouring words. Loopy sum-product messages over all texts of a batch at once, as many rounds for each text,
 give the marginals; weights maximise the likelihood on labelled texts by the same messages. Labels: none, the four
 pattern kinds, and secret. Spans of the patterns always stay; the field's spans are added where they are certain
 enough (SURE), plausible for their kind and clear of pattern spans.
 
-Defined results: null text is an empty one; texts without spans have counts of 0 and empty lists; equal texts, equal
-spans; an empty table gives no rows; further columns are ignored. Offsets are code points, ends exclusive.
+Defined results: every row gives one row, whatever its id (null and repeated ones too); null text is an empty one;
+texts without spans have counts of 0 and empty lists; equal texts, equal spans, in any batch; of labels with equal
+marginals the first listed is taken; an empty table gives no rows; further columns are ignored. Offsets are code
+points, ends exclusive.
 """
 
 from __future__ import annotations
@@ -140,7 +143,7 @@ class Graph:
                 self._edge(base + k - 1, base + k, 0)
             key = link_key(w) if skip else None
             if key is not None:
-                if key in latest and latest[key] != base + k - 1:
+                if key in latest and not (after and latest[key] == base + k - 1):
                     self._edge(latest[key], base + k, 1)
                 latest[key] = base + k
 
@@ -155,6 +158,13 @@ class Graph:
             x[i, on] = 1
         return x
 
+    def unary(self, weights: np.ndarray) -> np.ndarray:
+        """matrix() @ weights, the same for a node in every batch: the features are added up in their order."""
+        out = np.zeros((len(self.on), weights.shape[1]))
+        row = np.repeat(np.arange(len(self.on)), [len(on) for on in self.on])
+        np.add.at(out, row, weights[[i for on in self.on for i in on]])
+        return out
+
     def edges(self):
         return np.array(self.a, np.int64), np.array(self.b, np.int64), np.array(self.kind, np.int64)
 
@@ -164,8 +174,11 @@ def _lse(x, axis):
     return np.squeeze(m, axis) + np.log(np.exp(x - m).sum(axis))
 
 
-def beliefs(unary: np.ndarray, a: np.ndarray, b: np.ndarray, kind: np.ndarray, pair: np.ndarray, rounds: int = 30, hold: float = 0.3, least: float = 1e-4):
-    """Marginals (n, L) and edge marginals (e, L, L: a, b) by loopy sum-product; pair: (2, L, L), symmetric."""
+def beliefs(unary: np.ndarray, a: np.ndarray, b: np.ndarray, kind: np.ndarray, pair: np.ndarray, rounds: int = 30, hold: float = 0.3):
+    """Marginals (n, L) and edge marginals (e, L, L: a, b) by loopy sum-product; pair: (2, L, L), symmetric.
+
+    The number of rounds is fixed, so that no text's messages depend on the others of its batch.
+    """
     n, labels = unary.shape
     e = len(a)
     src, dst = np.concatenate([a, b]), np.concatenate([b, a])
@@ -177,13 +190,10 @@ def beliefs(unary: np.ndarray, a: np.ndarray, b: np.ndarray, kind: np.ndarray, p
         new = _lse(pot + (total[src] - sent[turn])[:, :, None], 1)
         new -= _lse(new, 1)[:, None]
         new = hold * sent + (1 - hold) * new
-        moved = np.abs(new - sent).max()
         sent = new
         total = unary.copy()
         for k in range(labels):
             total[:, k] += np.bincount(dst, sent[:, k], n)
-        if moved < least:
-            break
     one = np.exp(total - _lse(total, 1)[:, None])
     joint = pot[:e] + (total[a] - sent[turn[:e]])[:, :, None] + (total[b] - sent[:e])[:, None, :]
     joint = np.exp(joint - joint.max((1, 2), keepdims=True)) if e else joint
@@ -314,22 +324,26 @@ def find(text: pa.Array, model, sure: float = SURE, skip: bool = True) -> tuple[
     for x, y in zip(cuts, cuts[1:], strict=False):
         doc = int(of[x])
         spans = base[doc] = base_spans(strings[doc].as_py())
-        first, rows, p = int(words.first[doc]), [], 0
-        ends = sorted(spans, key=lambda s: s[2])
+        first, rows = int(words.first[doc]), []
+        ways = [[(a, z) for a, k, z in spans if k == j] for j in range(4)]  # a kind's spans are in order and apart
+        at = [0] * 4
         for i in active[x:y].tolist():
             w, s = bytes_of(i), int(begin[i])
-            while p < len(ends) and ends[p][2] <= s:
-                p += 1
-            inside = {k for a, k, z in ends[p : p + 8] if a < s + len(w) and z > s}
+            inside = set()
+            for j, way in enumerate(ways):
+                while at[j] < len(way) and way[at[j]][1] <= s:
+                    at[j] += 1
+                if at[j] < len(way) and way[at[j]][0] < s + len(w):
+                    inside.add(j)
             back = (bytes_of(i - 1) if i > first else "", bytes_of(i - 2) if i > first + 1 else "")
             rows.append((i - first, w, back, inside))
             nodes[doc, i - first] = (w, s, bool(inside))
         graph.add(doc, rows, skip)
     weights, pair = model
-    one, _ = beliefs(graph.matrix() @ weights, *graph.edges(), pair)
+    one, _ = beliefs(graph.unary(weights), *graph.edges(), pair)
     every = [list(b) for b in base]
     best, share = one.argmax(1), one.max(1)
-    k = 0
+    k, here, text = 0, -1, ""
     while k < len(best):
         doc, i = graph.where[k]
         label, z = int(best[k]), k + 1
@@ -337,11 +351,13 @@ def find(text: pa.Array, model, sure: float = SURE, skip: bool = True) -> tuple[
             z += 1
         if label and share[k:z].min() >= sure:
             own = [nodes[graph.where[m]] for m in range(k, z)]
-            if not any(inside for _, _, inside in own):
+            if not any(inside for _, _, inside in own):  # a pattern's span ends in words, so it would hold one of these
+                if doc != here:
+                    here, text = doc, strings[doc].as_py()
                 (w, s, _), (v, t, _) = own[0], own[-1]
                 a = s + len(w) - len(w.lstrip(_EDGE))
                 b = t + len(v.rstrip(_EDGE))
-                if a < b and _plausible(label - 1, strings[doc].as_py()[a:b]) and not any(p < b and q > a for p, _, q in base[doc]):
+                if a < b and _plausible(label - 1, text[a:b]):
                     every[doc].append((a, label - 1, b))
         k = z
     return base, [sorted(x) for x in every]
