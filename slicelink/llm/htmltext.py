@@ -6,8 +6,15 @@ an element's marginal decides over the text that lies directly in it. Parameters
 pages, with the gradient from the same messages; labelled_pages() makes such pages in many layouts, and fit() takes
 any others.
 
-Defined results: null or empty html gives an empty text; unclosed and stray tags are taken as browsers do, roughly;
-equal pages give equal texts; an empty table gives no rows; further columns are ignored.
+What lies in an element of NEVER (menus, forms, scripts and the like) is out whatever its marginal, at any depth, but
+for an article or main element in it, with which the model decides again; a form that holds an article, a main or an
+h1 element is taken for the wrapping of its page and left to the model.
+
+Defined results: null or empty html gives an empty text; unclosed and stray tags are taken as browsers do, roughly; a
+tag without an end is dropped with what follows it, but a quote that never closes is no quote; every row gives one row,
+whatever its id and url (null and repeated ones too); equal pages give equal texts; an element whose marginal is just
+one half is out; an empty table gives no rows; further columns are ignored. Reading a page takes time in proportion to
+its length.
 """
 
 from __future__ import annotations
@@ -15,6 +22,7 @@ from __future__ import annotations
 import html
 import random
 import re
+from collections import Counter
 from functools import lru_cache
 
 import numpy as np
@@ -22,9 +30,11 @@ import pyarrow as pa
 
 from .common import as_text, ready, slices, table
 
-TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|\Z)", re.S)
-ATTRIBUTE = re.compile(r"([^\s\"'<>/=]+)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))")
+OPEN = re.compile(r"<(?:(!--)|([!?]|/(?![a-zA-Z]))|(/?)([a-zA-Z][^\s/>]*))")
+QUOTE_OR_END = re.compile(r"[>\"']")
+ATTRIBUTE = re.compile(r"(?<![^\s\"'<>/=])([^\s\"'<>/=]+)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))")
 # fixed values: the language's void, raw-text and block elements, and which start closes an open paragraph or item
+HEAD = frozenset("base basefont bgsound link meta title style script noscript template".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style textarea title noscript template iframe xmp noembed noframes svg math".split())
 BLOCK = frozenset("address article aside blockquote body button center dd details dialog dir div dl dt fieldset figcaption figure footer form frameset h1 h2 h3 h4 h5 h6 head header hgroup hr html legend li main menu nav ol optgroup option p pre section select summary table tbody td tfoot th thead title tr ul".split())
@@ -53,56 +63,91 @@ class Page:
 
     def __init__(self, source: str):
         self.tag, self.parent, self.words, self.texts, self.marks = ["#root"], [-1], [()], [], []
-        stack, at, find = [0], 0, TOKEN.search
-        tags = self.tag
-        while True:
-            m = find(source, at)
+        stack, at, end = [0], 0, len(source)
+        tags, open_ = self.tag, Counter({"#root": 1})
+
+        def cut(k):
+            for e in stack[k:]:
+                open_[tags[e]] -= 1
+            del stack[k:]
+
+        last = {q: source.rfind(q) for q in ">\"'"}
+        while at < end:
+            m = OPEN.search(source, at)
             if not m:
                 break
             if m.start() > at:
                 self.texts.append((stack[-1], source[at : m.start()]))
-            at = m.end()
-            if not m[2]:
+            if m[1]:  # a comment
+                close = source.find("-->", m.end())
+                at = close + 3 if close >= 0 else end
                 continue
-            name = m[2].lower()
-            if m[1]:
-                if any(tags[x] == name for x in stack):
-                    while tags[stack[-1]] != name:
-                        stack.pop()
-                    stack.pop()
+            if m[2]:
+                at = self._after(source, m.end(), last, False)
+                continue
+            at = self._after(source, m.end(), last, True)
+            attrs = source[m.end() : at - 1]
+            name = m[4].lower()
+            if m[3]:
+                if open_[name]:
+                    k = len(stack) - 1
+                    while tags[stack[k]] != name:
+                        k -= 1
+                    cut(k)
                 self.texts.append((stack[-1], "\n" if name in BLOCK else ""))
                 continue
-            self._imply(stack, name)
+            self._imply(stack, name, open_, cut)
             tags.append(name)
             self.parent.append(stack[-1])
             here = len(tags) - 1
-            self.words.append(self._attrs(m[3]))
+            self.words.append(self._attrs(attrs))
             self.texts.append((here, "\n" if name in BLOCK else " " if name == "br" else ""))
-            if name in VOID or m[3].rstrip().endswith("/") and name not in BLOCK:
+            if name in VOID or attrs.rstrip().endswith("/") and name not in BLOCK:
                 continue
             if name in RAW:
-                end = re.compile(rf"</{re.escape(name)}\b[^>]*>", re.I).search(source, at)
-                self.texts.append((here, source[at : end.start() if end else len(source)]))
-                at = end.end() if end else len(source)
+                close = re.compile(rf"</{re.escape(name)}(?=[\s/>])", re.I).search(source, at)
+                self.texts.append((here, source[at : close.start() if close else end]))
+                at = self._after(source, close.end(), last, False) if close else end
                 continue
             stack.append(here)
-        if at < len(source):
+            open_[name] += 1
+        if at < end:
             self.texts.append((stack[-1], source[at:]))
 
-    def _imply(self, stack, name):
+    @staticmethod
+    def _after(source: str, at: int, last: dict, quotes: bool) -> int:
+        """Where a tag ends: behind the next > outside of quotes; a quote counts after = only, and if it closes."""
+        while at <= last[">"]:
+            m = QUOTE_OR_END.search(source, at)
+            if m[0] == ">":
+                return m.end()
+            at, k = m.end(), m.start()
+            while quotes and k and source[k - 1].isspace():
+                k -= 1
+            if quotes and k and source[k - 1] == "=" and last[m[0]] >= at:
+                at = source.find(m[0], at) + 1
+        return len(source)
+
+    def _imply(self, stack, name, open_, cut):
         tags = self.tag
-        if name in CLOSES_P:
+        if open_["head"] and name not in HEAD:
+            k = len(stack) - 1
+            while tags[stack[k]] != "head":
+                k -= 1
+            cut(k)
+        if name in CLOSES_P and open_["p"]:
             for k in range(len(stack) - 1, 0, -1):
                 if tags[stack[k]] == "p":
-                    del stack[k:]
+                    cut(k)
                     break
                 if tags[stack[k]] in FENCE:
                     break
-        for k in range(len(stack) - 1, 0, -1) if name in SAME else ():
-            if tags[stack[k]] in SAME[name]:
-                del stack[k:]
-            elif tags[stack[k]] in FENCE:
-                break
+        if name in SAME and any(open_[x] for x in SAME[name]):
+            for k in range(len(stack) - 1, 0, -1):
+                if tags[stack[k]] in SAME[name]:
+                    cut(k)
+                elif tags[stack[k]] in FENCE:
+                    break
 
     @staticmethod
     def _attrs(source: str):
@@ -144,6 +189,18 @@ class Page:
         x[:, AT["stops"]] = np.minimum(1, 20 * stops / np.maximum(own, 1))
         return x
 
+    def never(self) -> list[bool]:
+        """Whether each element is one of NEVER or lies in one; article and main begin anew, forms around a page are none."""
+        wraps = set()
+        for e in range(len(self.tag) - 1, 0, -1):
+            if self.tag[e] in ("article", "main", "h1") or e in wraps:
+                wraps.add(self.parent[e])
+        out = [False] * len(self.tag)
+        for e in range(1, len(self.tag)):
+            if self.tag[e] not in ("article", "main"):
+                out[e] = out[self.parent[e]] or self.tag[e] in NEVER and not (self.tag[e] == "form" and e in wraps)
+        return out
+
     def kinds(self) -> list[int]:
         return [0 if t in BLOCK else 1 for t in self.tag]
 
@@ -328,13 +385,14 @@ def default_model(n: int = 400, seed: int = 7):
 def extract(source: str, model) -> str:
     page = Page(source)
     w, pair = model
-    score = page.features() @ w
+    never = page.never()
+    score = (page.features() * w).sum(1)  # the same for an element in every page, unlike a product of matrices
     unary = np.stack([np.zeros_like(score), score], 1)
     keep = [p > 0.5 for p in marginals(page, unary, pair)]
     for e in range(len(keep)):
-        if page.tag[e] in NEVER or page.parent[e] >= 0 and page.tag[page.parent[e]] in NEVER and not keep[page.parent[e]]:
+        if never[e]:
             keep[e] = False
-        if page.tag[e] not in BLOCK and e and page.tag[e] not in NEVER:
+        elif page.tag[e] not in BLOCK and e:
             keep[e] = keep[page.parent[e]]  # text inside a block isn't torn
     blocks, now = [], []
     for e, s in page.texts:
