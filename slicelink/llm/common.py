@@ -42,6 +42,11 @@ FREES = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
 
 def written(df, name: str, free: bool = False):
     """Cut the lineage: write as Parquet into the shared folder and read back; with `free`, delete the shuffle files at once."""
+    return written_at(df, name, free)[0]
+
+
+def written_at(df, name: str, free: bool = False):
+    """written(), and the path."""
     spark = df.sparkSession
     path = fresh_path(spark, name)
     before = spark.conf.get(FREES, None)
@@ -52,7 +57,7 @@ def written(df, name: str, free: bool = False):
     finally:
         if free:
             spark.conf.unset(FREES) if before is None else spark.conf.set(FREES, before)
-    return spark.read.schema(df.schema).parquet(path)
+    return spark.read.schema(df.schema).parquet(path), path
 
 
 def table(spark, sf_dir: str, name: str):

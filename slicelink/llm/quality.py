@@ -2,34 +2,37 @@
 
 The model's units are the bytes of UTF-8, `ORDER` at a time, for each language: all languages share one alphabet, the
 table of n-grams grows with the corpus but saturates, and a key packs its n-gram without collisions. Tasks count their
-own n-grams in sorted arrays and Spark sums the counts; while there are at most `most` n-grams the driver turns
-the counts into the model (continuation counts, three discounts an order, interpolation) and broadcasts it as sorted
-arrays of keys; beyond that the model is made in SQL and joined to the texts' n-gram counts by shuffle, with the same
-result. A text's perplexity is held against its language's band, set from the quartiles of all texts and wider the
+own n-grams in sorted arrays and Spark sums the counts into a table of the shared folder. While that has at most
+`most` n-grams, every worker reads it once and turns it into the model (continuation counts, three discounts an order,
+interpolation; sorted arrays of keys); beyond that the model is made in SQL and joined to the texts' n-gram counts by
+shuffle, with the same result. Nothing of it passes through the driver. A text's perplexity is held against its
+language's band, set from the quartiles of all texts (exact, of bits a byte in steps of 1 / `STEPS`) and wider the
 shorter the text, whose value is the noisier.
 
-Defined results: null text has no words, null language is the empty one; an empty text has no perplexity and fails
-the base rule; a language whose quartiles coincide has a band of at least `LEAST_WIDTH` bits to each side; equal texts
-of one language, equal verdicts; an empty table gives no rows; further columns are ignored.
+Defined results: every row gives one row, whatever its id (null and repeated ones too); null text has no words, null
+language is the empty one; an empty text has no perplexity and fails the base rule; a language whose quartiles coincide
+has a band of at least `LEAST_WIDTH` bits to each side; a text on a band's edge is inside; equal texts of one language,
+equal verdicts, however the rows are dealt; an empty table gives no rows; further columns are ignored.
 """
 
 from __future__ import annotations
 
 import hashlib
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from .common import Words, as_text, mix, ready, raw, slices, table, written
+from .common import Words, as_text, mix, raw, ready, slices, table, written, written_at
 
 ORDER = 5
 #: A text is out where its bits a byte lie further from the median than so many times the quartile's distance, widened
 #: by sqrt(1 + LENGTH / bytes). Set so that each side takes about 0.5 % of the documents of sf0.01 that have neither
 #: more symbols than a fiftieth of their characters nor label quality 0.
 BELOW, ABOVE, LEAST_WIDTH, LENGTH = 4.0, 3.0, 0.05, 1000.0
-MOST_ENTRIES = 8_000_000
+MOST_ENTRIES, STEPS, MOST_LANGUAGES = 4_000_000, 1000, 10_000
 SYMBOLS = np.zeros(256, np.int64)
 SYMBOLS[list(b"#*$%&|<>")] = 1
 BASE = "doc_id long, lang string, n_words long, word_chars long, n_symbols long, n_dup_lines long, n_repeat_words long, n_bytes long"
@@ -211,6 +214,16 @@ class Model:
         return out
 
 
+@lru_cache(maxsize=1)
+def model_at(path: str) -> Model:
+    """The model of a written table of counts, once for each worker."""
+    import pyarrow.parquet as pq
+    from pyarrow import fs
+
+    files, top = fs.FileSystem.from_uri(path)
+    return Model.from_counts(pq.read_table(top, columns=["lang", "key", "c"], filesystem=files))
+
+
 def base_counts(words: Words) -> dict[str, np.ndarray]:
     """n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words of each text."""
     n = len(words.offsets) - 1
@@ -251,12 +264,14 @@ def _again(value: np.ndarray, doc: np.ndarray, first: bool) -> np.ndarray:
     return np.sort(order[same[:-1] | same[1:]] if first else order[same[:-1]])
 
 
-def measures(docs, model_of=None, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang"):
-    """BASE columns and, with a model (a function that gives it in a task), logp: the text's log-probability; else key: of language and text."""
-    last = "logp double" if model_of else "key binary"
+MEASURES = f"{BASE}, digest binary, logp double"
+
+
+def measures(docs, path: str | None = None, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang"):
+    """MEASURES: the base counts, the text's MD5 and, with the counts' path, its log-probability."""
 
     def run(batches):
-        model = model_of() if model_of else None
+        model = model_at(path) if path else None
         for part in slices(batches, "t"):
             words = Words(part.column(2))
             base = base_counts(words)
@@ -264,18 +279,19 @@ def measures(docs, model_of=None, id_col: str = "doc_id", text_col: str = "text"
             logp = np.zeros(len(size))
             for lang, which in _languages(part.column(1)).items() if model else ():
                 keys, n = keys_of(words.data, words.offsets, which)
-                upto = np.concatenate([[0], np.cumsum(model.logp(lang, keys))])[np.concatenate([[0], np.cumsum(n)])]
-                logp[which] = np.diff(upto)
-            cols = [part.column(0), as_text(part.column(1)), *(pa.array(base[c]) for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")), pa.array(size), pa.array(logp) if model else text_keys(part.column(1), words.data, words.offsets)]
-            yield pa.RecordBatch.from_arrays(cols, names=[x.split()[0] for x in f"{BASE}, {last}".split(", ")])
+                if len(keys):  # each text is summed by itself, so that its value doesn't depend on the others
+                    logp[which[n > 0]] = np.add.reduceat(model.logp(lang, keys), (np.cumsum(n) - n)[n > 0])
+            values = pa.array(logp) if model else pa.nulls(len(size), pa.float64())
+            cols = [part.column(0), as_text(part.column(1)), *(pa.array(base[c]) for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")), pa.array(size), digests(words.data, words.offsets), values]
+            yield pa.RecordBatch.from_arrays(cols, names=[x.split()[0] for x in MEASURES.split(", ")])
 
     ready(docs.sparkSession)
-    return _rows(docs, id_col, lang_col, text_col).mapInArrow(run, f"{BASE}, {last}")
+    return _rows(docs, id_col, lang_col, text_col).mapInArrow(run, MEASURES)
 
 
-def text_keys(lang, data: np.ndarray, offsets: np.ndarray) -> pa.Array:
-    """A key of each text and its language: equal ones, equal keys, whatever their ids."""
-    return pa.array([hashlib.blake2b(data[a:z].tobytes(), digest_size=16, key=hashlib.blake2b(x.encode(), digest_size=16).digest()).digest() for x, a, z in zip(as_text(lang).to_pylist(), offsets, offsets[1:], strict=False)], pa.binary())
+def digests(data: np.ndarray, offsets: np.ndarray) -> pa.Array:
+    """MD5 of each text: equal ones, equal keys, whatever their ids."""
+    return pa.array([hashlib.md5(data[a:z], usedforsecurity=False).digest() for a, z in zip(offsets.tolist(), offsets[1:].tolist(), strict=False)], pa.binary())
 
 
 def _rows(docs, id_col, lang_col, text_col):
@@ -283,8 +299,8 @@ def _rows(docs, id_col, lang_col, text_col):
 
 
 def joined_logp(docs, model, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang"):
-    """key, logp by a shuffled join of n-gram counts to the model's table, for models too large to broadcast: the sum
-    over all texts of a key.
+    """lang, digest, logp by a shuffled join of n-gram counts to the model's table, for models too large for a worker:
+    the sum over all copies of a text.
 
     The texts must be among those the model was counted on, so that every n-gram is in it.
     """
@@ -292,42 +308,51 @@ def joined_logp(docs, model, id_col: str = "doc_id", text_col: str = "text", lan
     def run(batches):
         for part in slices(batches, "t"):
             data, off = raw(part.column(2))
-            own = text_keys(part.column(1), data, off)
+            own = digests(data, off)
             for lang, which in _languages(part.column(1)).items():
                 for d in which.tolist():
                     key, n = counted(keys_of(data, off, np.array([d]))[0])
                     if len(key):
                         one = pa.array(np.zeros(len(key), np.int32))
-                        yield pa.RecordBatch.from_arrays([own.slice(d, 1).take(one), pa.array([lang]).take(one), pa.array(key), pa.array(n)], names=["text", "lang", "key", "k"])
+                        yield pa.RecordBatch.from_arrays([own.slice(d, 1).take(one), pa.array([lang]).take(one), pa.array(key), pa.array(n)], names=["digest", "lang", "key", "k"])
 
-    rows = _rows(docs, id_col, lang_col, text_col).mapInArrow(run, "text binary, lang string, key long, k long")
+    rows = _rows(docs, id_col, lang_col, text_col).mapInArrow(run, "digest binary, lang string, key long, k long")
     top = model.where(F.col("n") == ORDER).select("lang", "key", "logp")
-    return rows.join(top, ["lang", "key"]).groupBy(F.col("text").alias("key")).agg(F.sum(F.col("k") * F.col("logp").cast("double")).alias("logp"))
+    return rows.join(top, ["lang", "key"]).groupBy("lang", "digest").agg(F.sum(F.col("k") * F.col("logp").cast("double")).alias("logp"))
+
+
+def bands(scored, below: float = BELOW, above: float = ABOVE):
+    """lang, middle, below, above from the quartiles of `bits`: those of a histogram, counted before it is dealt by language."""
+    step = F.floor(F.col("bits") * STEPS)
+    counts = scored.where("bits IS NOT NULL").groupBy("lang", step.alias("at")).agg(F.count("*").alias("n"))
+    w = Window.partitionBy("lang")  # as many rows as a language has steps
+    upto = counts.select("lang", "at", F.sum("n").over(w.orderBy("at")).alias("upto"), F.sum("n").over(w).alias("total"))
+    at = lambda q: (F.min(F.when(F.col("upto") >= q * F.col("total"), F.col("at"))) / STEPS).alias(f"q{int(100 * q)}")
+    q = upto.groupBy("lang").agg(at(0.25), at(0.5), at(0.75))
+    side = lambda a, b, k: F.greatest((F.col(a) - F.col(b)) * k, F.lit(LEAST_WIDTH))
+    return q.select("lang", F.col("q50").alias("middle"), side("q50", "q25", below).alias("below"), side("q75", "q50", above).alias("above"))
 
 
 def judge(docs, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", most: int = MOST_ENTRIES, below: float = BELOW, above: float = ABOVE):
-    """One row per text: the base counts, bits a byte, perplexity, the language's band and the verdict."""
-    spark = ready(docs.sparkSession)
-    counts = written(ngram_counts(docs, text_col, lang_col), "ngrams")
+    """One row per text: the base counts, bits a byte, perplexity, the language's band, the verdict, and the text's MD5."""
+    counts, path = written_at(ngram_counts(docs, text_col, lang_col), "ngrams")
     if counts.count() <= most:
-        held = spark.sparkContext.broadcast(Model.from_counts(counts.toArrow()))
-        scored = measures(docs, lambda: held.value, id_col, text_col, lang_col)
+        scored = measures(docs, path, id_col, text_col, lang_col)
     else:
         model = written(kneser_ney(counts), "model")
-        scored = written(measures(docs, None, id_col, text_col, lang_col), "measured")
-        copies = scored.groupBy("key").agg(F.count("*").alias("copies"))
-        logp = joined_logp(docs, model, id_col, text_col, lang_col).join(copies, "key").select("key", (F.col("logp") / F.col("copies")).alias("logp"))
-        scored = scored.join(logp, "key", "left").drop("key")
-    scored = written(scored.withColumn("bits", F.when(F.col("n_bytes") > 0, -F.col("logp") / F.log(F.lit(2.0)) / F.col("n_bytes"))).drop("logp"), "scored")
-    q = F.percentile_approx("bits", F.array(*map(F.lit, (0.25, 0.5, 0.75))), 1000)
-    bands = scored.groupBy("lang").agg(q.alias("q"))
-    side = lambda a, b, k: F.greatest((F.col("q")[a] - F.col("q")[b]) * k, F.lit(LEAST_WIDTH))
-    bands = bands.select("lang", F.col("q")[1].alias("middle"), side(1, 0, below).alias("below"), side(2, 1, above).alias("above"))
+        scored = written(measures(docs, None, id_col, text_col, lang_col), "measured").drop("logp")
+        copies = scored.groupBy("lang", "digest").agg(F.count("*").alias("copies"))
+        logp = joined_logp(docs, model, id_col, text_col, lang_col).join(copies, ["lang", "digest"]).select("lang", "digest", (F.col("logp") / F.col("copies")).alias("logp"))
+        scored = scored.join(logp, ["lang", "digest"], "left")
+    bits = F.when(F.col("n_bytes") > 0, F.round(-F.col("logp") / F.log(F.lit(2.0)) / F.col("n_bytes"), 6))
+    scored = written(scored.withColumn("bits", bits).drop("logp"), "scored")
+    limits = written(bands(scored, below, above), "bands")
+    limits = F.broadcast(limits) if limits.count() <= MOST_LANGUAGES else limits.hint("merge")
     wide = F.when(F.col("n_bytes") > 0, F.sqrt(1 + F.lit(LENGTH) / F.col("n_bytes")))
-    out = scored.join(bands, "lang", "left").withColumn("low_bits", F.col("middle") - F.col("below") * wide).withColumn("high_bits", F.col("middle") + F.col("above") * wide)
+    out = scored.join(limits, "lang", "left").withColumn("low_bits", F.col("middle") - F.col("below") * wide).withColumn("high_bits", F.col("middle") + F.col("above") * wide)
     failed = (F.col("n_words") < 20) | (100 * F.col("n_repeat_words") > 30 * F.col("n_words"))
     fits = F.coalesce(F.col("bits").between(F.col("low_bits"), F.col("high_bits")), F.lit(True))
-    return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", failed.alias("base_failed"), (~failed & fits).alias("kept"), "lang", "n_bytes", "bits", F.pow(F.lit(2.0), "bits").alias("perplexity"), "low_bits", "high_bits")
+    return out.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", failed.alias("base_failed"), (~failed & fits).alias("kept"), "lang", "n_bytes", "bits", F.pow(F.lit(2.0), "bits").alias("perplexity"), "low_bits", "high_bits", "digest")
 
 
 def op10_quality(spark, sf_dir):
