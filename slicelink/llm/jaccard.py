@@ -9,10 +9,12 @@ times more if not, up to `ROUNDS` times in all. A pair of similarity s is lost b
 probability of that branching process, which hardly grows with depth, so the number of runs follows from the target
 recall.
 
-Small buckets are compared by brute force on the exact shingle sets: those that are tied by common sets to at most
-`BLOCK` of them in one go, others bucket by bucket, where a pair counts in the first bucket that holds both. Nodes of
-many sets that are alike are tied to dense groups, which are compared in pairs of blocks of about `BLOCK`: nearly
-every pair of them is a link that has to be counted. No pair is emitted, and no task holds more than two blocks.
+Sets of a small bucket whose tokens agree with those of no other one in it to `AGREE` are dropped (at a similarity of
+0.8 that loses one pair in 10 ** 7). What is left is compared by brute force on the exact shingle sets: buckets that
+common sets tie to each other as a whole, in pairs of blocks of about `BLOCK` sets, where that sends a set to no more
+places than its buckets would, and bucket by bucket where not; there a pair counts in the first bucket that holds both.
+Nodes of many sets that are alike are tied to dense groups, which are compared in pairs of blocks too: nearly every
+pair of them is a link that has to be counted. No pair is emitted, and no task holds more than two blocks.
 
 Defined results: null text is an empty one; texts without words have no shingles and no links, but equal ones are
 copies; copies share class and links; a link counts for different texts only, once for each text, whatever the ids: a
@@ -33,7 +35,7 @@ from .common import Words, mix, raw, ready, slices, table, written
 from .components import components
 
 SHINGLE, SIMILARITY, RECALL = 5, 0.8, 0.999
-COORDINATES, DEPTH, WIDTH, BLOCK, CLOSE, ROUNDS = 64, 4, 2, 96, 0.65, 3
+COORDINATES, DEPTH, WIDTH, BLOCK, CLOSE, ROUNDS, AGREE = 64, 4, 2, 96, 0.65, 3, 0.5
 _U = np.uint64
 _XOR = mix(np.arange(1, COORDINATES + 1, dtype=_U) * _U(0x9E3779B97F4A7C15))
 _MUL = mix(_XOR) | _U(1)
@@ -164,21 +166,59 @@ def buckets(first, runs: int, block: int = BLOCK):
     return written(small.distinct(), "buckets"), dense
 
 
-def units(vs, dense, block: int = BLOCK):
+def _plausible(batches):
+    """Rows (c, v, sig) sorted by c, v: vs, the sets of each c whose tokens agree with those of another one to `AGREE`."""
+    key, vs, sigs, out = None, [], [], []
+
+    def settle():
+        sig = np.frombuffer(b"".join(sigs), np.uint32).reshape(-1, COORDINATES)
+        agree = (sig[:, None, :] == sig[None, :, :]).sum(2)
+        np.fill_diagonal(agree, 0)
+        keep = np.flatnonzero(agree.max(1) >= AGREE * COORDINATES)
+        if len(keep):
+            out.append([vs[i] for i in keep])
+
+    for batch in batches:
+        for c, v, sig in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
+            if c != key:
+                if len(vs) > 1:
+                    settle()
+                key, vs, sigs = c, [], []
+            vs.append(v)
+            sigs.append(sig)
+        if len(out) > 10_000:
+            yield pa.RecordBatch.from_arrays([pa.array(out, pa.list_(pa.int64()))], names=["vs"])
+            out = []
+    if len(vs) > 1:
+        settle()
+    yield pa.RecordBatch.from_arrays([pa.array(out, pa.list_(pa.int64()))], names=["vs"])
+
+
+def units(first, vs, dense, block: int = BLOCK):
     """v, kind, c, nb, b, us, d: in which units (kind, c) a set is compared; nb blocks of the unit and the set's own; us: all units of it where pairs may meet in several; d: its dense group."""
     groups = components(dense.select(F.col("v").alias("a"), F.col("m").alias("b")))
+    # a bucket inside a dense group has no pair of its own
+    member = vs.select(F.xxhash64("vs").alias("c"), F.explode("vs").alias("v")).join(groups.select("v", F.col("c").alias("d")).hint("merge"), "v", "left")
+    whose = F.coalesce("d", "v")
+    apart = member.groupBy("c").agg(F.min(whose).alias("x"), F.max(whose).alias("y")).where("x <> y").select("c")
+    member = member.select("c", "v").join(apart.hint("merge"), "c", "left_semi").join(first.select("v", "sig").hint("merge"), "v").select("c", "v", "sig")
+    parts = int(first.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    vs = written(member.repartition(parts, "c").sortWithinPartitions("c", "v").mapInArrow(_plausible, "vs array<long>").distinct(), "apart")
     size = groups.groupBy("c").agg(F.ceil(F.count("*") / block).cast("int").alias("nb"))
     none = F.lit(None).cast("array<long>")
     thick = groups.join(size, "c").select("v", F.lit(2).alias("kind"), "c", "nb", F.pmod(F.xxhash64("v"), F.col("nb")).cast("int").alias("b"), none.alias("us"), F.lit(None).cast("long").alias("d"))
     tied = components(vs.select(F.col("vs")[0].alias("a"), F.explode("vs").alias("b")))
-    size = tied.groupBy("c").agg(F.count("*").alias("k"))
-    one = tied.join(size.where(F.col("k") <= block), "c").select("v", F.lit(0).alias("kind"), "c", none.alias("us"))
-    wide = tied.join(size.where(F.col("k") > block).hint("merge"), "c").select(F.col("v").alias("a"))
+    # tied buckets are compared as a whole, in blocks, where that sends a set to no more places than its buckets would
+    often = vs.groupBy(F.col("vs")[0].alias("v")).agg(F.sum(F.size("vs")).alias("n"))
+    size = tied.join(often.hint("merge"), "v", "left").groupBy("c").agg(F.ceil(F.count("*") / block).cast("int").alias("nb"), (F.sum("n") / F.count("*")).alias("places"))
+    whole = F.col("nb") <= F.greatest("places", F.lit(1.0))
+    one = tied.join(size.where(whole).hint("merge"), "c").select("v", F.lit(0).alias("kind"), "c", "nb", F.pmod(F.xxhash64("v"), F.col("nb")).cast("int").alias("b"), none.alias("us"))
+    wide = tied.join(size.where(~whole).hint("merge"), "c").select(F.col("v").alias("a"))
     lists = vs.withColumn("a", F.col("vs")[0]).join(wide.hint("merge"), "a", "left_semi").select(F.xxhash64("vs").alias("c"), F.explode("vs").alias("v")).distinct()
     of = lists.groupBy("v").agg(F.array_sort(F.collect_list("c")).alias("us"))  # as many as a text's own splits
-    many = lists.join(of.hint("merge"), "v").select("v", F.lit(1).alias("kind"), "c", "us")
+    many = lists.join(of.hint("merge"), "v").select("v", F.lit(1).alias("kind"), "c", F.lit(1).alias("nb"), F.lit(0).alias("b"), "us")
     thin = one.union(many).join(groups.select("v", F.col("c").alias("d")).hint("merge"), "v", "left")
-    return thick.unionByName(thin.select("v", "kind", "c", F.lit(1).alias("nb"), F.lit(0).alias("b"), "us", "d"))
+    return thick.unionByName(thin.select("v", "kind", "c", "nb", "b", "us", "d"))
 
 
 def intersections(gram: np.ndarray, doc: np.ndarray, n: int) -> np.ndarray:
@@ -275,7 +315,8 @@ def similar(docs, similarity: float = SIMILARITY, recall: float = RECALL, id_col
     sketch = written(sketches(docs, id_col, text_col), "sketches")
     same = written(sketch.groupBy("digest").agg(F.min("u").alias("v"), F.min("doc_id").alias("r"), F.count("*").alias("n_copies")), "copies")
     first = sketch.where("n_shingles > 0").select(F.col("u").alias("v"), "sig").join(same.select("v").hint("merge"), "v", "left_semi")
-    own = units(*buckets(written(first, "texts"), runs_for(recall, similarity), block), block)
+    first = written(first, "texts")
+    own = units(first, *buckets(first, runs_for(recall, similarity), block), block)
     own = own.join(same.select("v", "r", "digest").hint("merge"), "v")
     texts = texts.withColumn("h", F.unhex(F.md5("t")))
     rows = texts.join(own.hint("merge"), (F.col("h") == F.col("digest")) & F.col("i").eqNullSafe(F.col("r")))

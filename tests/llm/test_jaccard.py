@@ -1,8 +1,10 @@
 """The chosen-path join against all pairs: chains, dense groups, deep splits, ids that repeat, and recall."""
 
 import random
+from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 
 from slicelink.llm import jaccard
@@ -34,7 +36,7 @@ def mixed():
     return rows
 
 
-@pytest.mark.parametrize("block", [8, 24, 96])
+@pytest.mark.parametrize("block", [3, 8, 96])
 def test_all_ways_find_the_links_of_all_pairs(spark, mixed, block):
     got = {x.doc_id: (x.class_id, x.n_links) for x in jaccard.similar(spark.createDataFrame(mixed, "doc_id long, text string"), recall=0.999999, block=block).collect()}
     assert got == plain_similar(dict(mixed))
@@ -43,12 +45,33 @@ def test_all_ways_find_the_links_of_all_pairs(spark, mixed, block):
 def test_small_buckets_and_dense_groups(spark, mixed):
     df = spark.createDataFrame(mixed, "doc_id long, text string")
     first = jaccard.written(jaccard.sketches(df), "sketches").selectExpr("u AS v", "sig", "doc_id")
-    vs, dense = jaccard.buckets(first, 3, 8)
-    assert all(1 < len(x.vs) <= 8 and x.vs == sorted(x.vs) for x in vs.collect())
+    vs, dense = jaccard.buckets(first, 3, 3)
+    assert all(1 < len(x.vs) <= 3 and x.vs == sorted(x.vs) for x in vs.collect())
     doc = {x.v: x.doc_id for x in first.collect()}
     assert {doc[x.v] for x in dense.collect()} >= set(range(100, 140))  # the near copies; loose texts are split
-    kinds = {x.kind for x in jaccard.units(vs, dense, 8).collect()}
-    assert kinds == {0, 1, 2}
+    assert {x.kind for x in jaccard.units(first, vs, dense, 3).collect()} >= {0, 2}
+
+
+def test_long_chains_are_compared_bucket_by_bucket(spark):
+    words, texts = prose(120, 21, None).split(), []
+    for i in range(60):
+        texts.append(" ".join(words))
+        words[(i * 37) % 120] = f"c{i}"
+    sig = bytes(4 * jaccard.COORDINATES)
+    first = spark.createDataFrame([(i, sig) for i in range(60)], "v long, sig binary")
+    vs = spark.createDataFrame([([i, i + 1, i + 2],) for i in range(58)], "vs array<long>")
+    units = jaccard.units(first, vs, spark.createDataFrame([(50, 50), (50, 51), (50, 52)], "m long, v long"), 4).collect()
+    chain = [x for x in units if x.kind == 1]
+    assert len(chain) == 3 * 57 and all(x.c in x.us for x in chain) and {x.v for x in units if x.kind == 2} == {50, 51, 52}  # 50 to 52 are compared as a group
+    rows = sorted((x.kind, x.c, b, max(b, o), x.b, x.v, texts[x.v], x.us, x.d) for x in units for o in range(x.nb) for b in [min(x.b, o)])
+    batch = pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), [pa.int32(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int64(), pa.string(), pa.list_(pa.int64()), pa.int64()], strict=True)], names=["kind", "c", "x", "y", "b", "v", "t", "us", "d"])
+    found = Counter()
+    for out in jaccard._blocks([batch], 0.8):
+        for v, n in zip(out.column(0).to_pylist(), out.column(1).to_pylist(), strict=True):
+            found[v] += n
+    sets = [frozenset(zip(*(t.split()[k:] for k in range(5)), strict=False)) for t in texts]
+    linked = lambda x, y: len(sets[x] & sets[y]) >= 0.8 * len(sets[x] | sets[y])
+    assert found == Counter({x: n for x in range(60) if (n := sum(linked(x, y) for y in range(60) if 0 < abs(x - y) <= 2))})
 
 
 def test_ids_that_repeat_clash_or_are_null(spark):
