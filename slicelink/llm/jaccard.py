@@ -310,7 +310,8 @@ def _blocks(batches, similarity):
 
 def similar(docs, similarity: float = SIMILARITY, recall: float = RECALL, id_col: str = "doc_id", text_col: str = "text", block: int = BLOCK):
     """One row per document: class_id (the smallest id of its class), copy_of (the smallest id with the same text),
-    n_copies, n_links (different texts of at least that similarity), n_shingles, digest (the text's MD5)."""
+    n_copies, n_links (different texts of at least that similarity), n_shingles, digest (the text's MD5), class_key (a number of
+    the class, in this result)."""
     texts = docs.select(docs[id_col].cast("long").alias("i"), F.coalesce(docs[text_col], F.lit("")).alias("t"))
     sketch = written(sketches(docs, id_col, text_col), "sketches")
     same = written(sketch.groupBy("digest").agg(F.min("u").alias("v"), F.min("doc_id").alias("r"), F.count("*").alias("n_copies")), "copies")
@@ -329,10 +330,10 @@ def similar(docs, similarity: float = SIMILARITY, recall: float = RECALL, id_col
     links = found.groupBy("v").agg(F.sum("links").alias("n_links"))
     linked = written(classes.join(links, "v").join(same.select("v", "r").hint("merge"), "v"), "linked")
     names = linked.groupBy("c").agg(F.min("r").alias("class_id"))
-    of = same.join(linked.join(names, "c").select("v", "class_id", "n_links").hint("merge"), "v", "left")
-    of = of.select("digest", F.coalesce("class_id", "r").alias("class_id"), F.col("r").alias("copy_of"), "n_copies", F.coalesce("n_links", F.lit(0)).alias("n_links"))
-    return sketch.select("doc_id", "digest", "n_shingles").join(of, "digest").select("doc_id", "class_id", "copy_of", "n_copies", "n_links", "n_shingles", "digest")
+    of = same.join(linked.join(names, "c").select("v", "class_id", "n_links", "c").hint("merge"), "v", "left")
+    of = of.select("digest", F.coalesce("class_id", "r").alias("class_id"), F.col("r").alias("copy_of"), "n_copies", F.coalesce("n_links", F.lit(0)).alias("n_links"), F.coalesce("c", "v").alias("class_key"))
+    return sketch.select("doc_id", "digest", "n_shingles").join(of, "digest").select("doc_id", "class_id", "copy_of", "n_copies", "n_links", "n_shingles", "digest", "class_key")
 
 
 def op7_jaccard(spark, sf_dir):
-    return similar(table(spark, sf_dir, "documents"))
+    return similar(table(spark, sf_dir, "documents")).drop("digest", "class_key")

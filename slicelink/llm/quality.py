@@ -356,4 +356,4 @@ def judge(docs, id_col: str = "doc_id", text_col: str = "text", lang_col: str =
 
 
 def op10_quality(spark, sf_dir):
-    return judge(table(spark, sf_dir, "documents"))
+    return judge(table(spark, sf_dir, "documents")).drop("digest")

@@ -82,3 +82,24 @@ def test_odd_rows_pass_all_stages(spark, sf, tmp_path):
             stage(spark, docs, sf).write.parquet(path)
             docs = spark.read.parquet(path)
         assert (docs.count() > 0) == bool(data)
+
+
+def test_rows_that_share_an_id_are_judged_one_by_one(spark, sf, tmp_path):
+    good, other, junk = prose(300, 21, None), prose(300, 22, None), "again and again the very same words come along " * 12
+    near = good.replace(good.split()[5], "changed", 1)
+    rows = [(1, good), (1, good), (1, junk), (2, near), (None, near + " end"), (None, other), (None, other), (4, prose(300, 23, None)), (4, prose(300, 24, None))]
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in rows], DOCS)
+    kept = lambda d: sorted(((r.doc_id, r.text) for r in d.collect()), key=repr)
+    one = p.quality(spark, docs, sf)
+    assert kept(one) == sorted([r for r in rows if r[1] != junk], key=repr)
+    one.write.parquet(str(tmp_path / "q"))
+    two = p.near_duplicates(spark, spark.read.parquet(str(tmp_path / "q")), sf)
+    assert kept(two) == sorted([(1, good), (None, other), rows[7], rows[8]], key=repr)
+
+
+def test_spans_are_cut_from_the_text_that_holds_them(spark, sf):
+    a, b, shared = prose(90, 31, None), prose(90, 32, None), prose(80, 33, None)
+    rows = [(1, f"{a} {shared}"), (2, f"{b} {shared}"), (2, prose(60, 34, None)), (None, f"{shared} {b}")]
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in rows], DOCS)
+    got = sorted(((r.doc_id, " ".join(r.text.split())) for r in p.repeated_passages(spark, docs, sf).collect()), key=repr)
+    assert (1, rows[0][1]) in got and (2, b) in got and (2, rows[2][1]) in got and (None, rows[3][1]) in got and len(got) == 4
