@@ -1,7 +1,10 @@
 """The corpus pipeline: quality rules, n-gram Jaccard join, substring dedup, personal data, packing.
 
 Every stage takes all that the one before kept. All but the last return the columns of documents, n_chars set anew
-where a stage changes texts. Rows with a null doc_id pass the filtering stages untouched: no verdict can name them.
+where a stage changes texts. A verdict names a row by its doc_id and the MD5 of its text, so rows that share a doc_id
+are judged one by one, and rows with a null doc_id like others; equal rows (doc_id and text) have the same verdict, and
+one of them at most passes near_duplicates. Only repeated_passages leaves texts without a doc_id alone: they have no
+place in the order by which the first holder of a passage keeps it.
 """
 
 from __future__ import annotations
@@ -18,20 +21,26 @@ from slicelink.llm.quality import judge
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
 
-def _without(docs, ids):
-    """docs but for those whose doc_id is among ids (column doc_id)."""
-    # a merge join at every size: ids grow with the input
-    return docs.select(COLUMNS).join(ids.select("doc_id").hint("merge"), "doc_id", "left_anti").select(COLUMNS)
+def _told(docs, verdicts, how):
+    """docs joined with verdicts (doc_id, digest, ...), which are named by doc_id and the text's MD5."""
+    docs = docs.select(*COLUMNS, F.unhex(F.md5(F.coalesce("text", F.lit("")))).alias("_digest"))
+    named = verdicts.withColumnsRenamed({"doc_id": "_id", "digest": "_of"}).hint("merge")  # at every size: verdicts grow with the input
+    return docs.join(named, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_digest") == F.col("_of")), how)
 
 
 def quality(spark, docs, sf_dir):
     """Rejected documents go."""
-    return _without(docs, judge(docs).where(~F.col("kept")))
+    return _told(docs, judge(docs).where(~F.col("kept")).select("doc_id", "digest"), "left_anti").select(COLUMNS)
 
 
 def near_duplicates(spark, docs, sf_dir):
-    """Of each group of similar documents the one with the smallest id stays."""
-    return _without(docs, similar(docs).where(F.col("class_id") != F.col("doc_id")))
+    """Of each group of similar documents the one with the smallest id stays (of equal ids that with the least MD5; null ids come last)."""
+    rows = similar(docs).groupBy("class_key", "doc_id", "digest").agg(F.count("*").alias("same"))
+    first = rows.groupBy("class_key").agg(F.min(F.struct(F.col("doc_id").isNull().alias("last"), "doc_id", "digest", "same")).alias("f"))
+    first = written(first.select("f.doc_id", "f.digest", "f.same"), "first")
+    kept = _told(docs, first, "inner")
+    once = kept.where("same > 1").dropDuplicates(["doc_id", "_digest"])
+    return kept.where("same = 1").select(COLUMNS).unionByName(once.select(COLUMNS))
 
 
 def _cut(batches):
@@ -56,10 +65,8 @@ def _cut(batches):
 
 def repeated_passages(spark, docs, sf_dir):
     """A passage stays in the first document that holds it and is cut from the others; one with nothing else goes."""
-    found = passages(docs).groupBy("doc_id").agg(F.collect_set(F.struct("start", "end")).alias("spans"))  # as many as its own length allows
-    found = written(found, "spans")
-    rows = docs.select(COLUMNS).join(found.hint("merge"), "doc_id", "left")
-    return rows.select(*COLUMNS, "spans").mapInArrow(_cut, docs.select(COLUMNS).schema)
+    found = passages(docs).groupBy("doc_id", "digest").agg(F.collect_set(F.struct("start", "end")).alias("spans"))  # as many as its own length allows
+    return _told(docs, written(found, "spans"), "left").select(*COLUMNS, "spans").mapInArrow(_cut, docs.select(COLUMNS).schema)
 
 
 def personal_data(spark, docs, sf_dir):
