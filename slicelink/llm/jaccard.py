@@ -11,7 +11,7 @@ recall.
 
 Sets of a small bucket whose tokens agree with those of no other one in it to `AGREE` are dropped (at a similarity of
 0.8 that loses one pair in 10 ** 7). What is left is compared by brute force on the exact shingle sets: buckets that
-common sets tie to each other as a whole, in pairs of blocks of about `BLOCK` sets, where that sends a set to no more
+common sets tie to each other as a whole, in pairs of blocks of about `WIDE` sets, where that sends a set to no more
 places than its buckets would, and bucket by bucket where not; there a pair counts in the first bucket that holds both.
 Nodes of many sets that are alike are tied to dense groups, which are compared in pairs of blocks too: nearly every
 pair of them is a link that has to be counted. No pair is emitted, and no task holds more than two blocks.
@@ -35,7 +35,7 @@ from .common import Words, mix, raw, ready, slices, table, written
 from .components import components
 
 SHINGLE, SIMILARITY, RECALL = 5, 0.8, 0.999
-COORDINATES, DEPTH, WIDTH, BLOCK, CLOSE, ROUNDS, AGREE = 64, 4, 2, 96, 0.65, 3, 0.5
+COORDINATES, DEPTH, WIDTH, BLOCK, WIDE, CLOSE, ROUNDS, AGREE = 64, 4, 2, 96, 512, 0.65, 3, 0.5
 _U = np.uint64
 _XOR = mix(np.arange(1, COORDINATES + 1, dtype=_U) * _U(0x9E3779B97F4A7C15))
 _MUL = mix(_XOR) | _U(1)
@@ -194,7 +194,7 @@ def _plausible(batches):
     yield pa.RecordBatch.from_arrays([pa.array(out, pa.list_(pa.int64()))], names=["vs"])
 
 
-def units(first, vs, dense, block: int = BLOCK):
+def units(first, vs, dense, block: int = WIDE):
     """v, kind, c, nb, b, us, d: in which units (kind, c) a set is compared; nb blocks of the unit and the set's own; us: all units of it where pairs may meet in several; d: its dense group."""
     groups = components(dense.select(F.col("v").alias("a"), F.col("m").alias("b")))
     # a bucket inside a dense group has no pair of its own
@@ -308,7 +308,7 @@ def _blocks(batches, similarity):
         yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*found, strict=True)], schema=schema)
 
 
-def similar(docs, similarity: float = SIMILARITY, recall: float = RECALL, id_col: str = "doc_id", text_col: str = "text", block: int = BLOCK):
+def similar(docs, similarity: float = SIMILARITY, recall: float = RECALL, id_col: str = "doc_id", text_col: str = "text", block: int = BLOCK, wide: int = WIDE):
     """One row per document: class_id (the smallest id of its class), copy_of (the smallest id with the same text),
     n_copies, n_links (different texts of at least that similarity), n_shingles, digest (the text's MD5), class_key (a number of
     the class, in this result)."""
@@ -317,7 +317,7 @@ def similar(docs, similarity: float = SIMILARITY, recall: float = RECALL, id_col
     same = written(sketch.groupBy("digest").agg(F.min("u").alias("v"), F.min("doc_id").alias("r"), F.count("*").alias("n_copies")), "copies")
     first = sketch.where("n_shingles > 0").select(F.col("u").alias("v"), "sig").join(same.select("v").hint("merge"), "v", "left_semi")
     first = written(first, "texts")
-    own = units(first, *buckets(first, runs_for(recall, similarity), block), block)
+    own = units(first, *buckets(first, runs_for(recall, similarity), block), wide)
     own = own.join(same.select("v", "r", "digest").hint("merge"), "v")
     texts = texts.withColumn("h", F.unhex(F.md5("t")))
     rows = texts.join(own.hint("merge"), (F.col("h") == F.col("digest")) & F.col("i").eqNullSafe(F.col("r")))

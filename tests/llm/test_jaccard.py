@@ -36,9 +36,9 @@ def mixed():
     return rows
 
 
-@pytest.mark.parametrize("block", [3, 8, 96])
-def test_all_ways_find_the_links_of_all_pairs(spark, mixed, block):
-    got = {x.doc_id: (x.class_id, x.n_links) for x in jaccard.similar(spark.createDataFrame(mixed, "doc_id long, text string"), recall=0.999999, block=block).collect()}
+@pytest.mark.parametrize("block, wide", [(3, 5), (8, 8), (96, 512)])
+def test_all_ways_find_the_links_of_all_pairs(spark, mixed, block, wide):
+    got = {x.doc_id: (x.class_id, x.n_links) for x in jaccard.similar(spark.createDataFrame(mixed, "doc_id long, text string"), recall=0.999999, block=block, wide=wide).collect()}
     assert got == plain_similar(dict(mixed))
 
 
