@@ -1,7 +1,7 @@
 """License scans in DataFrame operations: sparse TF-IDF cosine to templates, then inheritance by directory.
 
-Units are the lines of a text that have a cue (CUES), its paragraphs of several lines that have one (headers that run
-over lines, paragraphs of licence texts), and licence files (by their name) as a whole. Terms are lower-case letters
+Units are the lines of a text that have a cue (CUES); its paragraphs of several lines that have one, if it has several
+paragraphs (headers that run over lines, paragraphs of licence texts); and licence files (by their name) as a whole. Terms are lower-case letters
 and digits; a term's weight is its count times ln((1 + N) / (1 + df)) + 1 over all N units of the corpus, in which
 equal texts are one. Templates are short notices, titles and whole texts. The text's licence is the template with the
 best cosine of its units, from `LEAST` on; one that says under which licence it stands (SAYS), but matches no template,
@@ -81,7 +81,7 @@ def units(files: DataFrame) -> DataFrame:
     some = files.where(has(F.lower("text")))
     lines = some.select("k", F.posexplode(F.split("text", "\n")).alias("unit", "part"))
     lines = lines.where(has(F.lower("part"))).select("k", "unit", F.lower("part").rlike(SAYS).alias("says"), "part")
-    blocks = some.select("k", F.posexplode(F.split("text", PARAGRAPH)).alias("at", "part"))
+    blocks = some.select("k", F.split("text", PARAGRAPH).alias("parts")).where(F.size("parts") > 1).select("k", F.posexplode("parts").alias("at", "part"))
     blocks = blocks.where(F.contains("part", F.lit("\n")) & has(F.lower("part"))).select("k", (-2 - F.col("at")).alias("unit"), F.lit(False).alias("says"), "part")
     whole = files.where(F.col("name").rlike(FILES)).select("k", F.lit(-1).alias("unit"), F.lit(False).alias("says"), F.col("text").alias("part"))
     return lines.union(blocks).union(whole).select("k", "unit", "says", _terms(F.col("part")).alias("terms")).dropDuplicates(["k", "unit"])
@@ -127,7 +127,7 @@ def scan(docs: DataFrame, id_col: str = "doc_id", path_col: str = "path", text_c
     path = docs[path_col].cast("string")
     folder, name = F.regexp_replace(path, "/?[^/]*$", ""), F.substring_index(path, "/", -1)
     text = F.coalesce(docs[text_col], F.lit(""))
-    files = docs.select(docs[id_col].cast("long").alias("id"), path.alias("path"), folder.alias("dir"), name.alias("name"), text.alias("text"), F.md5(F.concat(F.when(name.rlike(FILES), "1").otherwise("0"), text)).alias("k"))
+    files = docs.select(docs[id_col].cast("long").alias("id"), path.alias("path"), folder.alias("dir"), name.alias("name"), text.alias("text"), F.unhex(F.md5(F.concat(F.when(name.rlike(FILES), "1").otherwise("0"), text))).alias("k"))
     own = written(own_licenses(files, least), "licences")
     slim = files.select("id", "path", "dir", "name", "k")
     # a directory's licence: that of its licence file
@@ -167,7 +167,7 @@ WITH files AS (
     CASE WHEN doc_id % 64 = 0 THEN 'LICENSE' ELSE doc_id || '.txt' END AS name FROM documents),
 texts AS (SELECT DISTINCT text, name = 'LICENSE' AS file, md5(CASE WHEN name = 'LICENSE' THEN '1' ELSE '0' END || text) AS k FROM files),
 lines AS (SELECT k, unnest(string_split(text, chr(10))) AS part, generate_subscripts(string_split(text, chr(10)), 1) - 1 AS unit FROM texts WHERE {cue("lower(text)")}),
-paragraphs AS (SELECT k, unnest(a) AS part, -1 - generate_subscripts(a, 1) AS unit FROM (SELECT k, regexp_split_to_array(text, '{PARAGRAPH}') AS a FROM texts WHERE {cue("lower(text)")})),
+paragraphs AS (SELECT k, unnest(a) AS part, -1 - generate_subscripts(a, 1) AS unit FROM (SELECT k, regexp_split_to_array(text, '{PARAGRAPH}') AS a FROM texts WHERE {cue("lower(text)")}) WHERE len(a) > 1),
 units AS (SELECT k, unit, regexp_matches(lower(part), '{SAYS}') AS says, regexp_extract_all(lower(part), '[a-z0-9]+') AS terms FROM lines WHERE {cue("lower(part)")}
   UNION ALL SELECT k, unit, false, regexp_extract_all(lower(part), '[a-z0-9]+') FROM paragraphs WHERE {cue("lower(part)")} AND contains(part, chr(10))
   UNION ALL SELECT k, -1, false, regexp_extract_all(lower(text), '[a-z0-9]+') FROM texts WHERE file),
