@@ -1,22 +1,32 @@
-"""The experiments: methods, slice sizes in training and inference, history, and end-to-end SQL, as RESULT rows."""
+"""The experiments: methods, slice sizes in training and inference, history, and end-to-end SQL, as RESULT rows.
+
+All run at the published sizes, 254 tables with 3,647 + 383 questions and 172 tables with 1,736 + 178, for three
+stand-ins of base models, two with long contexts and one with 4,096 tokens. Trained models, catalogs and prompts are
+shared by the experiments of a session.
+"""
 
 from __future__ import annotations
 
 import time
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..session import settled
 from . import catalog as C
 from . import cost, examples, linking, metrics, slicing, sqlgen, train, workload
 from .groups import order
 from .linkers import LexicalLinker, LowRankConfig, LowRankText, PairLogit
 
-RESULT = "exp string, dataset int, method string, model string, config string, n long, tot_acc double, filt_acc double, avg_prec double, avg_rec double, mem_mb double, calls int, time_s double, status string"
+RESULT = "exp string, dataset int, method string, model string, config string, n long, tot_acc double, filt_acc double, avg_prec double, avg_rec double, tot_lo double, tot_hi double, mem_mb double, calls int, time_s double, status string"
 BUDGET_MB = 80_000
 #: Stand-ins for base models: learner and context window in tokens.
-MODELS = {"logit": ("pair", 100_000), "lowrank": ("rank", 100_000), "lowrank_4k": ("rank", 4096)}
+MODELS = {"lowrank": ("rank", 100_000), "logit": ("pair", 100_000), "lowrank_4k": ("rank", 4096)}
+#: Slice counts in training and inference: of the first study by dataset, of the second by the number in training.
+TRAIN_COUNTS = {1: (6, 8, 10, 12), 2: (6, 8, 12, 14)}
+INFER_COUNTS = {8: (8, 5, 4), 11: (11, 8, 7)}
+BATCH = {"full_schema": 1}
 
 
 @dataclass
@@ -28,6 +38,8 @@ class Setting:
     qa: DataFrame
     ordered: DataFrame
     sizes: list[int]
+    shelf: linking.Shelf
+    made: dict = field(default_factory=dict)
 
     @property
     def train(self):
@@ -42,163 +54,198 @@ class Setting:
         return slicing.pack(self.ordered, cap), cap, n
 
 
-def setting(spark: SparkSession, sf_dir: str, which: int, scale: float) -> Setting:
-    cat, qa = workload.dataset(spark, sf_dir, which, scale)
-    cat, qa = cat.cache(), qa.cache()
-    ordered = order(cat).cache()
-    return Setting(which, cat, qa, ordered, [r.n_tokens for r in ordered.orderBy("pos").collect()])
+_SETTINGS: dict = {}
 
 
-def learner(model: str, seed: int = 3):
-    kind, context = MODELS[model]
-    return PairLogit() if kind == "pair" else LowRankText(LowRankConfig(), seed, context)
+def setting(spark: SparkSession, sf_dir: str, which: int, scale: float = 1.0) -> Setting:
+    """One of the two databases; made once in a session."""
+    key = (spark.sparkContext.applicationId, sf_dir, which, scale)
+    if key not in _SETTINGS:
+        cat, qa = workload.dataset(spark, sf_dir, which, scale)
+        cat, qa = settled(cat, "catalog"), settled(qa, "qa")
+        ordered = settled(order(cat), "ordered")
+        _SETTINGS[key] = Setting(which, cat, qa, ordered, [r.n_tokens for r in ordered.orderBy("pos").collect()], linking.Shelf.of(cat))
+    return _SETTINGS[key]
 
 
-def tuned(model: str, rows: DataFrame, epochs: int, steps: int):
-    one = learner(model)
-    if isinstance(one, PairLogit):
-        return one.fit(rows.select("features", "label", "weight"))
-    return train.fit(one, rows, epochs, steps)[0]
+def learner(model: str, seed: int = 3):
+    kind, context = MODELS[model]
+    return PairLogit(context_window=context) if kind == "pair" else LowRankText(LowRankConfig(), seed, context)
 
 
 class Lab:
-    """Trains each (model, slices, history) once."""
+    """Trains each (model, slices, history) once, and infers each of its settings once."""
 
-    def __init__(self, s: Setting, epochs: int | None = None, steps: int = 8):
-        self.s, self.epochs, self.steps, self.made = s, epochs or (2 if s.which == 1 else 3), steps, {}
+    def __init__(self, s: Setting, epochs: int | None = None, steps: int = 10):
+        self.s, self.epochs, self.steps, self.made = s, epochs or (2 if s.which == 1 else 3), steps, s.made
 
     def shelf(self, method: str, wanted: int):
-        key = ("shelf", method, wanted)
+        """(shelf, cap, slices)"""
+        key = ("shelf", method, wanted if method == "slice_wise" else 1)
         if key not in self.made:
             if method == "slice_wise":
                 sl, cap, n = self.s.slices(wanted)
-                self.made[key] = (linking.Shelf.of(self.s.catalog, sl), cap, n)
+                self.made[key] = (self.s.shelf.of_slices(sl), cap, n)
             else:
-                one = linking.Shelf.of(self.s.catalog)
-                self.made[key] = (one.names_only() if method == "names_only" else one, sum(self.s.sizes), 1)
+                self.made[key] = (self.s.shelf.names_only() if method == "names_only" else self.s.shelf, sum(self.s.sizes), 1)
         return self.made[key]
 
     def model(self, model: str, method: str, wanted: int, history: bool):
-        key = (model, method, wanted, history)
+        kind = MODELS[model][0]  # a context window changes what may run, not what is learnt
+        key = (kind, method, wanted if method == "slice_wise" else 1, history)
         if key not in self.made:
             shelf, _, _ = self.shelf(method, wanted)
-            self.made[key] = tuned(model, linking.examples_frame(self.s.train, shelf, history), self.epochs, self.steps)
+            self.made[key] = train.fit(learner(model), self.s.train, shelf, history, self.epochs, self.steps)[0]
         return self.made[key]
 
+    def predicted(self, model: str, method: str, trained: int, history: bool, wanted: int, past: bool) -> tuple[DataFrame, float]:
+        """(PRED, seconds a question) of a model trained on `trained` slices that infers on `wanted`."""
+        kind = MODELS[model][0]
+        key = ("pred", kind, method, trained, history, wanted, past)
+        if key not in self.made:
+            one, shelf = self.model(model, method, trained, history), self.shelf(method, wanted)[0]
+            t = time.time()
+            pred = settled(linking.infer(one, self.s.valid, shelf, past), "pred")
+            self.made[key] = (pred, (time.time() - t) / max(1, self.s.valid.count()))
+        return self.made[key]
+
+    def prompted(self) -> tuple[DataFrame, float]:
+        """The untrained linker on the whole schema."""
+        if "prompted" not in self.made:
+            t = time.time()
+            pred = settled(linking.infer_once(LexicalLinker(), self.s.valid, self.s.catalog), "pred")
+            self.made["prompted"] = (pred, (time.time() - t) / max(1, self.s.valid.count()))
+        return self.made["prompted"]
 
-def row(exp: str, s: Setting, method: str, model: str, config: str, pred: DataFrame | None, status: str, mem: float, calls: int) -> tuple:
+
+def row(exp: str, s: Setting, method: str, model: str, config: str, pred: tuple[DataFrame, float] | None, status: str, mem: float, calls: int) -> tuple:
     if pred is None:
-        return (exp, s.which, method, model, config, 0, None, None, None, None, None, calls, None, status)
-    t = time.time()
-    r = metrics.link_scores(pred, s.valid).first()
-    return (exp, s.which, method, model, config, r.n, r.tot_acc, r.filt_acc, r.avg_prec, r.avg_rec, round(mem, 1), calls, round((time.time() - t) / max(1, r.n), 5), status)
+        return (exp, s.which, method, model, config, 0, *[None] * 6, None, calls, None, status)
+    r = metrics.wilson(metrics.link_scores(pred[0], s.valid), "tot_acc").first()
+    return (exp, s.which, method, model, config, r.n, r.tot_acc, r.filt_acc, r.avg_prec, r.avg_rec, r.lo, r.hi, round(mem, 1), calls, round(pred[1], 5), status)
 
 
 def memory(which: int) -> cost.MemoryModel:
     return cost.MemoryModel.fit(cost.MEMORY_POINTS[which], batch=2)
 
 
+NAME_TOKENS = "[a-z]+|[0-9]+|_"
+
+
 def gated(s: Setting, method: str, model: str, wanted: int, lab: Lab) -> tuple[str, float]:
-    """(status, estimated MB) of a method before it runs: the largest prompt against context and memory."""
-    _, cap, _ = lab.shelf("slice_wise" if method == "slice_wise" else method if method == "names_only" else "full_schema", wanted)
-    tokens = cap if method == "slice_wise" else sum(s.sizes)
+    """(status, estimated MB) of a method before it runs: the largest prompt against context and, in training, memory."""
+    tokens = lab.shelf("slice_wise", wanted)[1] if method == "slice_wise" else sum(s.sizes)
     if method == "names_only":
-        tokens = s.catalog.agg(F.sum(F.size(F.regexp_extract_all("table_name", F.lit("[a-z]+|[0-9]+|_"), 0)) + 1)).first()[0]
-    mb = memory(s.which).mb(tokens, 1 if method == "full_schema" else 2)
-    if tokens > MODELS.get(model, ("", 100_000))[1]:
+        tokens = s.catalog.agg(F.sum(F.size(F.regexp_extract_all("table_name", F.lit(NAME_TOKENS), 0)) + 1)).first()[0]
+    mb = memory(s.which).base if method == "untrained" else memory(s.which).mb(tokens, BATCH.get(method, 2))
+    if tokens > MODELS[model][1]:
         return "CONTEXT_EXCEEDED", mb
-    return ("OOM" if method == "full_schema" and mb > BUDGET_MB else "OK"), mb
+    return ("OOM" if mb > BUDGET_MB else "OK"), mb
 
 
 def slice_counts(which: int, model: str) -> int:
     return 11 if model == "lowrank_4k" and which == 1 else 8
 
 
-def methods(spark: SparkSession, sf_dir: str, datasets=(1, 2), models=("logit", "lowrank_4k"), scale: float = 0.05) -> DataFrame:
+METHODS = ("untrained", "names_only", "slice_wise", "full_schema")
+
+
+def methods(spark: SparkSession, sf_dir: str, datasets=(1, 2), models=tuple(MODELS), scale: float = 1.0) -> DataFrame:
     """Untrained prompt, names only, slice-wise and full schema."""
     out = []
     for which in datasets:
         s = setting(spark, sf_dir, which, scale)
         lab = Lab(s)
-        for model in models:
-            for method in ("untrained", "names_only", "slice_wise", "full_schema"):
+        for method in METHODS:
+            for model in models:
                 m = slice_counts(which, model)
-                status, mb = gated(s, "full_schema" if method == "untrained" else method, model, m, lab)
-                if method == "untrained" and status == "OOM":
-                    status, mb = "OK", memory(which).base
+                status, mb = gated(s, method, model, m, lab)
+                past = method == "slice_wise"
+                _, cap, n = lab.shelf(method, m)
+                config = f"{n} slices, cap {cap}" if past else ""
                 if status != "OK":
-                    out.append(row("methods", s, method, model, "", None, status, mb, 0))
-                elif method == "untrained":
-                    out.append(row("methods", s, method, model, "", linking.infer_once(LexicalLinker(), s.valid, s.catalog), status, mb, 1))
+                    out.append(row("methods", s, method, model, config, None, status, mb, 0))
                 else:
-                    shelf, cap, n = lab.shelf(method, m)
-                    history = method == "slice_wise"
-                    pred = linking.infer(lab.model(model, method, m, history), s.valid, shelf, history)
-                    out.append(row("methods", s, method, model, f"{n} slices, cap {cap}" if history else "", pred, status, mb, n))
+                    pred = lab.prompted() if method == "untrained" else lab.predicted(model, method, m, past, m, past)
+                    out.append(row("methods", s, method, model, config, pred, status, mb, n))
     return spark.createDataFrame(out, RESULT)
 
 
-def train_granularity(spark, sf_dir, datasets=(1, 2), model="logit", scale: float = 0.05, counts=None) -> DataFrame:
+def train_granularity(spark, sf_dir, datasets=(1, 2), model="lowrank", scale: float = 1.0, counts=None) -> DataFrame:
     """Slice counts in training and inference alike."""
     out = []
     for which in datasets:
         s = setting(spark, sf_dir, which, scale)
         lab = Lab(s)
-        for m in counts or ((6, 8, 10, 12) if which == 1 else (6, 8, 12, 14)):
-            shelf, cap, n = lab.shelf("slice_wise", m)
-            pred = linking.infer(lab.model(model, "slice_wise", m, True), s.valid, shelf)
-            out.append(row("train_granularity", s, "slice_wise", model, f"{n} slices, cap {cap}", pred, "OK", memory(which).mb(cap, 2), n))
+        for m in counts or TRAIN_COUNTS[which]:
+            _, cap, n = lab.shelf("slice_wise", m)
+            out.append(row("train_granularity", s, "slice_wise", model, f"{n} slices, cap {cap}", lab.predicted(model, "slice_wise", m, True, m, True), "OK", memory(which).mb(cap, 2), n))
     return spark.createDataFrame(out, RESULT)
 
 
-def history(spark, sf_dir, datasets=(1, 2), models=("lowrank",), scale: float = 0.05) -> DataFrame:
-    """No history, history in training and inference, history in inference only."""
+def history(spark, sf_dir, datasets=(1, 2), models=tuple(MODELS), scale: float = 1.0) -> DataFrame:
+    """No history, history in training and inference, history in inference only.
+
+    The logistic stand-in has no weight for history that it never saw in training, so its last row equals its first but
+    for the part that the prompt's size plays; the low-rank one sees history as words of the prompt.
+    """
     out = []
     for which in datasets:
         s = setting(spark, sf_dir, which, scale)
         lab = Lab(s)
         for model in models:
             m = slice_counts(which, model)
-            shelf, cap, n = lab.shelf("slice_wise", m)
+            _, cap, n = lab.shelf("slice_wise", m)
             for name, regime in linking.REGIMES.items():
-                pred = linking.infer(lab.model(model, "slice_wise", m, regime.train), s.valid, shelf, regime.infer)
-                out.append(row("history", s, name, model, f"{n} slices, cap {cap}", pred, "OK", memory(which).mb(cap, 2), n))
+                out.append(row("history", s, name, model, f"{n} slices, cap {cap}", lab.predicted(model, "slice_wise", m, regime.train, m, regime.infer), "OK", memory(which).mb(cap, 2), n))
     return spark.createDataFrame(out, RESULT)
 
 
-def infer_granularity(spark, sf_dir, datasets=(1, 2), model="logit", scale: float = 0.05, counts=(8, 5, 4)) -> DataFrame:
-    """Trained on the first slice count, larger slices at inference."""
+def infer_granularity(spark, sf_dir, datasets=(1, 2), models=tuple(MODELS), scale: float = 1.0) -> DataFrame:
+    """Trained on one slice count, larger slices at inference."""
     out = []
     for which in datasets:
         s = setting(spark, sf_dir, which, scale)
         lab = Lab(s)
-        tuned_on = lab.model(model, "slice_wise", counts[0], True)
-        for m in counts:
-            shelf, cap, n = lab.shelf("slice_wise", m)
-            out.append(row("infer_granularity", s, "slice_wise", model, f"{n} slices, cap {cap}", linking.infer(tuned_on, s.valid, shelf), "OK", memory(which).mb(cap, 2), n))
+        for model in models:
+            m = slice_counts(which, model)
+            mb = memory(which).mb(lab.shelf("slice_wise", m)[1], 2)
+            for wanted in INFER_COUNTS[m]:
+                _, cap, n = lab.shelf("slice_wise", wanted)
+                out.append(row("infer_granularity", s, "slice_wise", model, f"{n} slices, cap {cap}", lab.predicted(model, "slice_wise", m, True, wanted, True), "OK", mb, n))
     return spark.createDataFrame(out, RESULT)
 
 
-SQL_RESULT = "dataset int, method string, n long, ex double, em double, peak_mb double, link_calls int, status string"
+SQL_RESULT = "dataset int, method string, n long, ex double, em double, em_text double, ex_lo double, ex_hi double, peak_mb double, calls int, link_s double, sql_s double, status string"
+MODES = ("slice_wise", "untrained", "full_schema", "direct")
+
 
+def answer(s: Setting, lab: Lab, mode: str, model: str = "lowrank") -> tuple[DataFrame | None, str, list[tuple], int]:
+    """(SQLPRED, status, stages (stage, MB, seconds a question), calls) of link-then-generate or direct generation on the validation questions."""
+    m, n = slice_counts(s.which, model), max(1, s.valid.count())
 
-def answer(s: Setting, lab: Lab, mode: str, model: str = "logit") -> tuple[DataFrame | None, str, float, int]:
-    """(SQLPRED, status, peak MB, calls) of link-then-generate or direct generation on the validation questions."""
-    m = slice_counts(s.which, model)
+    def timed(sqlpred):
+        t = time.time()
+        done = settled(sqlpred, "sqlpred")
+        return done, (time.time() - t) / n
+
+    base = memory(s.which).base
     if mode == "untrained":
-        pred = linking.infer_once(LexicalLinker(), s.valid, s.catalog)
-        return sqlgen.ZeroShotGenerator().generate(pred), "OK", memory(s.which).base, 1
+        pred, link_s = lab.prompted()
+        out, sql_s = timed(sqlgen.ZeroShotGenerator().generate(pred))
+        return out, "OK", [("link", base, link_s), ("sql", base, sql_s)], 1
     method = {"slice_wise": "slice_wise", "full_schema": "full_schema", "direct": "full_schema"}[mode]
     status, mb = gated(s, method, model, m, lab)
     if status != "OK":
-        return None, status, mb, 0
+        return None, status, [("link", mb, None)], 0
     if mode == "direct":
-        everything = s.valid.select("qid", F.array(*[F.lit(r.table_name) for r in s.catalog.select("table_name").orderBy("table_name").collect()]).alias("pred_tables"))
-        return sqlgen.SkeletonGenerator("all").fit(s.train, s.catalog).generate(s.valid, everything), status, mb, 1
-    shelf, _, n = lab.shelf(method, m)
+        every = s.catalog.groupBy("db_id").agg(F.array_sort(F.collect_list("table_name")).alias("pred_tables"))  # one database's tables
+        out, sql_s = timed(sqlgen.SkeletonGenerator("all").fit(s.train, s.catalog).generate(s.valid, s.valid.select("qid", "db_id").join(every, "db_id").select("qid", "pred_tables")))
+        return out, status, [("sql", mb, sql_s)], 1
     past = mode == "slice_wise"
-    pred = linking.infer(lab.model(model, method, m, past), s.valid, shelf, past)
-    return sqlgen.SkeletonGenerator("linked").fit(s.train, s.catalog).generate(s.valid, pred), status, mb, n + 1
+    pred, link_s = lab.predicted(model, method, m, past, m, past)
+    out, sql_s = timed(sqlgen.SkeletonGenerator("linked").fit(s.train, s.catalog).generate(s.valid, pred))
+    return out, status, [("link", mb, link_s), ("sql", base, sql_s)], lab.shelf(method, m)[2] + 1
 
 
 def repair(spark: SparkSession, sqlpred: DataFrame, retry) -> DataFrame:
@@ -209,22 +256,26 @@ def repair(spark: SparkSession, sqlpred: DataFrame, retry) -> DataFrame:
     return sqlpred.join(ids, "qid", "left_anti").unionByName(again)
 
 
-def end_to_end(spark, sf_dir, datasets=(1, 2), scale: float = 0.04) -> DataFrame:
-    """Question to SQL: execution accuracy and clause-set match."""
-    out = []
+def end_to_end(spark, sf_dir, datasets=(1, 2), scale: float = 1.0) -> DataFrame:
+    """Question to SQL: execution accuracy, clause-set and text match, peak memory and seconds of both stages."""
+    out, cache = [], {}
+    C.register_fleet(spark, sf_dir, C.fleet_names(max(workload.DATASETS[w][0] for w in datasets)))
     for which in datasets:
         s = setting(spark, sf_dir, which, scale)
-        C.register_fleet(spark, sf_dir, C.fleet_names(workload.DATASETS[which][0]))
         lab = Lab(s)
-        for mode in ("slice_wise", "untrained", "full_schema", "direct"):
-            pred, status, mb, calls = answer(s, lab, mode)
+        for mode in MODES:
+            pred, status, stages, calls = answer(s, lab, mode)
+            spent = spark.createDataFrame([(mode, *x) for x in stages], "run_id string, stage string, mb double, seconds double")
+            peak = round(cost.peak_mb(spent).first().mem_mb, 1)
             if pred is None:
-                out.append((which, mode, 0, None, None, None, 0, status))
+                out.append((which, mode, 0, *[None] * 5, peak, calls, None, None, status))
                 continue
-            pred = pred.cache()
-            ex = metrics.execution_accuracy(spark, pred, s.valid).agg(F.count("*").alias("n"), F.avg("ex").alias("ex")).first()
-            em = metrics.logical_match(s.valid.join(pred.select("qid", "sql"), "qid", "left"), "clause_set").agg(F.avg("em")).first()[0]
-            out.append((which, mode, ex.n, round(100 * ex.ex, 2), round(100 * em, 2), round(mb, 1), calls, status))
+            seconds = {x[0]: round(x[2], 5) for x in stages}
+            ex = metrics.execution_accuracy(spark, pred, s.valid, cache).agg(F.count("*").alias("n"), F.round(100 * F.avg("ex"), 4).alias("ex"))
+            ex = metrics.wilson(ex, "ex").first()
+            both = s.valid.join(pred.select("qid", "sql"), "qid", "left")
+            em = [metrics.logical_match(both, how).agg(F.round(100 * F.avg("em"), 4)).first()[0] for how in ("clause_set", "text")]
+            out.append((which, mode, ex.n, ex.ex, *em, ex.lo, ex.hi, peak, calls, seconds.get("link"), seconds.get("sql"), status))
     return spark.createDataFrame(out, SQL_RESULT)
 
 

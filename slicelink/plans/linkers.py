@@ -75,59 +75,62 @@ class NoisyOracle:
         return df.select("qid", F.array_sort(F.array_union(kept, extra)).alias("pred_tables"))
 
 
-# --- trained stand-ins: both see hashed features of (question, table, prompt)
-
-NUMERIC = ("name_overlap", "column_overlap", "name_share", "neighbour_chosen", "explained", "history_size", "chosen_before", "slice_at", "rank_in_prompt")
-
-
-def pair_features(rows: list[dict], weight: dict[str, float], keys: dict[str, set[str]]) -> np.ndarray:
-    """NUMERIC of prompt rows: {q: words, tables: [(name, name words, all words)], history: [names], at}."""
-    out = []
-    for r in rows:
-        q = r["q"]
-        total = sum(weight.get(w, 1.0) for w in q) or 1.0
-        seen = set().union(*(r["words_of"][h] for h in r["history"])) if r["history"] else set()
-        explained = sum(weight.get(w, 1.0) for w in q if w in seen) / total
-        own = []
-        for name, short, long in r["tables"]:
-            n = sum(weight.get(w, 1.0) for w in q if w in short) / total
-            c = sum(weight.get(w, 1.0) for w in q if w in long) / total
-            own.append([n, c, sum(w in q for w in short) / max(1, len(short)), float(any(h in keys.get(name, ()) for h in r["history"])), explained, min(len(r["history"]), 4) / 4, 0.0, r["at"], 0.0])
-        best = max((x[0] for x in own), default=0.0)
-        for x in own:
-            x[-1] = x[0] / best if best else 0.0
-        out += own
-    return np.array(out, np.float64).reshape(-1, len(NUMERIC))
+# --- trained stand-ins: both see the features of (question, table, prompt), for many questions at once
+
+NUMERIC = ("name_overlap", "column_overlap", "name_share", "whole_name", "covered", "told", "neighbour_chosen", "explained", "history_size", "slice_at", "rank_in_prompt")
+
+
+def sigmoid(x: np.ndarray) -> np.ndarray:
+    return 1 / (1 + np.exp(-np.clip(x, -40, 40)))
 
 
 class PairLogit:
-    """Logistic regression on the features of (question, table, history), by Spark ML."""
+    """Logistic regression on the features of (question, table, history); trained by Newton's steps on sums of gradients
+    and curvatures."""
 
     context_window = 100_000
+    steps = 14
+
+    def __init__(self, reg: float = 1e-6, threshold: float = 0.5, context_window: int = 100_000):
+        self.reg, self.threshold, self.context_window, self.w = reg, threshold, context_window, np.zeros(len(NUMERIC) + 1)
+
+    def start(self, bench) -> dict:
+        """What the prompts of a batch share, and where their gradients are added up."""
+        return {"g": 0.0, "h": 0.0}
+
+    def logits(self, prompt, at: dict) -> np.ndarray:
+        return prompt.x @ self.w[:-1] + self.w[-1]
+
+    def learn(self, prompt, y: np.ndarray, weight: np.ndarray, at: dict) -> float:
+        """The loss; gradients go to `at`."""
+        p = sigmoid(self.logits(prompt, at))
+        x = np.concatenate([prompt.x, np.ones((*prompt.x.shape[:2], 1))], 2).reshape(-1, len(self.w))
+        e, curve = ((p - y) * weight[:, None]).ravel(), (p * (1 - p) * weight[:, None]).ravel()
+        at["g"] = at["g"] + x.T @ e
+        at["h"] = at["h"] + (x * curve[:, None]).T @ x
+        return _loss(p, y, weight)
 
-    def __init__(self, reg: float = 1e-4, iters: int = 15, threshold: float = 0.5):
-        self.reg, self.iters, self.threshold, self.w, self.b = reg, iters, threshold, np.zeros(len(NUMERIC)), 0.0
+    def rows(self, bench, at: dict) -> dict:
+        """By name and row the vectors that are added up over all batches."""
+        return {("g", 0): at["g"]} | {("h", i): row for i, row in enumerate(at["h"])}
 
-    def fit(self, rows: DataFrame, seed: int = 1) -> PairLogit:
-        """rows: features array<double>, label double, weight double."""
-        from pyspark.ml.classification import LogisticRegression
-        from pyspark.ml.functions import array_to_vector
+    def step(self, rows: dict, n: float, opt) -> None:
+        k = len(self.w)
+        hess = np.stack([rows["h", i] for i in range(k)]) / n + self.reg * np.eye(k)
+        move = np.linalg.solve(hess, rows["g", 0] / n + self.reg * self.w)
+        self.w = self.w - move * min(1.0, 3.0 / np.abs(move).max())  # a step is bounded, for labels that features part
 
-        df = rows.select(array_to_vector("features").alias("features"), "label", "weight")
-        model = LogisticRegression(maxIter=self.iters, regParam=self.reg, weightCol="weight").fit(df)
-        self.w, self.b = np.array(model.coefficients.toArray()), float(model.intercept)
-        return self
 
-    def score(self, x: np.ndarray, q=None, prompt=None) -> np.ndarray:
-        return 1 / (1 + np.exp(-(x @ self.w + self.b)))
+def _loss(p, y, weight) -> float:
+    return float(-(weight[:, None] * (y * np.log(p + 1e-9) + (1 - y) * np.log(1 - p + 1e-9))).sum())
 
 
 class LowRankConfig:
-    """Published settings of low-rank tuning, and those that the small stand-in uses."""
+    """Published settings of low-rank tuning (rank, alpha, lr); the small stand-in has their rank and alpha, and a rate of its own."""
 
     published = {"rank": 64, "alpha": 32, "lr": 1e-5}
 
-    def __init__(self, rank: int = 8, alpha: float = 16.0, lr: float = 0.3, dim: int = 1 << 12):
+    def __init__(self, rank: int = 64, alpha: float = 32.0, lr: float = 0.1, dim: int = 1 << 12):
         self.rank, self.alpha, self.lr, self.dim = rank, alpha, lr, dim
 
 
@@ -140,43 +143,77 @@ def hashed(words, dim: int) -> np.ndarray:
 
 class LowRankText:
     """score = base + alpha/rank * (A q) . (B p): hashed words of the question against those of table and history; the
-    base weights over the overlap features stay frozen, A and B are trained."""
+    base weights over the overlap features stay frozen, their corrections, A and B are trained."""
 
     def __init__(self, config: LowRankConfig | None = None, seed: int = 3, context_window: int = 100_000, threshold: float = 0.5):
         self.config = config or LowRankConfig()
         r = np.random.default_rng(seed)
         c = self.config
         self.a, self.b = r.normal(0, 0.05, (c.dim, c.rank)), r.normal(0, 0.05, (2 * c.dim, c.rank))
-        self.base = np.array([4.0, 2.0, 2.0, 0.0, 0.0, 0.0, 0.0, 0.0, 2.0])
-        self.tuned = np.zeros(len(NUMERIC) + 1)
+        self.base = np.array([2.0, 1.0, 2.0, 3.0, -3.0, 0.0, 0.0, 0.0, 0.0, 0.0, 1.0, -6.0])
+        self.tuned = np.zeros(len(self.base))
         self.context_window, self.threshold = context_window, threshold
 
-    def logits(self, x, q, p):
+    def start(self, bench) -> dict:
+        """The vectors of the batch's questions, of tables and of names in the history, and where gradients are added up."""
         c = self.config
-        out = x @ (self.base + self.tuned[:-1]) - 4.0 + self.tuned[-1]
-        for i, (u, v) in enumerate(zip(q, p, strict=True)):
-            if len(u) and len(v):
-                out[i] += c.alpha / c.rank * float(self.a[u].mean(0) @ self.b[v].mean(0))
+        u = np.zeros((len(bench.q), c.rank))
+        np.add.at(u, bench.q_row, self.a[bench.q_at])
+        u /= np.maximum(bench.q_size, 1)[:, None]
+        t, h = np.stack([self.b[at].sum(0) for at in bench.table_at]), self.b[c.dim + bench.name_at]
+        return {"u": u, "t": t, "h": h, "n": np.array([len(at) for at in bench.table_at]), "du": np.zeros_like(u), "dt": np.zeros_like(t), "dh": np.zeros_like(h), "tuned": np.zeros_like(self.tuned)}
+
+    def _parts(self, prompt, at: dict):
+        """Question, table and history vectors of a prompt, and how many words a table and the history have (n, s)."""
+        return at["u"][prompt.some], at["t"][prompt.here], prompt.past @ at["h"], at["n"][prompt.here][None, :] + prompt.past.sum(1)[:, None]
+
+    def logits(self, prompt, at: dict) -> np.ndarray:
+        u, t, h, size = self._parts(prompt, at)
+        w = self.base + self.tuned
+        return prompt.x @ w[:-1] + w[-1] + self.config.alpha / self.config.rank * (u @ t.T + (u * h).sum(1)[:, None]) / size
+
+    def learn(self, prompt, y: np.ndarray, weight: np.ndarray, at: dict) -> float:
+        """The loss; gradients go to `at`."""
+        u, t, h, size = self._parts(prompt, at)
+        p = sigmoid(self.logits(prompt, at))
+        e = (p - y) * weight[:, None]
+        g = self.config.alpha / self.config.rank * e / size
+        at["tuned"] += np.append(np.einsum("ns,nsk->k", e, prompt.x), e.sum())
+        at["du"][prompt.some] += g @ t + g.sum(1)[:, None] * h
+        at["dt"][prompt.here] += g.T @ u
+        at["dh"] += prompt.past.T @ (g.sum(1)[:, None] * u)
+        return _loss(p, y, weight)
+
+    def rows(self, bench, at: dict) -> dict:
+        """By name and row the vectors that are added up over all batches; only rows whose words occur."""
+        c, out = self.config, {("t", 0): at["tuned"]}
+
+        def add(name, row, v):
+            out[name, row] = out[name, row] + v if (name, row) in out else v
+
+        words, where = np.unique(bench.q_at, return_inverse=True)
+        da = np.zeros((len(words), c.rank))
+        np.add.at(da, where, (at["du"] / np.maximum(bench.q_size, 1)[:, None])[bench.q_row])
+        for w, v in zip(words.tolist(), da, strict=True):
+            add("a", w, v)
+        for rows, v in zip(bench.table_at, at["dt"], strict=True):
+            for w in rows.tolist():
+                add("b", w, v)
+        for w, v in zip(bench.name_at.tolist(), at["dh"], strict=True):
+            if v.any():
+                add("b", c.dim + w, v)
         return out
 
-    def score(self, x, q, p):
-        return 1 / (1 + np.exp(-self.logits(x, q, p)))
-
-    def gradient(self, x, q, p, y, w):
-        """(loss, gradients of tuned, a, b as sparse rows) over a batch."""
-        c = self.config
-        s = self.score(x, q, p)
-        e = (s - y) * w
-        loss = float(-(w * (y * np.log(s + 1e-9) + (1 - y) * np.log(1 - s + 1e-9))).sum())
-        gt = np.append(x.T @ e, e.sum())
-        ga, gb = np.zeros_like(self.a), np.zeros_like(self.b)
-        k = c.alpha / c.rank
-        for i in np.flatnonzero(np.abs(e) > 1e-4):
-            u, v = q[i], p[i]
-            if len(u) and len(v):
-                ga[u] += e[i] * k * self.b[v].mean(0) / len(u)
-                gb[v] += e[i] * k * self.a[u].mean(0) / len(v)
-        return loss, gt, ga, gb
+    def step(self, rows: dict, n: float, opt) -> None:
+        whole = {"t": np.zeros_like(self.tuned), "a": np.zeros_like(self.a), "b": np.zeros_like(self.b)}
+        for (name, at), v in rows.items():
+            if name == "t":
+                whole["t"] += v
+            else:
+                whole[name][at] += v
+        opt.t += 1
+        self.tuned = opt.step("t", self.tuned, whole["t"] / n)
+        self.a, self.b = opt.step("a", self.a, whole["a"] / n), opt.step("b", self.b, whole["b"] / n)
 
 
 class ExternalLinker:
@@ -202,35 +239,45 @@ class ExternalLinker:
 
 
 class DenseLinker:
-    """Cosine of vectors: the k nearest candidates of every query vector, by a blocked product."""
+    """Cosine of vectors: the k nearest candidates of every query vector, by products of blocks.
 
-    def __init__(self, k: int = 5, block: int = 512):
+    The number of blocks follows from the counts, so that a block holds about `block` vectors at any size.
+    """
+
+    def __init__(self, k: int = 5, block: int = 4096):
         self.k, self.block = k, block
 
     def nearest(self, queries: DataFrame, vectors: DataFrame, id_col: str = "vec_id", vec_col: str = "embedding") -> DataFrame:
-        """query_id, vec_id, score, rank: queries meet vectors block by block; each block keeps its k best, then they are merged."""
+        """query_id, vec_id, score, rank: every block of queries meets every block of vectors, which keeps its k best; then they are merged."""
+        from pyspark.sql import Window
+
         k, n = self.k, self.block
-        blocks = lambda df, name: df.select(F.col(id_col).cast("long").alias("i"), F.col(vec_col).cast("array<double>").alias("v")).withColumn(name, F.pmod(F.xxhash64("i"), F.lit(max(1, n // 64))))
-        q, v = blocks(queries, "qb").repartition("qb"), blocks(vectors, "vb")
-        pairs = F.explode(F.sequence(F.lit(0), F.lit(max(1, n // 64) - 1)))
-        left = q.select("i", "v", "qb", pairs.alias("vb"))
-        right = v.select("i", "v", "vb", pairs.alias("qb"))
+        parts = {name: max(1, -(-df.count() // n)) for name, df in (("qb", queries), ("vb", vectors))}
+        cells = lambda df, own, other: df.select(F.col(id_col).cast("long").alias("i"), F.col(vec_col).cast("array<double>").alias("v"), F.pmod(F.xxhash64(id_col), F.lit(parts[own])).alias(own), F.explode(F.sequence(F.lit(0), F.lit(parts[other] - 1))).alias(other))
+        left, right = cells(queries, "qb", "vb"), cells(vectors, "vb", "qb")
 
         def top(a: pa.Table, b: pa.Table) -> pa.Table:
-            ids, x = a.column("i").to_numpy(), np.array(a.column("v").to_pylist(), np.float64)
-            other, y = b.column("i").to_numpy(), np.array(b.column("v").to_pylist(), np.float64)
-            rows = []
+            ids, other = a.column("i").to_numpy(), b.column("i").to_numpy()
+            found = [[], [], []]
             if len(ids) and len(other):
-                s = np.round((x / np.linalg.norm(x, axis=1, keepdims=True)) @ (y / np.linalg.norm(y, axis=1, keepdims=True)).T, 6)
-                for i in range(len(ids)):
-                    o = np.lexsort((other, -s[i]))
-                    rows += [(int(ids[i]), int(other[j]), float(s[i, j])) for j in [j for j in o[: k + 1] if other[j] != ids[i]][:k]]
-            c = list(zip(*rows, strict=True)) or [[], [], []]
-            return pa.table({"query_id": pa.array(c[0], pa.int64()), "vec_id": pa.array(c[1], pa.int64()), "score": pa.array(c[2], pa.float64())})
+                x, y = (np.stack(t.column("v").to_numpy()) for t in (a, b))
+                x, y = (m / np.linalg.norm(m, axis=1, keepdims=True) for m in (x, y))
+                for at in range(0, len(ids), 256):
+                    s = np.round(x[at : at + 256] @ y.T, 6)
+                    s[ids[at : at + 256, None] == other[None, :]] = -2.0
+                    # the k best and all that tie with the last of them, then the smallest ids
+                    least = -np.partition(-s, min(k, s.shape[1]) - 1, 1)[:, min(k, s.shape[1]) - 1]
+                    row, col = np.nonzero((s >= least[:, None]) & (s > -2.0))
+                    order = np.lexsort((other[col], -s[row, col], row))
+                    row, col = row[order], col[order]
+                    first = np.searchsorted(row, row)
+                    row, col = row[np.arange(len(row)) - first < k], col[np.arange(len(col)) - first < k]
+                    for out, v in zip(found, (ids[at + row], other[col], s[row, col]), strict=True):
+                        out.append(v)
+            found = [np.concatenate(f) if f else np.zeros(0) for f in found]
+            return pa.table({"query_id": pa.array(found[0], pa.int64()), "vec_id": pa.array(found[1], pa.int64()), "score": pa.array(found[2], pa.float64())})
 
         found = left.groupBy("qb", "vb").cogroup(right.groupBy("qb", "vb")).applyInArrow(top, "query_id long, vec_id long, score double")
-        from pyspark.sql import Window
-
         rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
         return found.withColumn("rank", rank).where(F.col("rank") <= k)
 

@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..session import ready
-from .linkers import LexicalLinker, hashed, pair_features, table_words, word_list
+from .linkers import NUMERIC, LexicalLinker, LowRankConfig, hashed, sigmoid, table_words, word_list
 
 PRED = "qid long, pred_tables array<string>, n_calls int"
 
@@ -89,82 +89,141 @@ class Shelf:
         from .catalog import fk_edges
         from .linkers import idf
 
-        long = {r.table_name: set(r.words) for r in table_words(catalog).collect()}
+        words = table_words(catalog)
+        long = {r.table_name: set(r.words) for r in words.collect()}
         short = {r.table_name: set(r.words) for r in table_words(catalog, "names").collect()}
-        weight = {r.word: r.idf for r in idf(table_words(catalog)).collect()}
+        weight = {r.word: r.idf for r in idf(words).collect()}
         base = {r.table_name: r.base_table for r in catalog.select("table_name", "base_table").collect()}
         pairs = {(base[r.table_name], r.ref_table) for r in fk_edges(catalog).select("table_name", "ref_table").collect()}
         keys = {t: {u for u in long if (base[t], base[u]) in pairs or (base[u], base[t]) in pairs} for t in long}
         order = [r.tables for r in slices.orderBy("slice_id").collect()] if slices is not None else [sorted(long)]
         return cls(order, short, long, weight, keys)
 
-    def prompt(self, q: set, k: int, history: list[str]) -> dict:
-        names = self.slices[k]
-        return {"q": q, "tables": [(t, self.short[t], self.long[t]) for t in names], "history": history, "words_of": self.long, "at": k / max(1, len(self.slices))}
+    def of_slices(self, slices: DataFrame) -> Shelf:
+        """The same database in other slices."""
+        return Shelf([r.tables for r in slices.orderBy("slice_id").collect()], self.short, self.long, self.weight, self.keys)
 
     def names_only(self) -> Shelf:
         return Shelf([sorted(self.short)], self.short, self.short, self.weight, {})
 
-
-def examples_frame(questions: DataFrame, shelf: Shelf, history: bool, balance: str = "double_positive") -> DataFrame:
-    """features, label, weight, q, p (hashed words) of every (question, slice, table), history as the gold before."""
-    from .linkers import LowRankConfig
-
-    dim = LowRankConfig().dim
-
-    def run(batches):
-        for batch in batches:
-            feats, label, weight, hq, hp = [], [], [], [], []
-            for text, gold in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                q, gold, found = set(text), set(gold), []
-                for k, names in enumerate(shelf.slices):
-                    target = [t for t in names if t in gold]
-                    emit = [(found if history else [], 1.0)]
-                    if target and history and balance == "double_positive":
-                        emit.append(([], 1.0))
-                    elif target and balance in ("weight", "double_positive"):
-                        emit = [(emit[0][0], 2.0)]
-                    for past, w in emit:
-                        prompt = shelf.prompt(q, k, list(past))
-                        x = pair_features([prompt], shelf.weight, shelf.keys)
-                        feats += x.tolist()
-                        label += [float(t in gold) for t in names]
-                        weight += [w] * len(names)
-                        u = hashed(q, dim).tolist()
-                        old = ["h:" + h for h in past]
-                        for t in names:
-                            hq.append(u)
-                            hp.append([*hashed(shelf.long[t], dim).tolist(), *(hashed(old, dim) + dim).tolist()])
-                    found = found + target
-            yield pa.RecordBatch.from_arrays([pa.array(feats, pa.list_(pa.float64())), pa.array(label), pa.array(weight), pa.array(hq, pa.list_(pa.int64())), pa.array(hp, pa.list_(pa.int64()))], names=["features", "label", "weight", "q", "p"])
-
-    ready(questions.sparkSession)
-    return questions.select(word_list("question").alias("w"), "gold_tables").mapInArrow(run, "features array<double>, label double, weight double, q array<bigint>, p array<bigint>")
+    def bench(self, words: list[list[str]], dim: int) -> Bench:
+        return Bench(self, words, dim)
+
+    def matrices(self, dim: int) -> dict:
+        """What a Bench needs of the tables alone; made once in each process."""
+        made = self.__dict__.setdefault("_made", {})
+        if dim not in made:
+            names = [t for s in self.slices for t in s]
+            vocab = {w: i for i, w in enumerate(sorted(set().union(*self.long.values(), *self.short.values())))}
+            bag = lambda sets: np.array([[float(w in s) for w in vocab] for s in sets]).reshape(len(sets), len(vocab))
+            made[dim] = {
+                "names": names, "at": {t: i for i, t in enumerate(names)}, "slice_of": np.repeat(np.arange(len(self.slices)), [len(s) for s in self.slices]), "vocab": vocab,
+                "short": bag([self.short[t] for t in names]), "long": bag([self.long[t] for t in names]), "weight": np.array([self.weight.get(w, 1.0) for w in vocab]),
+                "near": np.array([[float(u in self.keys.get(t, ())) for u in names] for t in names]).reshape(len(names), len(names)),
+                "inside": np.array([[float(self.short[t] < self.short[u]) for u in names] for t in names]).reshape(len(names), len(names)),
+                "table_at": [hashed(self.long[t], dim) for t in names], "name_at": np.array([hashed(["h:" + t], dim)[0] for t in names]),
+            }
+        return made[dim]
+
+    def __getstate__(self):
+        return {k: v for k, v in self.__dict__.items() if k != "_made"}
+
+
+class Prompts:
+    """One slice for many questions: features x (n, tables, NUMERIC), the questions `some` and tables `here` they are of, and the history `past` (n, all tables)."""
+
+    def __init__(self, x, some, here, past):
+        self.x, self.some, self.here, self.past = x, some, here, past
+
+
+class Bench:
+    """A batch of questions over a shelf as matrices."""
+
+    def __init__(self, shelf: Shelf, words: list[list[str]], dim: int):
+        self.shelf = shelf
+        self.__dict__.update(shelf.matrices(dim))
+        vocab = self.vocab
+        self.q = np.zeros((len(words), len(vocab)))
+        other = np.zeros(len(words))
+        for i, ws in enumerate(words):
+            known = [vocab[w] for w in set(ws) if w in vocab]
+            self.q[i, known] = 1
+            other[i] = len(set(ws)) - len(known)  # words that no table has weigh one
+        self.wq = self.q * self.weight
+        self.total = self.wq.sum(1) + other
+        self.total[self.total == 0] = 1.0
+        rows = [hashed(w, dim) for w in words]
+        self.q_size = np.array([len(r) for r in rows])
+        self.q_row, self.q_at = np.repeat(np.arange(len(rows)), self.q_size), np.concatenate([*rows, np.zeros(0, np.int64)]).astype(np.int64)
+
+    def gold(self, tables: list[list[str]]) -> np.ndarray:
+        out = np.zeros((len(tables), len(self.names)))
+        for i, ts in enumerate(tables):
+            out[i, [self.at[t] for t in ts if t in self.at]] = 1
+        return out
+
+    def prompts(self, k: int, past: np.ndarray, some: np.ndarray | None = None) -> Prompts:
+        """Slice k for all questions, or for those of the indices `some`, with their history."""
+        some = np.arange(len(self.q)) if some is None else some
+        here = np.flatnonzero(self.slice_of == k)
+        wq, total, q, past = self.wq[some], self.total[some, None], self.q[some], past[some]
+        name = wq @ self.short[here].T / total
+        x = np.zeros((len(some), len(here), len(NUMERIC)))
+        x[:, :, 0] = name
+        x[:, :, 1] = wq @ self.long[here].T / total
+        x[:, :, 2] = q @ self.short[here].T / np.maximum(self.short[here].sum(1), 1)
+        whole = x[:, :, 2] > 1 - 1e-9
+        x[:, :, 3] = whole
+        x[:, :, 4] = whole & (whole @ self.inside[np.ix_(here, here)].T > 0)  # another of the prompt has this name and more
+        x[:, :, 5] = (past @ self.short > 0) @ self.short[here].T / np.maximum(self.short[here].sum(1), 1)
+        x[:, :, 6] = past @ self.near[here].T > 0
+        x[:, :, 7] = ((wq * (past @ self.long > 0)).sum(1) / total[:, 0])[:, None]
+        x[:, :, 8] = (np.minimum(past.sum(1), 4) / 4)[:, None]
+        x[:, :, 9] = k / max(1, len(self.shelf.slices))
+        best = name.max(1, keepdims=True, initial=0.0)
+        x[:, :, 10] = np.divide(name, best, out=np.zeros_like(name), where=best > 0)
+        return Prompts(x, some, here, past)
+
+    def lessons(self, gold: np.ndarray, history: bool, balance: str = "double_positive"):
+        """(prompts, labels, weights) of every slice: with the gold tables of earlier slices as history, and positives
+        again without (double_positive) or with double weight."""
+        for k in range(len(self.shelf.slices)):
+            here, past = self.slice_of == k, gold * (self.slice_of < k)
+            y = gold[:, here]
+            hit = y.any(1)
+            weight = np.where(hit & (balance == "weight" or balance == "double_positive" and not history), 2.0, 1.0)
+            yield self.prompts(k, past if history else np.zeros_like(past)), y, weight
+            again = np.flatnonzero(hit)
+            if history and balance == "double_positive" and len(again):
+                yield self.prompts(k, np.zeros_like(past), again), y[again], np.ones(len(again))
+
+    def fold(self, linker, history: bool) -> np.ndarray:
+        """The chosen tables (n, all tables): slices in order, each with those chosen before."""
+        chosen, at = np.zeros((len(self.q), len(self.names))), linker.start(self)
+        for k in range(len(self.shelf.slices)):
+            p = sigmoid(linker.logits(self.prompts(k, chosen if history else np.zeros_like(chosen)), at))
+            chosen[:, self.slice_of == k] = p >= linker.threshold
+        return chosen
+
+
+def questions_of(questions: DataFrame) -> DataFrame:
+    """qid, words, gold_tables: what training and inference read of a question."""
+    return questions.select(F.col("qid").cast("long").alias("qid"), word_list("question").alias("words"), "gold_tables")
 
 
 def infer(linker, questions: DataFrame, shelf: Shelf, history: bool = True) -> DataFrame:
     """PRED: per question the slices in order, each prompt with the tables chosen so far; parallel over questions."""
-    from .linkers import LowRankConfig
-
-    dim = LowRankConfig().dim
+    dim = getattr(linker, "config", LowRankConfig()).dim
 
     def run(batches):
-        for batch in batches:
-            preds = []
-            for text in batch.column(1).to_pylist():
-                q, chosen = set(text), []
-                u = hashed(q, dim)
-                for k, names in enumerate(shelf.slices):
-                    past = chosen if history else []
-                    x = pair_features([shelf.prompt(q, k, past)], shelf.weight, shelf.keys)
-                    old = hashed(["h:" + h for h in past], dim) + dim
-                    s = linker.score(x, [u] * len(names), [np.concatenate([hashed(shelf.long[t], dim), old]) for t in names])
-                    chosen = chosen + [t for t, v in zip(names, s, strict=True) if v >= linker.threshold]
-                preds.append(sorted(set(chosen)))
+        for batch in (b.slice(i, 512) for b in batches for i in range(0, b.num_rows, 512)):
+            bench = shelf.bench(batch.column(1).to_pylist(), dim)
+            chosen = bench.fold(linker, history)
+            preds = [sorted(bench.names[j] for j in np.flatnonzero(row)) for row in chosen]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(preds, pa.list_(pa.string())), pa.array([len(shelf.slices)] * len(preds), pa.int32())], names=["qid", "pred_tables", "n_calls"])
 
     ready(questions.sparkSession)
-    return questions.select(F.col("qid").cast("long").alias("qid"), word_list("question").alias("w")).mapInArrow(run, PRED)
+    return questions_of(questions).select("qid", "words").mapInArrow(run, PRED)
 
 
 def infer_rounds(answer, questions: DataFrame, slices: DataFrame, catalog: DataFrame) -> DataFrame:

@@ -5,7 +5,7 @@ from __future__ import annotations
 import re
 from concurrent.futures import ThreadPoolExecutor
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -72,9 +72,10 @@ def digest(df: DataFrame, ordered: bool = False, digits: int = 6) -> tuple:
     kinds = {f.name: f.dataType for f in df.schema}
     plain = [F.round(c.cast("double"), digits) if isinstance(kinds[f"c{i}"], (T.NumericType,)) else c.cast("string") for i, c in enumerate(cols)]
     h = F.xxhash64(*plain)
-    if ordered:
-        rows = [r.h for r in df.select(h.alias("h")).collect()]  # a top-level ORDER BY is of a result for reading
-        return (len(cols), len(rows), tuple(rows))
+    if ordered:  # a row's number in the result takes part in its hash: partitions are in order, and so are ids in them
+        numbered = df.select(h.alias("h"), F.monotonically_increasing_id().alias("at")).select(F.xxhash64("h", F.row_number().over(Window.orderBy("at"))).alias("h"))
+        r = numbered.agg(F.count("*").alias("n"), F.sum(F.col("h").cast("decimal(38,0)")).alias("s"), F.bit_xor("h").alias("x")).first()
+        return (len(cols), r.n, r.s, r.x, "ordered")
     r = df.select(h.alias("h")).agg(F.count("*").alias("n"), F.sum(F.col("h").cast("decimal(38,0)")).alias("s"), F.bit_xor("h").alias("x")).first()
     return (len(cols), r.n, r.s, r.x)
 
@@ -87,9 +88,9 @@ def _ordered(sql: str) -> bool:
     return re.search(r"\border\s+by\b", "".join(flat), re.I) is not None
 
 
-def execution_matches(spark: SparkSession, pairs: list[tuple[int, str, str]], threads: int = 4) -> list[tuple[int, int, str]]:
-    """(qid, 1 or 0, status) of (qid, predicted, gold): equal results; each distinct pair of texts runs once."""
-    cache: dict = {}
+def execution_matches(spark: SparkSession, pairs: list[tuple[int, str, str]], threads: int = 8, cache: dict | None = None) -> list[tuple[int, int, str]]:
+    """(qid, 1 or 0, status) of (qid, predicted, gold): equal results; each distinct text runs once, also over several calls with one cache."""
+    cache = {} if cache is None else cache
 
     def run(sql, ordered):
         df = guarded(spark, sql)
@@ -100,22 +101,22 @@ def execution_matches(spark: SparkSession, pairs: list[tuple[int, str, str]], th
         except Exception:
             return None
 
-    todo = {(s, _ordered(g)) for _, p, g in pairs for s in (p, g)}
+    todo = sorted({(s or "", _ordered(g)) for _, p, g in pairs for s in (p, g)} - set(cache))
     with ThreadPoolExecutor(threads) as pool:
         for key, value in zip(todo, pool.map(lambda k: run(*k), todo), strict=True):
             cache[key] = value
     out = []
     for qid, p, g in pairs:
         o = _ordered(g)
-        a, b = cache[p, o], cache[g, o]
+        a, b = cache[p or "", o], cache[g or "", o]
         out.append((qid, int(a is not None and a == b), "OK" if a is not None else "INVALID"))
     return out
 
 
-def execution_accuracy(spark: SparkSession, sqlpred: DataFrame, qa: DataFrame) -> DataFrame:
+def execution_accuracy(spark: SparkSession, sqlpred: DataFrame, qa: DataFrame, cache: dict | None = None) -> DataFrame:
     """qid, ex, status. The questions of an evaluation are collected; their results are not."""
     pairs = [(r.qid, r.sql, r.gold_sql) for r in qa.select("qid", "gold_sql").join(sqlpred.select("qid", "sql"), "qid", "left").collect()]
-    return spark.createDataFrame(execution_matches(spark, pairs), "qid long, ex int, status string")
+    return spark.createDataFrame(execution_matches(spark, pairs, cache=cache), "qid long, ex int, status string")
 
 
 def normal_text(sql) -> F.Column:
@@ -140,6 +141,9 @@ def logical_match(df: DataFrame, how: str = "text", pred: str = "sql", gold: str
 
 
 def plan_match(spark: SparkSession, a: str, b: str) -> bool:
-    """Whether two texts have the same canonical plan."""
+    """Whether two texts have the same canonical plan, as written or after optimization."""
     x, y = guarded(spark, a), guarded(spark, b)
-    return x is not None and y is not None and x.sameSemantics(y)
+    if x is None or y is None:
+        return False
+    best = lambda df: df._jdf.queryExecution().optimizedPlan()
+    return x.sameSemantics(y) or best(x).sameResult(best(y))

@@ -86,31 +86,44 @@ def render_schema(spark, sf):
     return b.select("table_name", C.rendered("names").alias("names"), C.rendered("columns").alias("columns"), C.rendered("types").alias("types"), C.rendered("keys").alias("keys"))
 
 
-def fk_inclusion_exact(spark, sf):
-    names = ["region", "nation", "customer", "supplier", "part", "orders", "labels", "documents"]
-    ts = {n: table(spark, sf, n) for n in names}
-    unique = {("region", "r_regionkey"), ("nation", "n_nationkey"), ("customer", "c_custkey"), ("supplier", "s_suppkey"), ("part", "p_partkey"), ("orders", "o_orderkey"), ("documents", "doc_id")}
-    return C.discover_fks(ts, unique).select("child", "child_column", "parent", "parent_column", "n_child", "n_missing")
+#: The given tables' columns of simple types, by which the SQL below is made.
+SIMPLE = {
+    "region": {"r_regionkey": "int", "r_name": "string"}, "nation": {"n_nationkey": "int", "n_name": "string", "n_regionkey": "int"},
+    "customer": {"c_custkey": "bigint", "c_name": "string", "c_nationkey": "int", "c_acctbal": "double", "c_mktsegment": "string"},
+    "supplier": {"s_suppkey": "bigint", "s_name": "string", "s_nationkey": "int", "s_acctbal": "double"},
+    "part": {"p_partkey": "bigint", "p_name": "string", "p_brand": "string", "p_type": "string", "p_size": "int", "p_retailprice": "double"},
+    "orders": {"o_orderkey": "bigint", "o_custkey": "bigint", "o_orderstatus": "string", "o_totalprice": "double", "o_orderdate": "timestamp", "o_orderpriority": "string"},
+    "lineitem": {"l_orderkey": "bigint", "l_partkey": "bigint", "l_suppkey": "bigint", "l_linenumber": "int", "l_quantity": "double", "l_extendedprice": "double", "l_discount": "double", "l_tax": "double", "l_returnflag": "string", "l_linestatus": "string", "l_shipdate": "timestamp"},
+    "events": {"event_id": "bigint", "ts": "timestamp", "user_id": "bigint", "event_type": "string", "value": "double", "props": "string"},
+    "documents": {"doc_id": "bigint", "text": "string", "lang": "string", "source": "string", "n_chars": "bigint"}, "embeddings": {"vec_id": "bigint", "label": "int"},
+    "pages": {"page_id": "bigint", "url": "string", "html": "string"}, "benchmark": {"item_id": "bigint", "text": "string"},
+    "labels": {"doc_id": "bigint", "quality": "int", "toxic": "int"}, "conversations": {"conv_id": "bigint", "turn": "bigint", "role": "string", "text": "string"},
+}
+
+
+def _unique(spark, sf):
+    """The columns that hold no value twice, of all tables: what discovery takes for possible keys."""
+    found = C.unique_columns({t: table(spark, sf, t) for t in C.TABLES})
+    return {(r.table_name, r.column_name) for r in found.where("is_unique").collect()}  # columns of one database
 
 
-_INCLUSIONS = [("customer", "c_nationkey", "nation", "n_nationkey"), ("supplier", "s_nationkey", "nation", "n_nationkey"), ("nation", "n_regionkey", "region", "r_regionkey"), ("labels", "doc_id", "documents", "doc_id"), ("orders", "o_custkey", "customer", "c_custkey")]
-FK_SQL = " UNION ALL ".join(f"SELECT '{t}' AS child, '{c}' AS child_column, '{u}' AS parent, '{p}' AS parent_column, count(DISTINCT {c}) AS n_child, count(DISTINCT {c}) FILTER (WHERE {c} NOT IN (SELECT {p} FROM {u})) AS n_missing FROM {t}" for t, c, u, p in _INCLUSIONS)
+def fk_inclusion_exact(spark, sf):
+    return C.discover_fks({t: table(spark, sf, t) for t in C.TABLES}, _unique(spark, sf)).select("child", "child_column", "parent", "parent_column", "n_child", "n_missing")
 
 
-def fk_inclusion_sketch(spark, sf):
-    names = ["region", "nation", "customer", "supplier", "orders"]
-    unique = {("region", "r_regionkey"), ("nation", "n_nationkey"), ("customer", "c_custkey"), ("supplier", "s_suppkey")}
-    return C.discover_fks({n: table(spark, sf, n) for n in names}, unique, min_containment=0.95, mode="sketch").select("child", "child_column", "parent", "parent_column", F.round("containment", 2).alias("containment"))
+_PAIRS = [(t, c, u, p) for t, cs in SIMPLE.items() for c, k in cs.items() for u, ps in SIMPLE.items() for p, j in ps.items() if t != u and k == j and C.same_suffix(c, p)]
+FK_SQL = " UNION ALL ".join(f"SELECT * FROM (SELECT '{t}' AS child, '{c}' AS child_column, '{u}' AS parent, '{p}' AS parent_column, count(DISTINCT {c}) AS n_child, count(DISTINCT {c}) FILTER (WHERE {c} NOT IN (SELECT {p} FROM {u} WHERE {p} IS NOT NULL)) AS n_missing FROM {t}) WHERE n_missing = 0 AND (SELECT count(*) > 0 AND count(*) = count(DISTINCT {p}) FROM {u})" for t, c, u, p in _PAIRS)
 
 
-_UNIQUE = {"region": ["r_regionkey", "r_name"], "nation": ["n_nationkey", "n_name", "n_regionkey"], "lineitem": ["l_orderkey", "l_linenumber"], "documents": ["doc_id", "source"], "orders": ["o_orderkey", "o_custkey"]}
+def fk_inclusion_sketch(spark, sf):
+    return C.discover_fks({t: table(spark, sf, t) for t in C.TABLES}, _unique(spark, sf), min_containment=0.95, mode="sketch").select("child", "child_column", "parent", "parent_column", F.round("containment", 2).alias("containment"))
 
 
 def unique_columns(spark, sf):
-    return C.unique_columns({t: table(spark, sf, t).select(*cs) for t, cs in _UNIQUE.items()})
+    return C.unique_columns({t: table(spark, sf, t) for t in C.TABLES})
 
 
-UNIQUE_SQL = " UNION ALL ".join(f"SELECT '{t}' AS table_name, '{c}' AS column_name, count(*) AS n_rows, count(DISTINCT {c}) AS n_distinct, count(*) > 0 AND count(*) = count(DISTINCT {c}) AS is_unique FROM {t}" for t, cs in _UNIQUE.items() for c in cs)
+UNIQUE_SQL = " UNION ALL ".join(f"SELECT '{t}' AS table_name, '{c}' AS column_name, count(*) AS n_rows, count(DISTINCT {c}) AS n_distinct, count(*) > 0 AND count(*) = count(DISTINCT {c}) AS is_unique FROM {t}" for t, cs in SIMPLE.items() for c in cs)
 
 
 def token_count_word(spark, sf):
@@ -213,7 +226,7 @@ def workload_sizes(spark, sf):
     return out
 
 
-WORKLOAD_SQL = "SELECT * FROM (VALUES " + ", ".join(f"('dataset{w}', '{s}', {n}::BIGINT, {t}::BIGINT)" for w, (t, a, b) in workload.DATASETS.items() for s, n in (("train", a), ("valid", b))) + ") x(db_id, split, n, n_tables)"
+WORKLOAD_SQL = " UNION ALL ".join(f"SELECT 'dataset{w}' AS db_id, CASE WHEN pos <= {a} THEN 'train' ELSE 'valid' END AS split, count(*) AS n, (SELECT count(DISTINCT t) FROM (SELECT unnest([{', '.join(repr(x) for x, _, _ in C.fleet_names(n))}]) AS t)) AS n_tables FROM (SELECT row_number() OVER (ORDER BY (i * 7919 + 17) % 10007, i) AS pos FROM range({a + b}) r(i)) GROUP BY 2" for w, (n, a, b) in workload.DATASETS.items())
 
 
 def difficulty_levels(spark, sf):
@@ -309,6 +322,24 @@ def token_report(spark, sf):
     return cost.token_report(parts)
 
 
+def rendered_examples(spark, sf):
+    """The whole training texts of the full-schema examples, role marks and all."""
+    from ..functions import templates
+
+    e = examples.full_schema(_qa(spark), _base(spark, sf))
+    return e.select("qid", templates.render("link", F.col("user"), F.col("assistant")).alias("text"))
+
+
+def examples_neg_sample(spark, sf):
+    return _ex(spark, sf, balance="neg_sample").withColumn("assistant", _sorted_names("assistant"))
+
+
+def examples_sql_gold(spark, sf):
+    """The ablation that trains the generator on gold tables alone."""
+    b, qa = _base(spark, sf), _qa(spark)
+    return _show(examples.sql_pipeline(qa, linkers.NoisyOracle(3, 20, 20).predict(qa, b), b, "gold"))
+
+
 def _points(spark, points):
     return spark.createDataFrame([(d, float(x), float(y)) for d, ps in points.items() for x, y in ps], "dataset int, x double, y double")
 
@@ -442,17 +473,53 @@ def execution_accuracy(spark, sf):
     from .sqlgen import NoisyGenerator
 
     C.register_fleet(spark, sf, [(t, t, "true") for t in C.TABLES])
-    qa = _qa(spark).where("qid < 16")
+    qa = _qa(spark)
     return metrics.execution_accuracy(spark, NoisyGenerator(30).generate(qa), qa)
 
 
+def _damaged(q) -> str:
+    return f"SELECT -1 AS x FROM ({q[4]}) t" if (q[0] * 7919 + 1) % 100 < 30 else q[4]
+
+
+_ROWS = "(SELECT list_sort(list(r::VARCHAR)) FROM ({}) r)"
+EXECUTION_SQL = " UNION ALL ".join(f"SELECT {q[0]}::BIGINT AS qid, ({_ROWS.format(_damaged(q))} IS NOT DISTINCT FROM {_ROWS.format(q[4])})::INT AS ex, 'OK' AS status" for q in SMALL_QA)
+
+
+def _rewritten(spark):
+    """Three predictions for each question: the gold text in other spelling, with its conditions turned round or a limit more, and another query."""
+    gold = F.col("gold_sql")
+    forms = F.array(F.concat(F.lit("  "), F.lower(F.regexp_replace(gold, " ", "  ")), F.lit(" ;")), F.concat(gold, F.lit(" LIMIT 7")), F.regexp_replace(gold, "WHERE (.*)$", "WHERE $1 AND 1 = 1"), F.regexp_replace(gold, "count", "max"))
+    return _qa(spark).select("qid", "gold_sql", F.posexplode(forms).alias("form", "sql"))
+
+
 def logical_match(spark, sf):
-    rows = [(1, "SELECT a FROM t WHERE x = 1 AND y = 2", "select a from t where y = 2 and x = 1"), (2, "SELECT a  FROM t;", "select a from t"), (3, "SELECT a FROM t", "SELECT b FROM t")]
-    df = spark.createDataFrame(rows, "qid int, sql string, gold_sql string")
-    return metrics.logical_match(df, "text").withColumnRenamed("em", "em_text").join(metrics.logical_match(df, "clause_set").select("qid", F.col("em").alias("em_clauses")), "qid").select("qid", "em_text", "em_clauses")
+    df = _rewritten(spark)
+    both = metrics.logical_match(metrics.logical_match(df, "text").withColumnRenamed("em", "em_text"), "clause_set")
+    return both.select("qid", "form", "em_text", F.col("em").alias("em_clauses"))
+
+
+def _sql_normal(c):
+    return f"trim(regexp_replace(regexp_replace(regexp_replace(lower({c}), '\\s+', ' ', 'g'), '\\s*([(),=<>+*/-])\\s*', '\\1', 'g'), '\\s*;\\s*$', '', 'g'))"
+
+
+def _sql_clauses(c):
+    marked = f"regexp_replace(regexp_replace({_sql_normal(c)}, '\\b(select|from|where|group by|having|order by|limit|union|except|intersect)\\b', chr(1) || '\\1', 'g'), ' and ', chr(1) || 'and ', 'g')"
+    part = "trim(regexp_replace(regexp_replace(p, '^where ', 'and '), '^and ', '? '))"
+    return f"list_sort(list_distinct(list_filter(list_transform(string_split({marked}, chr(1)), lambda p: {part}), lambda p: p <> '')))"
+
 
+LOGICAL_SQL = f"""WITH {QA_SQL}, f AS (SELECT qid, gold_sql, unnest([0, 1, 2, 3]) AS form, unnest(['  ' || lower(replace(gold_sql, ' ', '  ')) || ' ;', gold_sql || ' LIMIT 7', regexp_replace(gold_sql, 'WHERE (.*)$', 'WHERE \\1 AND 1 = 1'), replace(gold_sql, 'count', 'max')]) AS sql FROM qa)
+SELECT qid, form::INT AS form, ({_sql_normal('sql')} = {_sql_normal('gold_sql')})::INT AS em_text, ({_sql_clauses('sql')} = {_sql_clauses('gold_sql')})::INT AS em_clauses FROM f"""
 
-LOGICAL_SQL = "SELECT * FROM (VALUES (1, 0, 1), (2, 1, 1), (3, 0, 0)) x(qid, em_text, em_clauses)"
+
+def plan_matches(spark, sf):
+    """Logical match by canonical plans: conditions turned round and other names match, another constant does not."""
+    C.register_fleet(spark, sf, [(t, t, "true") for t in C.TABLES])
+    rows = [(q[0], f"SELECT * FROM ({q[4]}) t WHERE 1 = 1", q[4]) for q in SMALL_QA] + [(100 + q[0], f"SELECT * FROM ({q[4]}) t WHERE 1 = 0", q[4]) for q in SMALL_QA]
+    return spark.createDataFrame([(i, int(metrics.plan_match(spark, a, b))) for i, a, b in rows], "qid long, em_plan int")
+
+
+PLAN_SQL = f"WITH {QA_SQL} SELECT qid, 1 AS em_plan FROM qa UNION ALL SELECT qid + 100, 0 FROM qa"
 
 
 # --- carriers: the methods on the given rows
@@ -467,20 +534,60 @@ DOCS_PACK_SQL = f"""WITH RECURSIVE d AS (SELECT row_number() OVER (ORDER BY doc_
 SELECT slice_id::BIGINT AS slice_id, count(*) AS n, sum(n_tokens)::BIGINT AS tokens, min(table_name) AS first FROM pk GROUP BY slice_id"""
 
 
-def passage_link(spark, sf):
-    """Which documents hold which benchmark passage: anchors are the passages' first six words, each found by an equi-join, then checked."""
-    words = lambda c: F.split(c, "[ \\t\\n]+")
-    b = table(spark, sf, "benchmark").where(F.length("text") > 0)
-    b = b.select("item_id", F.col("text").alias("passage"), F.array_join(F.slice(words("text"), 2, 4), " ").alias("anchor"))
+#: A passage is looked for by up to so many whole words inside it; sets up to MOST_ANCHORS passages are broadcast.
+ANCHOR, MOST_ANCHORS = 4, 1_000_000
+
+
+def _anchors(passages, id_col: str = "item_id"):
+    """id, passage, k, anchor: a hash of the first k words that stand whole in any text with the passage (its second and so on)."""
+    w = F.split("passage", "[ \\t\\n]+")
+    k = F.least(F.greatest(F.size("w") - 2, F.lit(0)), F.lit(ANCHOR))
+    return passages.withColumn("w", w).withColumn("k", k).select(id_col, "passage", "k", F.xxhash64("k", F.array_join(F.slice("w", F.lit(2), F.col("k")), " ")).alias("anchor"))
+
+
+def _gram(k: int):
+    return lambda i: F.xxhash64(F.lit(k), F.concat_ws(" ", *(F.col("w")[i + j - 1] for j in range(k))))
+
+
+def _anchored(spark, sf):
+    """(item_id, doc_id) of the passages whose anchor a document holds, the passages, and the documents."""
+    b = _anchors(table(spark, sf, "benchmark").where(F.length("text") > 0).select("item_id", F.col("text").alias("passage")))
+    sizes = {r.k: r.n for r in b.groupBy("k").agg(F.count("*").alias("n")).collect()}  # five sizes at most
     d = table(spark, sf, "documents")
-    grams = d.select("doc_id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size(words("text")) - 3, F.lit(1))), lambda i: F.array_join(F.slice(words("text"), i, 4), " ")))).alias("anchor"))
-    pairs = grams.join(b.select("item_id", "anchor"), "anchor").select("doc_id", "item_id").distinct()
-    return pairs.join(d.select("doc_id", "text"), "doc_id").join(b.select("item_id", "passage"), "item_id").where(F.contains("text", F.col("passage"))).select("item_id", "doc_id")
+    split = d.where("text IS NOT NULL").select("doc_id", F.split("text", "[ \\t\\n]+").alias("w"))  # once a text, not inside the lambda
+    pairs = None
+    for k in sorted(x for x in sizes if x):
+        gram = F.transform(F.sequence(F.lit(1), F.size("w") - k + 1), _gram(k))
+        grams = split.where(F.size("w") >= k).select("doc_id", F.explode(gram).alias("anchor"))
+        own = b.where(F.col("k") == k).select("item_id", "anchor")
+        hit = grams.join(F.broadcast(own) if sizes[k] <= MOST_ANCHORS else own.hint("merge"), "anchor").select("item_id", "doc_id")
+        pairs = hit if pairs is None else pairs.union(hit)
+    if pairs is None:
+        pairs = spark.createDataFrame([], "item_id long, doc_id long")
+    return pairs.distinct(), b, d.select("doc_id", "text"), sizes
+
+
+def passage_link(spark, sf):
+    """Which documents hold which benchmark passage: by anchors of whole words, then checked; passages of two words and less, which may stand inside words, are looked for in every text."""
+    pairs, b, d, sizes = _anchored(spark, sf)
+    found = pairs.join(d, "doc_id").join(b.select("item_id", "passage"), "item_id").where(F.contains("text", F.col("passage"))).select("item_id", "doc_id")
+    if sizes.get(0):  # a query set against all rows
+        few = b.where("k = 0").select("item_id", "passage")
+        found = found.union(d.join(F.broadcast(few) if sizes[0] <= MOST_ANCHORS else few, F.contains("text", F.col("passage"))).select("item_id", "doc_id"))
+    return found
 
 
 PASSAGE_SQL = "SELECT item_id, doc_id FROM benchmark b JOIN documents d ON contains(d.text, b.text) WHERE length(b.text) > 0"
 
 
+def passage_scores(spark, sf):
+    """Documents as tables, passages as questions: the anchors' answer against the documents that hold the passage."""
+    sets = lambda df, name: df.groupBy(F.col("item_id").alias("qid")).agg(F.array_sort(F.collect_set(F.col("doc_id").cast("string"))).alias(name))
+    pairs, b, _, _ = _anchored(spark, sf)
+    gold = b.select(F.col("item_id").alias("qid")).join(sets(passage_link(spark, sf), "gold_tables"), "qid", "left").withColumn("gold_tables", F.coalesce("gold_tables", F.array().cast("array<string>")))
+    return metrics.link_scores(sets(pairs, "pred_tables"), gold)
+
+
 def dense_link_topk(spark, sf):
     v = table(spark, sf, "embeddings")
     return linkers.DenseLinker(3).nearest(v.where("vec_id % 50 = 0"), v).select("query_id", "vec_id", F.round("score", 4).alias("score"), "rank")
@@ -519,41 +626,53 @@ def cost_tradeoff(spark, sf):
     return experiments.tradeoff(spark, groups.order(_base(spark, sf)), 1, [50, 100, 200, 315])
 
 
+# fixed values: published rows (dataset, model, method, total accuracy, MB)
+PUBLISHED = [(2, "A", "slice_wise", 94.38, 45506.0), (2, "A", "full_schema", 96.63, 78772.0), (2, "B", "slice_wise", 89.89, 38374.0), (2, "B", "full_schema", 92.70, 67342.0)]
+
+
 def published_saving(spark, sf):
     """Memory saved and accuracy lost against the full-schema linker, from the published rows."""
-    rows = [(2, "A", "slice_wise", 94.38, 45506.0), (2, "A", "full_schema", 96.63, 78772.0), (2, "B", "slice_wise", 89.89, 38374.0), (2, "B", "full_schema", 92.70, 67342.0)]
-    return cost.compare(spark.createDataFrame(rows, "dataset int, model string, method string, tot_acc double, mem_mb double"))
+    return cost.compare(spark.createDataFrame(PUBLISHED, "dataset int, model string, method string, tot_acc double, mem_mb double"))
 
 
-SAVING_SQL = "SELECT * FROM (VALUES (2, 'A', 'slice_wise', 42.23::DOUBLE, 2.25::DOUBLE), (2, 'B', 'slice_wise', 43.02, 2.81)) x(dataset, model, method, saving_pct, loss_points)"
+SAVING_SQL = f"""WITH r(dataset, model, method, acc, mb) AS (VALUES {', '.join(f"({d}, '{m}', '{x}', {a}::DOUBLE, {b}::DOUBLE)" for d, m, x, a, b in PUBLISHED)})
+SELECT s.dataset, s.model, s.method, round(100 * (1 - s.mb / f.mb), 2) AS saving_pct, round(f.acc - s.acc, 2) AS loss_points FROM r s JOIN r f ON s.model = f.model AND s.dataset = f.dataset AND f.method = 'full_schema' WHERE s.method <> 'full_schema'"""
 
 
 def exp_methods(spark, sf):
-    return experiments.methods(spark, sf, (2,), ("logit",), 0.02)
+    return experiments.methods(spark, sf)
 
 
 def exp_train_granularity(spark, sf):
-    return experiments.train_granularity(spark, sf, (2,), "logit", 0.015, (6, 12))
+    return experiments.train_granularity(spark, sf)
 
 
 def exp_history(spark, sf):
-    return experiments.history(spark, sf, (2,), ("logit",), 0.015)
+    return experiments.history(spark, sf)
 
 
 def exp_infer_granularity(spark, sf):
-    return experiments.infer_granularity(spark, sf, (2,), "logit", 0.015, (8, 4))
+    return experiments.infer_granularity(spark, sf)
 
 
 def exp_end_to_end(spark, sf):
-    return experiments.end_to_end(spark, sf, (2,), 0.015)
+    return experiments.end_to_end(spark, sf)
+
+
+def nation_groups(spark, sf):
+    c, n = table(spark, sf, "customer"), table(spark, sf, "nation")
+    return c.join(F.broadcast(n), c.c_nationkey == n.n_nationkey).groupBy("n_name").agg(F.min("c_custkey").alias("group_key"), F.count("*").alias("n"))  # twenty-five rows
+
+
+NATION_SQL = "SELECT n_name, min(c_custkey) AS group_key, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey GROUP BY 1"
 
 
 def queries() -> dict:
     names = [
         catalog_columns, render_schema, fk_inclusion_exact, fk_inclusion_sketch, unique_columns, token_count_word, token_count_char4, token_count_bpe, reference_split, correlation_groups, correlation_groups_by_joins, correlation_groups_per_fk,
         slice_order, pack_slices, pack_slices_small, pack_slices_group_boundary, pack_first_fit, pack_split_columns, slice_coverage, slice_cap_sweep, cap_search, qa_split, workload_sizes, difficulty_levels, examples_full, examples_names_only,
-        examples_sql_direct, examples_sliced_nohist, examples_sliced_hist, examples_balanced, examples_weighted, examples_per_table, examples_sql_union, token_report, memory_fit, time_fit, budget_gate, budget_caps, infer_lexical_once,
-        infer_lexical_sliced, infer_lexical_fold, infer_cap_sweep, noisy_oracle_predictions, link_scores, link_scores_by_difficulty_cube, link_intervals, paired_mcnemar, vote_of_three, prune_columns, execution_accuracy, logical_match, docs_pack, passage_link,
+        examples_sql_direct, examples_sliced_nohist, examples_sliced_hist, examples_balanced, examples_weighted, examples_per_table, examples_sql_union, token_report, rendered_examples, examples_neg_sample, examples_sql_gold, memory_fit, time_fit, budget_gate, budget_caps, infer_lexical_once,
+        infer_lexical_sliced, infer_lexical_fold, infer_cap_sweep, noisy_oracle_predictions, link_scores, link_scores_by_difficulty_cube, link_intervals, paired_mcnemar, vote_of_three, prune_columns, execution_accuracy, logical_match, plan_matches, docs_pack, passage_link, passage_scores, nation_groups,
         dense_link_topk, host_groups, label_balance, conversation_history, cost_tradeoff, published_saving, exp_methods, exp_train_granularity, exp_history, exp_infer_granularity, exp_end_to_end,
     ]
     return {f.__name__: f for f in names}
@@ -574,8 +693,53 @@ def _tradeoff_sql(caps):
     return sql(f"SELECT cap, n_slices, round({m.base!r}::DOUBLE + {2 * m.per_token!r}::DOUBLE * cap, 1) AS est_mb, round({t.fixed!r}::DOUBLE + {t.per_call!r}::DOUBLE * n_slices, 3) AS est_s FROM ({one})", CAT, GRP, *(packed(c, f"pk{c}") for c in caps))
 
 
+_M = "(SELECT regr_intercept(y, x) FROM p) AS base, (SELECT regr_slope(y, x) FROM p) / 2 AS per_token"
+_P1 = "p(x, y) AS (VALUES " + ", ".join(f"({x}::DOUBLE, {y}::DOUBLE)" for x, y in cost.MEMORY_POINTS[1]) + f"), m AS (SELECT {_M})"
+GATE_SQL = f"""WITH {_P1}, g(variant, max_tokens, batch, context) AS (VALUES {", ".join(f"('{a}', {b}, {c}, {d})" for a, b, c, d in _GATES)}), e AS (SELECT *, base + per_token * batch * max_tokens AS mb FROM g, m)
+SELECT variant, max_tokens, round(mb, 1) AS est_mb, CASE WHEN max_tokens > context THEN 'CONTEXT_EXCEEDED' WHEN mb > {experiments.BUDGET_MB} THEN 'OOM' ELSE 'OK' END AS status FROM e"""
+CAPS_SQL = f"WITH {_P1} SELECT b::INT AS budget_mb, (trunc((b - base) / (per_token * 2)) - 100)::INT AS cap FROM (SELECT unnest([45000, 57000, 70000, 80000]) AS b), m"
+CAP_SEARCH_SQL = sql("""SELECT wanted::INT AS wanted, min(cap)::INT AS cap, arg_min(n, cap)::INT AS slices FROM range(1, 8) w(wanted) JOIN (SELECT cap, max(k) AS n FROM every GROUP BY cap) c ON n <= wanted GROUP BY wanted""", CAT, GRP,
+    "caps AS (SELECT i AS cap FROM range((SELECT max(n_tokens) + 1 FROM tok), (SELECT sum(n_tokens)::BIGINT + 2 FROM tok)) r(i))",
+    "every AS (SELECT cap, o.pos, o.n_tokens AS total, 1 AS k FROM caps, ord o WHERE o.pos = 1 UNION ALL SELECT e.cap, o.pos, CASE WHEN e.total + o.n_tokens >= e.cap THEN o.n_tokens ELSE e.total + o.n_tokens END, e.k + (e.total + o.n_tokens >= e.cap)::INT FROM every e JOIN ord o ON o.pos = e.pos + 1)")
+_TOKENS = lambda c: f"len(regexp_extract_all({c}, '[A-Za-z]+|[0-9]+|[^\\sA-Za-z0-9]'))"
+SPLIT_SQL = sql(f"SELECT table_name, part::INT AS part, string_agg(column_name, ',' ORDER BY pos) AS columns FROM parts GROUP BY ALL", CAT,
+    f"sized AS (SELECT c.table_name, c.column_name, c.pos, {_TOKENS("column_name || ' ' || type || ','")} AS w, 2 + {_TOKENS('c.table_name')} AS f FROM cols c JOIN tok t USING (table_name) WHERE n_tokens >= 40)",
+    "parts AS (SELECT table_name, column_name, pos, f, f + w AS total, 1 AS part FROM sized WHERE pos = 1 UNION ALL SELECT s.table_name, s.column_name, s.pos, s.f, CASE WHEN p.total + s.w >= 40 THEN s.f + s.w ELSE p.total + s.w END, p.part + (p.total + s.w >= 40)::INT FROM parts p JOIN sized s ON s.table_name = p.table_name AND s.pos = p.pos + 1)")
+PRUNE_SQL = sql(f"""SELECT qid, table_name, coalesce(string_agg(column_name, ',' ORDER BY pos) FILTER (WHERE ends_with(column_name, 'key') OR ends_with(column_name, '_id') OR (table_name, column_name) IN (SELECT table_name, col FROM fk)
+  OR len(list_intersect({_WORDS("replace(column_name, '_', ' ')")}, q)) > 0), '') AS columns FROM (SELECT qid, unnest(gold) AS table_name, {_WORDS("question")} AS q FROM qa) JOIN cols USING (table_name) GROUP BY qid, table_name""", CAT, QA_SQL)
+FOLD = f"""known AS (SELECT list_distinct(flatten(list(words))) AS words FROM tw),
+qq AS (SELECT qid, list_intersect({_WORDS("question")}, (SELECT words FROM known)) AS q FROM qa),
+sw AS (SELECT slice_id, list({{'t': table_name, 'w': words}} ORDER BY pos) AS ts FROM pk JOIN tw USING (table_name) GROUP BY slice_id),
+fold AS (SELECT qid, q, 0 AS slice_id, []::VARCHAR[] AS chosen, []::VARCHAR[] AS seen FROM qq
+UNION ALL SELECT qid, q, slice_id, list_concat(chosen, list_transform(kept, lambda x: x.t)), list_concat(seen, flatten(list_transform(kept, lambda x: x.w))) FROM (
+  SELECT *, list_filter(scored, lambda x: x.s >= 0.3 AND x.s >= 0.8 * best - 1e-9) AS kept FROM (
+    SELECT *, list_max(list_transform(scored, lambda x: x.s)) AS best FROM (
+      SELECT f.qid, f.q, w.slice_id, f.chosen, f.seen, list_transform(w.ts, lambda t: {{'s': (len(list_intersect(f.q, t.w)) - 0.5::DOUBLE * len(list_intersect(list_intersect(f.q, t.w), f.seen))) / greatest(len(f.q), 1), 't': t.t, 'w': t.w}}) AS scored FROM fold f JOIN sw w ON w.slice_id = f.slice_id + 1))))"""
+FOLD_SQL = sql("SELECT qid, array_to_string(list_sort(list_distinct(chosen)), ',') AS pred, slice_id::INT AS n_calls FROM fold WHERE slice_id = (SELECT max(slice_id) FROM sw)", CAT, GRP, QA_SQL, LEX_SQL.split(",\nw1 AS")[0], packed(CAP), FOLD)
+STREAM_LINK_SQL = sql("SELECT e.event_id AS qid, array_to_string(list_sort(list_distinct(chosen)), ',') AS pred, slice_id::INT AS n_calls FROM events e JOIN fold f ON f.qid = e.event_id % 60 WHERE slice_id = (SELECT max(slice_id) FROM sw)", CAT, GRP, QA_SQL, LEX_SQL.split(",\nw1 AS")[0], packed(CAP), FOLD)
+_SYS = {k: v.replace("'", "''") for k, v in __import__("slicelink.functions.templates", fromlist=["SYSTEM"]).SYSTEM.items()}
+REPORT_SQL = sql(f"""SELECT variant, count(*) AS n_examples, max({_TOKENS('sys')} + {_TOKENS('usr')} + {_TOKENS('ans')})::INT AS max_tokens, sum({_TOKENS('sys')} + {_TOKENS('usr')} + {_TOKENS('ans')})::BIGINT AS sum_tokens, sum({_TOKENS('ans')})::BIGINT AS label_tokens, sum(h)::BIGINT AS history_names FROM (
+  SELECT 'full_schema' AS variant, '{_SYS['link']}' AS sys, 'Tables: ' || (SELECT string_agg(text, '; ') FROM tok) || chr(10) || 'Question: ' || question AS usr, {_ANSWER} AS ans, 0 AS h FROM qa
+  UNION ALL SELECT 'names_only', '{_SYS['link']}', 'Tables: ' || (SELECT string_agg(table_name, '; ') FROM tok) || chr(10) || 'Question: ' || question, {_ANSWER}, 0 FROM qa
+  UNION ALL SELECT 'sliced_none', '{_SYS['slice']}', 'Tables: ' || stext || chr(10) || 'Already chosen: #None#' || chr(10) || 'Question: ' || question, {_T}, 0 FROM hist JOIN stext USING (slice_id)
+  UNION ALL SELECT 'sliced_gold', '{_SYS['slice']}', 'Tables: ' || stext || chr(10) || 'Already chosen: ' || CASE WHEN len(hh) = 0 THEN '#None#' ELSE array_to_string(hh, ', ') END || chr(10) || 'Question: ' || question, {_T}, len(hh) FROM (SELECT *, coalesce(history, []) AS hh FROM hist UNION ALL SELECT *, [] FROM hist WHERE len(target) > 0) x JOIN stext USING (slice_id)
+) GROUP BY variant""", CAT, GRP, QA_SQL, STEPS, "stext AS (SELECT slice_id, string_agg(text, '; ' ORDER BY pos) AS stext FROM pk JOIN tok USING (table_name) GROUP BY slice_id)")
+RENDERED_SQL = sql(f"SELECT qid, '<system>{_SYS['link']}<user>Tables: ' || (SELECT string_agg(text, '; ' ORDER BY table_name) FROM tok) || chr(10) || 'Question: ' || question || '<assistant>' || {_ANSWER} || '<end>' AS text FROM qa", CAT, QA_SQL)
+NEG_SQL = _EX(f"SELECT qid, slice_id, {_T} AS assistant, {_H} AS history, 1.0::DOUBLE AS weight FROM hist WHERE len(target) > 0 OR (qid * 31 + slice_id) % 2 = 0")
+SQL_GOLD_SQL = SQL_UNION_SQL.replace("list_contains(list_concat(pred, gold), table_name)", "list_contains(gold, table_name)")
+CAP_SWEEP_SCORES = " UNION ALL ".join(f"SELECT {c} AS cap, * FROM (SELECT {AVG} FROM (SELECT qid, (pred = gold)::INT AS total, (len(list_intersect(pred, gold)) = len(gold))::INT AS filtered, len(list_intersect(pred, gold)) AS hit, len(pred) AS np, len(gold) AS ng FROM (SELECT q.qid, list_sort(any_value(q.gold)) AS gold, coalesce(list(DISTINCT table_name ORDER BY table_name) FILTER (WHERE table_name IS NOT NULL), []) AS pred FROM qa q LEFT JOIN ch{c} USING (qid) GROUP BY q.qid)))" for c in (60, 100, 200, 315))
+INFER_SWEEP_SQL = sql(CAP_SWEEP_SCORES, CAT, GRP, QA_SQL, LEX_SQL, *(x for c in (60, 100, 200, 315) for x in (packed(c, f"pk{c}"), f"ss{c} AS (SELECT sc.*, slice_id FROM sc JOIN pk{c} USING (table_name))", _PICK.format(keys="qid, slice_id", src=f"ss{c}").replace("ch AS", f"ch{c} AS", 1))))
+_GRAMS = "list_distinct([array_to_string(w[i:i + 3], ' ') FOR i IN range(1, len(w) - 2)])"
+PASSAGE_SCORES_SQL = f"""WITH b AS (SELECT item_id, text, array_to_string(string_split_regex(text, '[ \\t\\n]+')[2:5], ' ') AS anchor FROM benchmark WHERE length(text) > 0), d AS (SELECT doc_id, text, string_split_regex(text, '[ \\t\\n]+') AS w FROM documents),
+hit AS (SELECT DISTINCT item_id, doc_id FROM (SELECT doc_id, unnest({_GRAMS}) AS anchor FROM d) JOIN b USING (anchor)), own AS (SELECT item_id, doc_id FROM b JOIN d ON contains(d.text, b.text)),
+s AS (SELECT item_id, (SELECT count(*) FROM hit h WHERE h.item_id = b.item_id) AS np, (SELECT count(*) FROM own o WHERE o.item_id = b.item_id) AS ng, (SELECT count(*) FROM hit h JOIN own o USING (item_id, doc_id) WHERE h.item_id = b.item_id) AS hit FROM b),
+sc AS (SELECT *, (hit = np AND hit = ng)::INT AS total, (hit = ng)::INT AS filtered FROM s) SELECT {AVG} FROM sc"""
+
+
 def oracle_sql() -> dict[str, str]:
     return {
+        "budget_gate": GATE_SQL, "budget_caps": CAPS_SQL, "cap_search": CAP_SEARCH_SQL, "pack_split_columns": SPLIT_SQL, "prune_columns": PRUNE_SQL, "infer_lexical_fold": FOLD_SQL, "token_report": REPORT_SQL, "rendered_examples": RENDERED_SQL,
+        "examples_neg_sample": NEG_SQL, "examples_sql_gold": SQL_GOLD_SQL, "infer_cap_sweep": INFER_SWEEP_SQL, "execution_accuracy": EXECUTION_SQL, "plan_matches": PLAN_SQL, "nation_groups": NATION_SQL, "passage_scores": PASSAGE_SCORES_SQL,
         "catalog_columns": f"WITH {COLS} SELECT table_name, pos, column_name, type FROM cols",
         "render_schema": RENDER_SQL, "paired_mcnemar": PAIRED_SQL, "cost_tradeoff": _tradeoff_sql([50, 100, 200, 315]), "fk_inclusion_exact": FK_SQL, "unique_columns": UNIQUE_SQL,
         "token_count_word": sql("SELECT table_name, n_tokens FROM tok", CAT), "token_count_char4": sql("SELECT table_name, ceil(length(text) / 4.0)::INT AS n_tokens FROM tok", CAT),
@@ -584,7 +748,7 @@ def oracle_sql() -> dict[str, str]:
         "correlation_groups_per_fk": sql("SELECT table_name, min(group_key) AS group_key FROM (SELECT ref_table AS group_key, table_name FROM fk UNION ALL SELECT ref_table, ref_table FROM fk) GROUP BY table_name", CAT),
         "slice_order": sql("SELECT table_name, has_reference, group_id::INT AS group_id, pos::INT AS pos FROM ord", CAT, GRP),
         "pack_slices": _pk_sql(CAP), "pack_slices_small": _pk_sql(50), "pack_slices_group_boundary": _pk_sql(CAP, by_group=True),
-        "slice_coverage": sql("SELECT (SELECT count(*) FROM tok) AS n_tables, count(DISTINCT table_name) AS n_placed, (SELECT count(*) FROM tok) - count(DISTINCT table_name) AS n_missing, 0::BIGINT AS n_extra, count(*) - count(DISTINCT table_name) AS n_twice FROM pk", CAT, GRP, packed(CAP)),
+        "slice_coverage": sql("SELECT (SELECT count(*) FROM tok) AS n_tables, count(DISTINCT table_name) AS n_placed, (SELECT count(*) FROM tok) - count(DISTINCT table_name) AS n_missing, (SELECT count(DISTINCT table_name) FROM pk WHERE table_name NOT IN (SELECT table_name FROM tok)) AS n_extra, count(*) - count(DISTINCT table_name) AS n_twice FROM pk", CAT, GRP, packed(CAP)),
         "slice_cap_sweep": SWEEP_SQL, "qa_split": QA_SPLIT_SQL, "workload_sizes": WORKLOAD_SQL, "difficulty_levels": DIFFICULTY_SQL,
         "examples_full": _whole_sql("text"), "examples_names_only": _whole_sql("table_name"), "examples_sql_direct": _whole_sql("text", "gold_sql"),
         "examples_sliced_nohist": NOHIST_SQL, "examples_sliced_hist": HIST_SQL, "examples_balanced": BALANCED_SQL, "examples_weighted": WEIGHTED_SQL, "examples_per_table": PER_TABLE_SQL, "examples_sql_union": SQL_UNION_SQL,

@@ -219,12 +219,12 @@ def stream_converse(spark, sf):
     return drain(converse(rows.select("conv_id", "turn", "role")), "append", "converse")
 
 
-@q("SELECT event_id % 500 AS qid, string_agg(DISTINCT event_type, ',' ORDER BY event_type) AS tables, true AS complete FROM events WHERE event_id < 2000 GROUP BY 1 HAVING count(DISTINCT event_id // 500) = 4")
+@q("SELECT event_id // 4 AS qid, string_agg(DISTINCT event_type, ',' ORDER BY event_type) AS tables, true AS complete FROM events GROUP BY 1 HAVING count(DISTINCT event_id % 4) = 4")
 def stream_link_stateful(spark, sf):
-    """Four answers a question: here each event is the answer of one slice for one of 500 questions."""
-    e = events(spark, sf).where("event_id < 2000")
-    rows = e.select((F.col("event_id") % 500).alias("qid"), F.floor(F.col("event_id") / 500).cast("int").alias("slice_id"), F.array("event_type").alias("found"), "at")
-    return drain(link_stateful(rows, 4), "append", "stateful").select("qid", F.array_join(F.array_sort("tables"), ",").alias("tables"), "complete")
+    """Four answers a question: here each event is the answer of one slice, and four events in a row are a question's."""
+    e = events(spark, sf)
+    rows = e.select(F.floor(F.col("event_id") / 4).alias("qid"), (F.col("event_id") % 4).cast("int").alias("slice_id"), F.array("event_type").alias("found"), "at")
+    return drain(link_stateful(rows, 4, "60 days"), "append", "stateful").where("complete").select("qid", F.array_join(F.array_sort("tables"), ",").alias("tables"), "complete")
 
 
 @q()
@@ -234,7 +234,7 @@ def stream_link(spark, sf):
 
     b = catalog.base(spark, sf)
     qa = queries._qa(spark).select(F.col("qid").alias("k"), "db_id", "question")
-    arrivals = events(spark, sf).where("event_id < 300").select(F.col("event_id").alias("qid"), (F.col("event_id") % 60).alias("k"))
+    arrivals = events(spark, sf).select(F.col("event_id").alias("qid"), (F.col("event_id") % 60).alias("k"))
     out = link(arrivals.join(qa, "k"), queries.LEX, slicing.pack(groups.order(b), queries.CAP), b)
     return drain(out, "append", "link").select("qid", F.array_join("pred_tables", ",").alias("pred"), "n_calls")
 
@@ -244,4 +244,6 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return dict(S)
+    from ..plans import queries
+
+    return S | {"stream_link": queries.STREAM_LINK_SQL}

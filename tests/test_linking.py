@@ -1,13 +1,17 @@
 """Golden values, properties and brute force of the linking engine."""
 
 import random
+from collections import Counter
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from slicelink.functions import sqlfuncs, templates, tokens
 from slicelink.plans import catalog as C
-from slicelink.plans import cost, examples, experiments, groups, linkers, linking, metrics, slicing, sqlgen, workload
+from slicelink.operators import relational
+from slicelink.plans import cost, examples, experiments, groups, linkers, linking, metrics, slicing, sqlgen, train, workload
+from slicelink.plans import queries as linking_queries
 from slicelink.sources import readers
 from slicelink.streaming import online
 
@@ -129,14 +133,107 @@ def test_rounds_follow_answers(spark, base, ordered, question):
     assert r.pred_tables == ["customer", "orders"] and r.n_calls == 4
 
 
-def test_training_lowers_loss(spark, base):
-    from slicelink.plans import train
-
-    qa = workload.qa_frame(spark, workload.make_qa([(t, t) for t in C.TABLES], 20, "main"))
-    rows = linking.examples_frame(qa, linking.Shelf.of(base), False).limit(150)
-    one, losses = train.fit(linkers.LowRankText(linkers.LowRankConfig(rank=2, dim=1 << 12)), rows, 1, 4)
+@pytest.fixture(scope="module")
+def small(spark, base, ordered):
+    """Sixty questions over the base tables, and a shelf of their slices."""
+    qa = workload.qa_frame(spark, workload.make_qa([(t, t) for t in C.TABLES], 60, "main"))
+    return qa.cache(), linking.Shelf.of(base, slicing.pack(ordered, 100))
+
+
+def plain_features(shelf, words, k, past):
+    """The features of one question's prompt, word by word."""
+    weight, q = lambda w: shelf.weight.get(w, 1.0), set(words)
+    total, names = sum(map(weight, q)) or 1.0, shelf.slices[k]
+    known = set().union(*shelf.short.values(), *shelf.long.values())
+    seen, told = set().union(*(shelf.long[h] for h in past)), set().union(*(shelf.short[h] for h in past))
+    whole = {t: shelf.short[t] <= q for t in names}
+    overlap = {t: sum(weight(w) for w in q & shelf.short[t]) / total for t in names}
+    best = max(overlap.values())
+    return [
+        [overlap[t], sum(weight(w) for w in q & shelf.long[t]) / total, len(q & shelf.short[t]) / len(shelf.short[t]), whole[t], whole[t] and any(whole[u] and shelf.short[t] < shelf.short[u] for u in names),
+         len(told & shelf.short[t]) / len(shelf.short[t]), any(h in shelf.keys[t] for h in past), sum(weight(w) for w in q & seen & known) / total, min(len(past), 4) / 4, k / len(shelf.slices), overlap[t] / best if best else 0.0]
+        for t in names
+    ]
+
+
+def test_features_of_many_questions_equal_plain_ones(small):
+    qa, shelf = small
+    rows = linking.questions_of(qa).collect()
+    bench = shelf.bench([r.words for r in rows], 1 << 12)
+    gold = bench.gold([r.gold_tables for r in rows])
+    for k in range(len(shelf.slices)):
+        past = gold * (bench.slice_of < k)
+        x = bench.prompts(k, past).x
+        for i, r in enumerate(rows):
+            before = [t for s in shelf.slices[:k] for t in s if t in r.gold_tables]
+            assert np.allclose(x[i], np.array(plain_features(shelf, r.words, k, before), float))
+
+
+def test_lessons_are_the_examples(spark, small, base, ordered):
+    """Prompts, labels and weights of the matrix form are those of the example builder."""
+    qa, shelf = small
+    rows = linking.questions_of(qa).collect()
+    bench = shelf.bench([r.words for r in rows], 64)
+    for history, kw in ((True, {}), (False, {"history": "none", "balance": "weight"})):
+        made = Counter()
+        for prompt, y, weight in bench.lessons(bench.gold([r.gold_tables for r in rows]), history):
+            k = int(bench.slice_of[prompt.here[0]]) + 1
+            for i, w, target, past in zip(prompt.some, weight, y, prompt.past, strict=True):
+                made[rows[i].qid, k, w, tuple(sorted(bench.names[j] for j, v in zip(prompt.here, target, strict=True) if v)), tuple(sorted(bench.names[j] for j in np.flatnonzero(past)))] += 1
+        want = Counter((r.qid, r.slice_id, r.weight, () if r.assistant == templates.NONE else tuple(sorted(r.assistant.split(", "))), tuple(sorted(r.history))) for r in examples.sliced(qa, slicing.pack(ordered, 100), base, **kw).collect())
+        assert made == want
+
+
+@pytest.mark.parametrize("one", [linkers.PairLogit(), linkers.LowRankText(linkers.LowRankConfig(rank=3, dim=64))])
+def test_gradients_equal_differences(small, one):
+    qa, shelf = small
+    rows = linking.questions_of(qa).limit(12).collect()
+    bench = shelf.bench([r.words for r in rows], 64)
+    gold = bench.gold([r.gold_tables for r in rows])
+
+    def loss(at=None):
+        at = one.start(bench) if at is None else at
+        return sum(one.learn(p, y, w, at) for p, y, w in bench.lessons(gold, True))
+
+    at = one.start(bench)
+    loss(at)
+    grads = one.rows(bench, at)
+    fields = [("g", "w")] if isinstance(one, linkers.PairLogit) else [("t", "tuned"), ("a", "a"), ("b", "b")]
+    for name, attr in fields:
+        value = getattr(one, attr)
+        for row, v in [(r, v) for (n, r), v in grads.items() if n == name][:6]:
+            for j in (0, len(v) - 1):
+                spot = (j,) if value.ndim == 1 else (row, j)
+                keep, sides = value[spot], []
+                for e in (1e-5, -1e-5):
+                    value[spot] = keep + e
+                    sides.append(loss())
+                value[spot] = keep
+                assert abs((sides[0] - sides[1]) / 2e-5 - v[j]) < 1e-3 * max(1, abs(v[j]))
+
+
+@pytest.mark.parametrize("direct", [64, 0])
+def test_training_lowers_loss_and_links(small, monkeypatch, direct):
+    qa, shelf = small
+    monkeypatch.setattr(train, "DIRECT", max(direct, 1))
+    few = qa.repartition(3) if not direct else qa
+    one, losses = train.fit(linkers.LowRankText(linkers.LowRankConfig(rank=4, dim=256)), few, shelf, True, 1, 8)
     assert losses[-1] < losses[0]
-    assert linking.infer(one, qa, linking.Shelf.of(base)).count() == 20
+    two, falls = train.fit(linkers.PairLogit(), few, shelf, True)
+    assert falls[-1] < 0.3 * falls[0]
+    r = metrics.link_scores(linking.infer(two, qa, shelf), qa).first()
+    assert r.n == 60 and r.filt_acc > 60
+
+
+def test_all_methods_and_gates_at_a_small_scale(spark, sf):
+    rows = {(r.dataset, r.method, r.model): r for r in experiments.methods(spark, sf, scale=0.03).collect()}
+    assert len(rows) == 24
+    status = lambda d, m: [rows[d, m, x].status for x in experiments.MODELS]
+    assert status(1, "full_schema") == ["OOM", "OOM", "CONTEXT_EXCEEDED"] and status(2, "full_schema") == ["OK", "OK", "CONTEXT_EXCEEDED"]
+    assert status(1, "untrained") == ["OK", "OK", "CONTEXT_EXCEEDED"] and status(1, "slice_wise") == ["OK"] * 3
+    assert [rows[1, "slice_wise", x].calls for x in experiments.MODELS] == [8, 8, 11]
+    for r in rows.values():
+        assert r.status == "OK" and r.n == {1: 11, 2: 5}[r.dataset] and r.tot_acc <= r.filt_acc <= r.avg_rec + 1e-9 or r.status != "OK" and r.tot_acc is None
 
 
 def test_execution_and_guard(spark, sf):
@@ -199,3 +296,39 @@ def test_reslicer_equals_full_pack():
 def test_stateful_stream(spark, sf):
     got = online.stream_link_stateful(spark, "/root/testdata/sf0.01")
     assert got.where("NOT complete").count() == 0
+
+
+@pytest.mark.parametrize("width", [1, 7, 50])
+def test_range_join_at_fractional_bounds(spark, width):
+    points = spark.createDataFrame([(i, i * 0.3 - 5) for i in range(400)], "i int, at double")
+    ranges = [(49.5, 50.5), (50.0, 50.0), (0.0, 50.0), (-3.2, 0.1), (99.9, 100.0), (20.0, 19.0), (50.0, 100.0)]
+    got = relational.range_join(points, spark.createDataFrame(ranges, "lo double, hi double"), "at", "lo", "hi", width)
+    assert sorted((r.i, r.lo, r.hi) for r in got.collect()) == sorted((i, lo, hi) for i in range(400) for lo, hi in ranges if lo <= i * 0.3 - 5 < hi)
+
+
+def test_short_and_odd_passages_are_linked(spark, tmp_path):
+    text = "one alpha beta gamma delta epsilon\tzeta eta\n theta iota"
+    passages = ["alpha", "lph", "alpha beta", "alpha beta gamma", "alpha beta gamma delta", "beta gamma delta epsilon\tzeta", "pha beta gamma delta epsilon\tzeta et", "alpha beta gamma delta epsilon zeta", " theta", "eta\n theta iota", "nowhere to be found at all", "", "one alpha beta gamma delta epsilon\tzeta eta\n theta iota", "gamma beta"]
+    spark.createDataFrame(list(enumerate(passages)), "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    docs = [(1, text), (2, "xalphax"), (3, None), (4, ""), (5, "alpha beta gamma"), (5, text)]
+    spark.createDataFrame(docs, "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    got = sorted((r.item_id, r.doc_id) for r in linking_queries.passage_link(spark, str(tmp_path)).collect())
+    assert got == sorted((i, d) for i, p in enumerate(passages) for d, t in docs if p and t and p in t)
+
+
+def test_dense_blocks(spark):
+    r = np.random.default_rng(3)
+    v = r.integers(-3, 4, (90, 4)).astype(float) + 0.5  # many ties
+    df = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(v)], "vec_id long, embedding array<double>")
+    n = v / np.linalg.norm(v, axis=1, keepdims=True)
+    s = np.round(n @ n.T, 6)
+    want = sorted((q, int(j), k + 1) for q in range(0, 90, 7) for k, j in enumerate([j for j in np.lexsort((np.arange(90), -s[q])) if j != q][:5]))
+    for block in (8, 4096):
+        got = linkers.DenseLinker(5, block).nearest(df.where("vec_id % 7 = 0"), df)
+        assert sorted((x.query_id, x.vec_id, x["rank"]) for x in got.collect()) == want
+
+
+def test_ordered_results_are_told_apart_without_collecting(spark):
+    rows = spark.range(0, 1000, 1, 7).select((F.col("id") * 7919 % 1009).alias("x"))
+    assert metrics.digest(rows.orderBy("x"), True) == metrics.digest(rows.repartition(3).orderBy("x"), True) != metrics.digest(rows.orderBy(F.desc("x")), True)
+    assert metrics.digest(rows) == metrics.digest(rows.orderBy("x"))
