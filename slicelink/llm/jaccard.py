@@ -242,9 +242,9 @@ def intersections(gram: np.ndarray, doc: np.ndarray, n: int) -> np.ndarray:
     return out
 
 
-def compare(ids: list[int], left: np.ndarray, right: np.ndarray, gram: np.ndarray, doc: np.ndarray, similarity: float, counted=None) -> list[tuple[int, int, int]]:
+def compare(ids: list[int], left: np.ndarray, right: np.ndarray, gram: np.ndarray, doc: np.ndarray, similarity: float, elsewhere=None, first=None) -> list[tuple[int, int, int]]:
     """(id, links found here, smallest id it is linked with here, through others too) of those with links; compared are the pairs with one
-    text of `left` and one of `right` (masks; the same mask: all pairs), but for links (x, y) that `counted` says are counted elsewhere."""
+    text of `left` and one of `right` (masks; the same mask: all pairs), without the pairs of the mask `elsewhere`; of the links (x, y) those for which `first` holds."""
     n = len(ids)
     size = np.bincount(doc, minlength=n).astype(np.float64)
     both = intersections(gram, doc, n)
@@ -252,10 +252,11 @@ def compare(ids: list[int], left: np.ndarray, right: np.ndarray, gram: np.ndarra
     link &= (left[:, None] & right[None, :]) | (right[:, None] & left[None, :])
     link &= (size > 0)[:, None]
     np.fill_diagonal(link, False)
-    if counted is not None:
-        for x, y in np.argwhere(np.triu(link)).tolist():
-            if counted(x, y):
-                link[x, y] = link[y, x] = False
+    if elsewhere is not None:
+        link &= ~elsewhere
+    for x, y in np.argwhere(np.triu(link)).tolist() if first else ():
+        if not first(x, y):
+            link[x, y] = link[y, x] = False
     count = link.sum(1)
     root = np.array(ids, np.int64)
     while True:  # the smallest id spreads over the links
@@ -278,12 +279,13 @@ def _blocks(batches, similarity):
         rows = rows.take(pa.array(np.flatnonzero(np.concatenate([[True], v[1:] != v[:-1]]))))  # equal rows of one id
         words = Words(rows.column("t").combine_chunks())
         gram, doc = shingles(words)
-        b, us, d = rows.column("b").to_numpy(), rows.column("us").to_pylist(), rows.column("d").to_pylist()
-        elsewhere = None
-        if key[0] == 1 or any(x is not None for x in d):
-            us = [set(x) if x else None for x in us]
-            elsewhere = lambda x, y: d[x] is not None and d[x] == d[y] or key[0] == 1 and min(us[x] & us[y]) != key[1]
-        return compare(rows.column("v").to_pylist(), b == key[2], b == key[3], gram, doc, similarity, elsewhere)
+        b, d = rows.column("b").to_numpy(), rows.column("d").fill_null(-1).to_numpy()
+        elsewhere = (d[:, None] == d[None, :]) & (d >= 0)  # pairs of one dense group
+        first = None
+        if key[0] == 1:
+            us = [set(x) for x in rows.column("us").to_pylist()]
+            first = lambda x, y: min(us[x] & us[y]) == key[1]
+        return compare(rows.column("v").to_pylist(), b == key[2], b == key[3], gram, doc, similarity, elsewhere, first)
 
     for batch in batches:
         if not batch.num_rows:
