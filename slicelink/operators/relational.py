@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
+import uuid
+
 import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..session import table
+from ..session import shared_path, table
 
 
 def salted_join(left: DataFrame, right: DataFrame, key: str, salts: int = 8) -> DataFrame:
@@ -384,9 +386,28 @@ def nulls_and_nans(spark, sf):
 
 @op("SELECT o_orderstatus, o_custkey, count(*) AS n FROM orders GROUP BY 1, 2")
 def bucketed_aggregate(spark, sf):
-    """Rows co-located by a key once serve two aggregates of it."""
-    x = t(spark, sf, "orders").select("o_custkey", "o_orderstatus").repartition(F.col("o_custkey"))
-    return x.groupBy("o_custkey", "o_orderstatus").agg(F.count("*").alias("n"))
+    """A table in buckets of a key: the aggregate by it needs no shuffle."""
+    name = f"slicelink_bucketed_{uuid.uuid4().hex}"
+    rows = t(spark, sf, "orders").select("o_custkey", "o_orderstatus")
+    rows.write.bucketBy(8, "o_custkey").sortBy("o_custkey").option("path", shared_path(spark, "bucketed")).saveAsTable(name)
+    return spark.table(name).groupBy("o_custkey", "o_orderstatus").agg(F.count("*").alias("n"))
+
+
+@op("SELECT count(*) AS n_rows, sum(o_orderkey)::BIGINT AS keys, max(o_totalprice) AS dearest FROM orders")
+def observe(spark, sf):
+    """Measures taken while rows pass to a sink: no pass of its own."""
+    from pyspark.sql import Observation
+
+    seen = Observation()
+    t(spark, sf, "orders").observe(seen, F.count("*").alias("n_rows"), F.sum("o_orderkey").alias("keys"), F.max("o_totalprice").alias("dearest")).write.format("noop").mode("overwrite").save()
+    got = seen.get
+    return spark.createDataFrame([(got["n_rows"], got["keys"], got["dearest"])], "n_rows long, keys long, dearest double")
+
+
+@op("SELECT o_orderkey FROM orders WHERE o_orderstatus = 'F'")
+def sample_by(spark, sf):
+    """Stratified sampling; the shares are all and none here, so that SQL can follow it."""
+    return t(spark, sf, "orders").sampleBy("o_orderstatus", {"F": 1.0, "O": 0.0}, 7).select("o_orderkey")
 
 
 def queries() -> dict:

@@ -55,6 +55,19 @@ def render(catalog: DataFrame, detail: str = "types", kind: str = "word") -> Dat
     return catalog.withColumn("text", rendered(detail)).withColumn("n_tokens", tokens.count("text", kind))
 
 
+def sampled(catalog: DataFrame, tables: dict[str, DataFrame], width: int = 20) -> DataFrame:
+    """The catalog with text that shows each whole-number and string column's least and largest value, cut to `width`; a scan each table."""
+    shown = None
+    for name, df in tables.items():
+        cols = [f.name for f in df.schema if isinstance(f.dataType, (T.IntegralType, T.StringType))]
+        ends = df.agg(*(F.concat_ws("..", *(F.substring(g(c).cast("string"), 1, width) for g in (F.min, F.max))).alias(c) for c in cols))
+        one = ends.select(F.lit(name).alias("base_table"), F.map_from_arrays(F.array(*map(F.lit, cols)), F.array(*cols)).alias("ends"))
+        shown = one if shown is None else shown.unionByName(one)
+    part = lambda c: F.concat(c["name"], F.lit(" "), c["type"], F.coalesce(F.concat(F.lit(" "), F.col("ends")[c["name"]]), F.lit("")))
+    text = F.concat("table_name", F.lit("("), F.array_join(F.transform("columns", part), ", "), F.lit(")"))
+    return catalog.join(shown, "base_table", "left").withColumn("text", text).drop("ends")
+
+
 def declare_fks(keys=None) -> dict[str, list[tuple]]:
     """Table -> its foreign keys, from (table, columns, referenced table, referenced columns)."""
     out: dict[str, list[tuple]] = {}

@@ -107,6 +107,14 @@ def _unique(spark, sf):
     return {(r.table_name, r.column_name) for r in found.where("is_unique").collect()}  # columns of one database
 
 
+def render_samples(spark, sf):
+    return C.sampled(_base(spark, sf), {t: table(spark, sf, t) for t in C.TABLES}).select("table_name", "text")
+
+
+_SHOWN = " UNION ALL ".join(f"SELECT '{t}' AS table_name, '{c}' AS column_name, concat_ws('..', substr(min({c})::VARCHAR, 1, 20), substr(max({c})::VARCHAR, 1, 20)) AS ends FROM {t}" for t, cs in SIMPLE.items() for c, k in cs.items() if k in ("int", "bigint", "string"))
+SAMPLES_SQL = f"WITH {COLS}, e AS ({_SHOWN}) SELECT table_name, table_name || '(' || string_agg(column_name || ' ' || type || coalesce(' ' || ends, ''), ', ' ORDER BY pos) || ')' AS text FROM cols LEFT JOIN e USING (table_name, column_name) GROUP BY table_name"
+
+
 def fk_inclusion_exact(spark, sf):
     return C.discover_fks({t: table(spark, sf, t) for t in C.TABLES}, _unique(spark, sf)).select("child", "child_column", "parent", "parent_column", "n_child", "n_missing")
 
@@ -456,6 +464,15 @@ def paired_mcnemar(spark, sf):
     return metrics.paired_test(p, linkers.NoisyOracle(2, 30, 5).predict(qa, _base(spark, sf)), qa)
 
 
+def link_bootstrap(spark, sf):
+    qa, p = _scored(spark, sf)
+    return metrics.bootstrap(p, qa)
+
+
+BOOTSTRAP_SQL = sql("""SELECT round(max(m) FILTER (WHERE pos = 5), 4) AS lo, round(max(m) FILTER (WHERE pos = 195), 4) AS hi FROM (SELECT m, row_number() OVER (ORDER BY m, r) AS pos FROM (
+  SELECT r, 100 * sum(total * w)::DOUBLE / sum(w) AS m FROM (SELECT r, total, (u > 0.3679)::INT + (u > 0.7358)::INT + (u > 0.9197)::INT + (u > 0.981)::INT + (u > 0.9963)::INT AS w FROM (SELECT r, total, ((qid * 7919 + r * 104729 + 31) % 1009) / 1009.0::DOUBLE AS u FROM sc, range(1, 201) x(r))) GROUP BY r))""", CAT, QA_SQL, _noisy(1, 15, 15), SCORES)
+
+
 def vote_of_three(spark, sf):
     qa, b = _qa(spark), _base(spark, sf)
     return linkers.vote([linkers.NoisyOracle(s, 20, 20).predict(qa, b) for s in (1, 2, 3)], 2).select("qid", joined("pred_tables").alias("pred"))
@@ -672,7 +689,7 @@ def queries() -> dict:
         catalog_columns, render_schema, fk_inclusion_exact, fk_inclusion_sketch, unique_columns, token_count_word, token_count_char4, token_count_bpe, reference_split, correlation_groups, correlation_groups_by_joins, correlation_groups_per_fk,
         slice_order, pack_slices, pack_slices_small, pack_slices_group_boundary, pack_first_fit, pack_split_columns, slice_coverage, slice_cap_sweep, cap_search, qa_split, workload_sizes, difficulty_levels, examples_full, examples_names_only,
         examples_sql_direct, examples_sliced_nohist, examples_sliced_hist, examples_balanced, examples_weighted, examples_per_table, examples_sql_union, token_report, rendered_examples, examples_neg_sample, examples_sql_gold, memory_fit, time_fit, budget_gate, budget_caps, infer_lexical_once,
-        infer_lexical_sliced, infer_lexical_fold, infer_cap_sweep, noisy_oracle_predictions, link_scores, link_scores_by_difficulty_cube, link_intervals, paired_mcnemar, vote_of_three, prune_columns, execution_accuracy, logical_match, plan_matches, docs_pack, passage_link, passage_scores, nation_groups,
+        infer_lexical_sliced, infer_lexical_fold, infer_cap_sweep, noisy_oracle_predictions, link_scores, link_scores_by_difficulty_cube, link_intervals, link_bootstrap, render_samples, paired_mcnemar, vote_of_three, prune_columns, execution_accuracy, logical_match, plan_matches, docs_pack, passage_link, passage_scores, nation_groups,
         dense_link_topk, host_groups, label_balance, conversation_history, cost_tradeoff, published_saving, exp_methods, exp_train_granularity, exp_history, exp_infer_granularity, exp_end_to_end,
     ]
     return {f.__name__: f for f in names}
@@ -738,7 +755,7 @@ sc AS (SELECT *, (hit = np AND hit = ng)::INT AS total, (hit = ng)::INT AS filte
 
 def oracle_sql() -> dict[str, str]:
     return {
-        "budget_gate": GATE_SQL, "budget_caps": CAPS_SQL, "cap_search": CAP_SEARCH_SQL, "pack_split_columns": SPLIT_SQL, "prune_columns": PRUNE_SQL, "infer_lexical_fold": FOLD_SQL, "token_report": REPORT_SQL, "rendered_examples": RENDERED_SQL,
+        "link_bootstrap": BOOTSTRAP_SQL, "render_samples": SAMPLES_SQL, "budget_gate": GATE_SQL, "budget_caps": CAPS_SQL, "cap_search": CAP_SEARCH_SQL, "pack_split_columns": SPLIT_SQL, "prune_columns": PRUNE_SQL, "infer_lexical_fold": FOLD_SQL, "token_report": REPORT_SQL, "rendered_examples": RENDERED_SQL,
         "examples_neg_sample": NEG_SQL, "examples_sql_gold": SQL_GOLD_SQL, "infer_cap_sweep": INFER_SWEEP_SQL, "execution_accuracy": EXECUTION_SQL, "plan_matches": PLAN_SQL, "nation_groups": NATION_SQL, "passage_scores": PASSAGE_SCORES_SQL,
         "catalog_columns": f"WITH {COLS} SELECT table_name, pos, column_name, type FROM cols",
         "render_schema": RENDER_SQL, "paired_mcnemar": PAIRED_SQL, "cost_tradeoff": _tradeoff_sql([50, 100, 200, 315]), "fk_inclusion_exact": FK_SQL, "unique_columns": UNIQUE_SQL,

@@ -9,6 +9,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..session import settled
+
 SLICES = "db_id string, cap int, slice_id int, tables array<string>, slice_tokens int, oversize boolean"
 
 
@@ -141,20 +143,23 @@ def check(slices: DataFrame, catalog: DataFrame) -> DataFrame:
 
 
 def _carry(n: np.ndarray, cap: int, carry: int) -> tuple[np.ndarray, int, int]:
-    """(slice number from 0 of each item, 0 being the slice carried in; slices opened; tokens in the last one)."""
+    """(slice number from 0 of each item, 0 being the slice carried in; slices opened; what the last one carries on).
+
+    A carry is an open slice's tokens and one, so that 0 is none even where an open slice has no tokens.
+    """
     total = np.concatenate([[0], np.cumsum(n, dtype=np.int64)])
     out = np.zeros(len(n), np.int64)
     at, opened, last = 0, 0, carry
     if len(n):
         # what still joins the slice carried in
-        to = int(np.searchsorted(total, cap - carry, "left")) - 1 if carry else 0
+        to = int(np.searchsorted(total, cap + 1 - carry, "left")) - 1 if carry else 0
         at = min(max(to, 0), len(n))
         last = carry + int(total[at])
     while at < len(n):
         opened += 1
         to = min(max(int(np.searchsorted(total, total[at] + cap, "left")) - 1, at + 1), len(n))
         out[at:to] = opened
-        last = int(total[to] - total[at])
+        last = int(total[to] - total[at]) + 1
         at = to
     return out, opened, last
 
@@ -166,19 +171,83 @@ def _summary(n: np.ndarray, cap: int) -> list[tuple[int, int, int]]:
     total = np.cumsum(n, dtype=np.int64)
     fits = int(np.searchsorted(total, cap, "left"))
     for k in range(min(fits, len(n)), -1, -1):
-        least = 1 if k == len(n) or total[k] >= cap else int(cap - total[k])
-        if k and cap - int(total[k - 1]) <= least:
+        least = 1 if k == len(n) or total[k] >= cap else int(cap + 1 - total[k])
+        if k and cap - int(total[k - 1]) < least:
             continue
         _, opened, last = _carry(n, cap, least)
         out.append((least, opened, last - least if opened == 0 else last))
     return out
 
 
-def pack_distributed(items: DataFrame, cap: int, block: int = 100_000) -> DataFrame:
-    """pos, n_tokens, slice_id (from 1) of an order given by dense positions `pos`, of any length; the same slices as pack().
+SUMMARY = "b long, least long, opened long, last long"
+ENTRY = "b long, carry long, before long"
+
 
-    Blocks of consecutive positions are packed apart: each first tells how it would answer to any carry; the driver
-    passes the true carry through these summaries (a few numbers a block), and every block is packed once more.
+def _answer(told: list[tuple], carry: int) -> tuple[int, int]:
+    """(slices opened, tokens carried out) of a summary for a carry."""
+    _, opened, last = max(x for x in told if x[0] <= carry)
+    return opened, last if opened or not carry else carry + last
+
+
+def _then(f: list[tuple], g: list[tuple]) -> list[tuple]:
+    """The summary of two blocks in a row; both in order of their least carries, 0 and 1 first."""
+    out = []
+    for i, (least, opened, last) in enumerate(f):
+        if least == 0 or opened:  # what is carried out does not depend on the carry
+            more, carried = _answer(g, last)
+            out.append((least, opened + more, carried))
+            continue
+        end = f[i + 1][0] if i + 1 < len(f) else None
+        for j, (from_, more, left) in enumerate(g):
+            if from_ == 0:
+                continue
+            low, high = max(least, from_ - last), g[j + 1][0] - last if j + 1 < len(g) else None
+            if (high is None or low < high) and (end is None or low < end):
+                out.append((low, more, left if more else last + left))
+    return [x for k, x in enumerate(out) if not k or x[1:] != out[k - 1][1:] or out[k - 1][0] == 0]
+
+
+def _told(t: pa.Table) -> list[tuple[int, list[tuple]]]:
+    """The summaries of a table of SUMMARY rows, in order of their blocks."""
+    out: dict = {}
+    for b, *x in zip(*(t.column(c).to_pylist() for c in ("b", "least", "opened", "last")), strict=True):
+        out.setdefault(b, []).append(tuple(x))
+    return [(b, sorted(out[b])) for b in sorted(out)]
+
+
+def _entries(summaries: DataFrame, blocks: int, fan: int) -> DataFrame:
+    """ENTRY of each block: what is carried into it and the slices before. Groups of `fan` blocks are summed up, level by level, until one task can pass them; then every group passes on to its own."""
+    up = F.floor(F.col("b") / fan).cast("long")
+
+    def passed(t: pa.Table) -> pa.Table:
+        carry, before, out = (t.column("carry")[0].as_py(), t.column("before")[0].as_py(), []) if "carry" in t.column_names else (0, 0, [])
+        for b, told in _told(t):
+            out.append((b, carry, before))
+            opened, carry = _answer(told, carry)
+            before += opened
+        return pa.table([pa.array(c, pa.int64()) for c in zip(*out, strict=True)], names=["b", "carry", "before"])
+
+    if blocks <= fan:
+        return summaries.withColumn("up", F.lit(0)).groupBy("up").applyInArrow(passed, ENTRY)
+
+    def summed(t: pa.Table) -> pa.Table:
+        told = _told(t)
+        whole = told[0][1]
+        for _, more in told[1:]:
+            whole = _then(whole, more)
+        return pa.table([pa.array(c, pa.int64()) for c in ([told[0][0] // fan] * len(whole), *zip(*whole, strict=True))], names=["b", "least", "opened", "last"])
+
+    above = _entries(settled(summaries.withColumn("up", up).groupBy("up").applyInArrow(summed, SUMMARY), "summaries"), -(-blocks // fan), fan)
+    own = summaries.withColumn("up", up).join(above.withColumnRenamed("b", "up"), "up")
+    return own.groupBy("up").applyInArrow(passed, ENTRY)
+
+
+def pack_distributed(items: DataFrame, cap: int, block: int = 100_000, fan: int = 256) -> DataFrame:
+    """pos, n_tokens, slice_id (from 1) of an order given by dense positions `pos` (not null), of any length; the same slices as pack().
+
+    Blocks of consecutive positions are packed apart: each first tells how it would answer to any carry, the answers
+    are put together in a tree of groups of `fan`, and every block is packed once more with its true carry. Nothing
+    but the number of blocks reaches the driver.
     """
     rows = items.select(F.col("pos").cast("long").alias("pos"), F.col("n_tokens").cast("long").alias("n_tokens"), F.floor(F.col("pos") / block).cast("long").alias("b"))
 
@@ -189,18 +258,12 @@ def pack_distributed(items: DataFrame, cap: int, block: int = 100_000) -> DataFr
     def tell(t: pa.Table) -> pa.Table:
         t, n = sized(t)
         cols = list(zip(*_summary(n, cap), strict=True))
-        return pa.table({"b": pa.array([t.column("b")[0].as_py()] * len(cols[0]), pa.int64()), "least": pa.array(cols[0], pa.int64()), "opened": pa.array(cols[1], pa.int64()), "last": pa.array(cols[2], pa.int64())})
-
-    told: dict[int, list] = {}
-    for r in rows.groupBy("b").applyInArrow(tell, "b long, least long, opened long, last long").collect():
-        told.setdefault(r.b, []).append((r.least, r.opened, r.last))
-    carry, slices, entry = 0, 0, {}
-    for b in sorted(told):
-        entry[b] = (carry, slices)
-        least, opened, last = max(x for x in told[b] if x[0] <= carry)
-        slices += opened
-        carry = last if opened or not carry else carry + last
-    handed = items.sparkSession.createDataFrame([(b, *x) for b, x in entry.items()] or [], "b long, carry long, before long")
+        return pa.table([pa.array(c, pa.int64()) for c in ([t.column("b")[0].as_py()] * len(cols[0]), *cols)], names=["b", "least", "opened", "last"])
+
+    told = settled(rows.groupBy("b").applyInArrow(tell, SUMMARY), "told")
+    ends = told.agg(F.min("b").alias("lo"), F.max("b").alias("hi")).first()
+    shift = ends.lo or 0
+    handed = _entries(told.withColumn("b", F.col("b") - shift), (ends.hi or 0) - shift + 1, fan).withColumn("b", F.col("b") + shift)
 
     def fill(t: pa.Table) -> pa.Table:
         t, n = sized(t)

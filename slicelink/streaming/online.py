@@ -80,20 +80,30 @@ def link_stateful(answers: DataFrame, n_slices: int, ttl: str = "10 minutes") ->
     return rows.groupBy("qid").applyInPandasWithState(run, "qid long, tables array<string>, complete boolean", "done array<int>, tables array<string>", "append", GroupStateTimeout.EventTimeTimeout)
 
 
-def converse(turns: DataFrame) -> DataFrame:
-    """(conv_id, turn, role) in turn order of arrival -> each turn with the roles before it, kept as state."""
+def converse(turns: DataFrame, ttl: str = "1 day") -> DataFrame:
+    """(conv_id, turn, role, at) in any order -> each turn with the roles of the smaller turns seen until its batch.
+
+    The state holds a conversation's turns, so one that comes late gets its own history and none of what followed; it
+    goes when the watermark is ttl past its last turn.
+    """
 
     def run(key: tuple, parts: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        (before,) = state.get if state.exists else ("",)
+        if state.hasTimedOut:
+            state.remove()
+            return
+        seen = dict(zip(*state.get, strict=True)) if state.exists else {}
         rows = pd.concat(list(parts)).sort_values("turn")
-        out = []
         for turn, role in zip(rows.turn, rows.role, strict=True):
-            out.append((key[0], turn, role, before))
-            before = f"{before},{role}" if before else role
-        state.update((before,))
+            seen.setdefault(int(turn), role)
+        order = sorted(seen)
+        state.update((order, [seen[t] for t in order]))
+        last = max(int(rows["at"].max().timestamp() * 1000), state.getCurrentWatermarkMs())
+        state.setTimeoutTimestamp(last + int(pd.Timedelta(ttl).total_seconds() * 1000))
+        out = [(key[0], turn, role, ",".join(seen[t] for t in order if t < turn)) for turn, role in zip(rows.turn, rows.role, strict=True)]
         yield pd.DataFrame(out, columns=["conv_id", "turn", "role", "before"])
 
-    return turns.groupBy("conv_id").applyInPandasWithState(run, "conv_id long, turn long, role string, before string", "before string", "append", GroupStateTimeout.NoTimeout)
+    rows = turns.withWatermark("at", ttl)
+    return rows.groupBy("conv_id").applyInPandasWithState(run, "conv_id long, turn long, role string, before string", "turns array<long>, roles array<string>", "append", GroupStateTimeout.EventTimeTimeout)
 
 
 def monitor(stream: DataFrame, kind: str = "tumbling", width: str = "1 hour", slide: str = "15 minutes", gap: str = "30 minutes", delay: str = "1 day", keys=("event_type",)) -> DataFrame:
@@ -115,12 +125,24 @@ def join_labels(pred: DataFrame, gold: DataFrame, within: str = "1 hour", how: s
 
 
 class Reslicer:
-    """Keeps the slices of a changing catalog: a change repacks from the first table it touches, earlier slices stay."""
+    """Keeps the slices of a changing catalog: a change repacks from the first table it touches, earlier slices stay.
 
-    def __init__(self, tables: list[tuple[str, int]], cap: int):
-        self.cap, self.tables, self.version = cap, sorted(tables), 0
+    Tables are (name, tokens) or (name, tokens, lead): tables of one key group have the same lead, the group's first
+    name; loose ones (lead None) come after all groups, as in groups.order().
+    """
+
+    def __init__(self, tables: list[tuple], cap: int, version: int = 0):
+        self.cap, self.version = cap, version
+        self.of = {x[0]: (x[1], x[2] if len(x) > 2 else None) for x in tables}
+        self._sort()
         self.slices = self._pack(0, [])
 
+    def _key(self, name: str, lead) -> tuple:
+        return (lead is None, lead or "", name)
+
+    def _sort(self):
+        self.tables = sorted(((name, n) for name, (n, _) in self.of.items()), key=lambda x: self._key(x[0], self.of[x[0]][1]))
+
     def _pack(self, at: int, kept: list[list[str]]) -> list[list[str]]:
         out, total = kept, 0
         for name, n in self.tables[at:]:
@@ -131,33 +153,56 @@ class Reslicer:
                 total += n
         return out
 
-    def apply(self, changes: list[tuple[str, int | None]]) -> int:
-        """Set (name, tokens) or remove (name, None) tables; returns how many slices were kept."""
-        new = dict(self.tables)
-        for name, n in changes:
-            new.pop(name, None) if n is None else new.__setitem__(name, n)
-        first = min((name for name, _ in changes), default=None)
-        self.tables = sorted(new.items())
-        if first is None:
+    def apply(self, changes: list[tuple]) -> int:
+        """Set (name, tokens[, lead]) or remove (name, None) tables; returns how many slices were kept."""
+        if not changes:
+            return len(self.slices)
+        touched, old = [], {t: self._key(t, lead) for t, (_, lead) in self.of.items()}
+        for name, n, *lead in changes:
+            if name in self.of:
+                touched.append(old[name])
+            if n is None:
+                self.of.pop(name, None)
+            else:
+                self.of[name] = (n, lead[0] if lead else self.of.get(name, (0, None))[1])
+                touched.append(self._key(name, self.of[name][1]))
+        self._sort()
+        self.version += 1
+        if not touched:
             return len(self.slices)
-        kept = []
+        first, kept = min(touched), []
         for s in self.slices:
-            if s[-1] >= first:
+            if old[s[-1]] >= first:
                 break
             kept.append(s)
         if kept:  # the slice before may now take more
             kept.pop()
-        at = sum(map(len, kept))
-        self.slices, self.version = self._pack(at, [list(s) for s in kept]), self.version + 1
+        self.slices = self._pack(sum(map(len, kept)), [list(s) for s in kept])
         return len(kept)
 
+    def rows(self) -> list[tuple]:
+        """(version, slice_id, pos, table_name, n_tokens, lead) of the present slices."""
+        return [(self.version, k, i, t, *self.of[t]) for k, s in enumerate(self.slices, 1) for i, t in enumerate(s)]
+
+    VERSION = "version long, slice_id int, pos int, table_name string, n_tokens int, lead string"
+
+    @classmethod
+    def latest(cls, spark: SparkSession, path: str, cap: int) -> Reslicer:
+        """The last version that was written below a path: a stream that starts anew goes on from it."""
+        rows = spark.read.schema(cls.VERSION).parquet(path)
+        last = rows.agg(F.max("version")).first()[0]
+        return cls([(r.table_name, r.n_tokens, r.lead) for r in rows.where(F.col("version") == last).collect()], cap, last)  # one catalog's tables
+
 
-def reslice(changes: DataFrame, state: Reslicer):
-    """A foreachBatch query over (table_name, n_tokens or null): catalog changes become new slice versions."""
-    check = shared_path(changes.sparkSession, "reslice")
+def reslice(changes: DataFrame, state: Reslicer, path: str | None = None):
+    """A foreachBatch query over (table_name, n_tokens or null[, lead]): catalog changes become new slice versions, each written below `path`."""
+    spark = changes.sparkSession
+    check, path = shared_path(spark, "reslice"), path or shared_path(spark, "slices")
+    cols = [c for c in ("table_name", "n_tokens", "lead") if c in changes.columns]
 
     def batch(df, _):
-        state.apply([(r.table_name, r.n_tokens) for r in df.collect()])  # a batch of catalog changes
+        state.apply([tuple(r) for r in df.select(cols).collect()])  # a batch of catalog changes
+        spark.createDataFrame(state.rows(), Reslicer.VERSION).coalesce(1).write.mode("append").parquet(path)
 
     return changes.writeStream.foreachBatch(batch).option("checkpointLocation", check).trigger(availableNow=True).start()
 
@@ -210,13 +255,23 @@ def stream_join_labels(spark, sf):
     return out.select(F.col("click").alias("qid"), F.col("purchase").alias("gid"))
 
 
+@q("""WITH c AS (SELECT * FROM events WHERE event_type = 'click'), p AS (SELECT * FROM events WHERE event_type = 'purchase'), m AS (SELECT c.event_id AS qid, p.event_id AS gid FROM c JOIN p ON c.user_id = p.user_id AND p.ts >= c.ts AND p.ts <= c.ts + INTERVAL 1 HOUR)
+SELECT qid, gid FROM m UNION ALL SELECT event_id, NULL FROM c WHERE event_id NOT IN (SELECT qid FROM m) AND ts < (SELECT least((SELECT max(ts) FROM c), (SELECT max(ts) FROM p))) - INTERVAL 2 HOUR""")
+def stream_join_labels_outer(spark, sf):
+    """Clicks without a purchase in time as well, once the watermark says that none can come."""
+    a = events(spark, sf).where("event_type = 'click'").select(F.col("user_id").alias("qid"), "at", F.col("event_id").alias("click"))
+    b = events(spark, sf).where("event_type = 'purchase'").select(F.col("user_id").alias("gid"), F.col("at").alias("gold_at"), F.col("event_id").alias("purchase"))
+    return drain(join_labels(a, b, how="leftOuter"), "append", "labels_outer").select(F.col("click").alias("qid"), F.col("purchase").alias("gid"))
+
+
 @q("SELECT conv_id, turn, role, coalesce(string_agg(role, ',') OVER (PARTITION BY conv_id ORDER BY turn ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), '') AS before FROM conversations")
 def stream_converse(spark, sf):
     path = f"{sf}/conversations.parquet"
     kind = spark.read.parquet(path).schema
     folder, _, name = path.rpartition("/")
     rows = read_stream(spark, path, kind) if _is_folder(spark, path) else ready(spark).readStream.schema(kind).option("pathGlobFilter", name).parquet(folder)
-    return drain(converse(rows.select("conv_id", "turn", "role")), "append", "converse")
+    at = F.timestamp_seconds(F.col("turn") + 1_000_000_000).alias("at")  # the table has no times: a turn a second, after the first watermark
+    return drain(converse(rows.select("conv_id", "turn", "role", at)), "append", "converse")
 
 
 @q("SELECT event_id // 4 AS qid, string_agg(DISTINCT event_type, ',' ORDER BY event_type) AS tables, true AS complete FROM events GROUP BY 1 HAVING count(DISTINCT event_id % 4) = 4")

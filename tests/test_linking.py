@@ -332,3 +332,60 @@ def test_ordered_results_are_told_apart_without_collecting(spark):
     rows = spark.range(0, 1000, 1, 7).select((F.col("id") * 7919 % 1009).alias("x"))
     assert metrics.digest(rows.orderBy("x"), True) == metrics.digest(rows.repartition(3).orderBy("x"), True) != metrics.digest(rows.orderBy(F.desc("x")), True)
     assert metrics.digest(rows) == metrics.digest(rows.orderBy("x"))
+
+
+@pytest.mark.parametrize("seed, cap, fan", [(1, 50, 3), (2, 121, 2), (5, 7, 4)])
+def test_packing_in_a_tree_of_blocks(spark, seed, cap, fan):
+    r = random.Random(seed)
+    sizes = [r.choice([0, 0, 1, 2, 3, 8, 40, 120]) for _ in range(700)]
+    df = spark.createDataFrame([(i + 1000, n) for i, n in enumerate(sizes)], "pos long, n_tokens long")
+    got = [x.slice_id for x in slicing.pack_distributed(df, cap, 23, fan).orderBy("pos").collect()]
+    want, k, total = [], 0, 0
+    for n in sizes:
+        if not k or total + n >= cap:
+            k, total = k + 1, n
+        else:
+            total += n
+        want.append(k)
+    assert got == want
+
+
+def test_summaries_of_two_blocks():
+    r = random.Random(8)
+    for _ in range(300):
+        cap = r.randint(2, 40)
+        one, two = ([r.randint(0, 30) for _ in range(r.randint(0, 12))] for _ in range(2))
+        both = slicing._then(slicing._summary(np.array(one, np.int64), cap), slicing._summary(np.array(two, np.int64), cap))
+        whole = slicing._summary(np.array(one + two, np.int64), cap)
+        assert all(slicing._answer(both, c) == slicing._answer(whole, c) for c in range(cap + 1))
+
+
+def test_reslicer_in_the_order_of_groups_and_after_a_restart(spark, tmp_path):
+    r = random.Random(4)
+    tables = [(f"t{i:02}", r.randint(1, 30), None if i % 3 else f"t{i - i % 9:02}") for i in range(40)]
+    live = online.Reslicer(tables, 60)
+    assert [t for s in live.slices for t in s] == sorted((t for t, *_ in tables), key=lambda t: (int(t[1:]) % 3 > 0, f"t{int(t[1:]) - int(t[1:]) % 9:02}" if int(t[1:]) % 3 == 0 else "", t))
+    for change in ([("t20", 50)], [("t05", None)], [("t39x", 7, "t00")], [("t00", 59)], [("zz", None)], [("t12", 9, None)]):
+        live.apply(change)
+        assert live.slices == online.Reslicer([(t, *live.of[t]) for t in live.of], 60).slices
+    src, out = str(tmp_path / "changes"), str(tmp_path / "slices")
+    spark.createDataFrame([("t07", 3, None), ("new", 29, "t09")], "table_name string, n_tokens int, lead string").write.parquet(src)
+    online.reslice(online.read_stream(spark, src, "table_name string, n_tokens int, lead string", 100), live, out).awaitTermination()
+    again = online.Reslicer.latest(spark, out, 60)
+    assert (again.slices, again.version) == (live.slices, live.version)
+
+
+def test_late_turns_get_their_own_history(spark, tmp_path):
+    path, kind = str(tmp_path / "turns"), "conv_id long, turn long, role string, at timestamp"
+    for k, rows in enumerate([[(1, 1, "system"), (1, 3, "assistant"), (2, 1, "user")], [(1, 2, "user"), (1, 4, "user")]]):
+        spark.createDataFrame(rows, "conv_id long, turn long, role string").withColumn("at", F.timestamp_seconds(F.col("turn") + 1_000_000_000)).coalesce(1).write.mode("append").parquet(path)
+        __import__("time").sleep(1.1)
+    got = {(r.conv_id, r.turn): r.before for r in online.drain(online.converse(online.read_stream(spark, path, kind))).collect()}
+    assert got == {(1, 1): "", (1, 3): "system", (2, 1): "", (1, 2): "system", (1, 4): "system,user,assistant"}
+
+
+def test_explain_link_and_bucketed_plan(spark, sf):
+    sqlfuncs.register(spark)
+    got = spark.sql("SELECT * FROM explain_link('number of orders by market segment', array('orders(o_key int)', 'customer(c_market string)'))").collect()
+    assert sorted(map(tuple, got)) == [("customer", "market", False), ("orders", "order", True)]
+    assert "Exchange" not in relational.bucketed_aggregate(spark, sf)._jdf.queryExecution().executedPlan().toString()
