@@ -8,7 +8,10 @@ from slicelink.operators import relational
 from slicelink.plans import queries as linking_queries
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-SAMPLE = ["catalog_columns", "correlation_groups", "slice_order", "pack_slices", "pack_slices_group_boundary", "slice_coverage", "qa_split", "difficulty_levels", "examples_sliced_hist", "examples_per_table", "memory_fit", "infer_lexical_once", "infer_lexical_sliced", "link_scores", "vote_of_three", "docs_pack", "passage_link", "dense_link_topk", "conversation_history"]
+SAMPLE = [
+    "catalog_columns", "correlation_groups", "slice_order", "pack_slices", "pack_slices_group_boundary", "slice_coverage", "qa_split", "difficulty_levels", "examples_sliced_hist", "examples_per_table", "memory_fit", "infer_lexical_once", "infer_lexical_sliced", "link_scores", "vote_of_three", "docs_pack", "passage_link", "dense_link_topk", "conversation_history",
+    "budget_gate", "budget_caps", "cap_search", "pack_split_columns", "prune_columns", "infer_lexical_fold", "token_report", "rendered_examples", "examples_neg_sample", "examples_sql_gold", "execution_accuracy", "plan_matches", "logical_match",
+    "link_bootstrap", "render_samples", "unique_columns", "fk_inclusion_exact", "nation_groups", "passage_scores", "workload_sizes", "published_saving"]
 
 
 @pytest.fixture(scope="module")
