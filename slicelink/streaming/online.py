@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from contextlib import contextmanager
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -33,18 +34,37 @@ def _is_folder(spark: SparkSession, path: str) -> bool:
 
 
 def drain(stream: DataFrame, mode: str = "append", name: str = "stream") -> DataFrame:
-    """Run a stream over what is there to its end and return what it wrote: Parquet for append, the last table for complete and update."""
+    """Run a stream over what is there to its end and return what it wrote, as Parquet: all rows for append and update, the last batch's table for complete."""
     spark = stream.sparkSession
-    check = shared_path(spark, f"{name}-checkpoint")
+    check, out = shared_path(spark, f"{name}-checkpoint"), shared_path(spark, name)
     if mode == "append":
-        out = shared_path(spark, name)
         q = stream.writeStream.format("parquet").option("path", out).option("checkpointLocation", check).outputMode(mode).trigger(availableNow=True).start()
         q.awaitTermination()
         return spark.read.schema(stream.schema).parquet(out)
-    table = f"{name}_{abs(hash(check)) % 10**9}"
-    q = stream.writeStream.format("memory").queryName(table).option("checkpointLocation", check).outputMode(mode).trigger(availableNow=True).start()
+    batches = []
+
+    def batch(df, k):
+        df.write.mode("overwrite").parquet(f"{out}/{k}")
+        batches.append(f"{out}/{k}")
+
+    with _state_on_disk(spark):
+        q = stream.writeStream.foreachBatch(batch).option("checkpointLocation", check).outputMode(mode).trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.table(table)
+    if not batches:
+        return spark.createDataFrame([], stream.schema)
+    return spark.read.schema(stream.schema).parquet(*(batches[-1:] if mode == "complete" else dict.fromkeys(batches)))
+
+
+@contextmanager
+def _state_on_disk(spark: SparkSession) -> Iterator[None]:
+    """Queries started inside keep their state in RocksDB: a complete table's state holds every group."""
+    key = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(key, None)
+    spark.conf.set(key, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        yield
+    finally:
+        spark.conf.unset(key) if before is None else spark.conf.set(key, before)
 
 
 def link(questions: DataFrame, linker, slices: DataFrame, catalog: DataFrame) -> DataFrame:
