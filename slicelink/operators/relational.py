@@ -142,9 +142,11 @@ def join_interval(spark, sf):
 
 @op("SELECT c_custkey, o_orderkey FROM customer, LATERAL (SELECT o_orderkey FROM orders WHERE o_custkey = c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 3)")
 def join_lateral_top(spark, sf):
+    """The rank is taken by a window with its own order: a LIMIT inside LATERAL becomes one without, behind a shuffle that keeps no order."""
     t(spark, sf, "customer").createOrReplaceTempView("_lat_customer")
     t(spark, sf, "orders").createOrReplaceTempView("_lat_orders")
-    return spark.sql("SELECT c_custkey, o_orderkey FROM _lat_customer, LATERAL (SELECT o_orderkey FROM _lat_orders WHERE o_custkey = c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 3)")
+    ranked = "SELECT o_custkey, o_orderkey, row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey NULLS LAST) AS r FROM _lat_orders"
+    return spark.sql(f"SELECT c_custkey, o_orderkey FROM _lat_customer, LATERAL (SELECT o_orderkey FROM ({ranked}) WHERE o_custkey = c_custkey AND r <= 3)")
 
 
 @op("SELECT a.n_name AS a, b.n_name AS b FROM nation a JOIN nation b ON a.n_regionkey = b.n_regionkey AND a.n_nationkey < b.n_nationkey")
