@@ -194,13 +194,18 @@ def _plausible(batches):
     yield pa.RecordBatch.from_arrays([pa.array(out, pa.list_(pa.int64()))], names=["vs"])
 
 
+def owners(member, groups):
+    """v, us, d: a row a set, with its units c of member (c, v) as a sorted list and its dense group; the join thus makes as many rows as there are sets."""
+    of = member.groupBy("v").agg(F.array_sort(F.collect_list("c")).alias("us"))  # as many as a text's own splits
+    return of.join(groups.select("v", F.col("c").alias("d")).hint("merge"), "v", "left").select("v", "us", "d")
+
+
 def units(first, vs, dense, block: int = WIDE):
     """v, kind, c, nb, b, us, d: in which units (kind, c) a set is compared; nb blocks of the unit and the set's own; us: all units of it where pairs may meet in several; d: its dense group."""
     groups = components(dense.select(F.col("v").alias("a"), F.col("m").alias("b")))
     # a bucket inside a dense group has no pair of its own
-    member = vs.select(F.xxhash64("vs").alias("c"), F.explode("vs").alias("v")).join(groups.select("v", F.col("c").alias("d")).hint("merge"), "v", "left")
-    whose = F.coalesce("d", "v")
-    apart = member.groupBy("c").agg(F.min(whose).alias("x"), F.max(whose).alias("y")).where("x <> y").select("c")
+    member = owners(vs.select(F.xxhash64("vs").alias("c"), F.explode("vs").alias("v")), groups).select("v", F.coalesce("d", "v").alias("whose"), F.explode("us").alias("c"))
+    apart = member.groupBy("c").agg(F.min("whose").alias("x"), F.max("whose").alias("y")).where("x <> y").select("c")
     member = member.select("c", "v").join(apart.hint("merge"), "c", "left_semi").join(first.select("v", "sig").hint("merge"), "v").select("c", "v", "sig")
     parts = int(first.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     vs = written(member.repartition(parts, "c").sortWithinPartitions("c", "v").mapInArrow(_plausible, "vs array<long>").distinct(), "apart")
@@ -215,9 +220,9 @@ def units(first, vs, dense, block: int = WIDE):
     one = tied.join(size.where(whole).hint("merge"), "c").select("v", F.lit(0).alias("kind"), "c", "nb", F.pmod(F.xxhash64("v"), F.col("nb")).cast("int").alias("b"), none.alias("us"))
     wide = tied.join(size.where(~whole).hint("merge"), "c").select(F.col("v").alias("a"))
     lists = vs.withColumn("a", F.col("vs")[0]).join(wide.hint("merge"), "a", "left_semi").select(F.xxhash64("vs").alias("c"), F.explode("vs").alias("v")).distinct()
-    of = lists.groupBy("v").agg(F.array_sort(F.collect_list("c")).alias("us"))  # as many as a text's own splits
-    many = lists.join(of.hint("merge"), "v").select("v", F.lit(1).alias("kind"), "c", F.lit(1).alias("nb"), F.lit(0).alias("b"), "us")
-    thin = one.union(many).join(groups.select("v", F.col("c").alias("d")).hint("merge"), "v", "left")
+    of = owners(lists, groups)
+    many = of.select("v", F.lit(1).alias("kind"), F.explode("us").alias("c"), F.lit(1).alias("nb"), F.lit(0).alias("b"), "us", "d")
+    thin = one.join(groups.select("v", F.col("c").alias("d")).hint("merge"), "v", "left").unionByName(many)
     return thick.unionByName(thin.select("v", "kind", "c", "nb", "b", "us", "d"))
 
 
