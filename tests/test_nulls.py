@@ -15,3 +15,12 @@ def test_nullable_is_what_the_rows_hold(spark, sf, tmp_path):
     assert {(r.table_name, c["name"]) for r in base for c in r["columns"] if c["nullable"]} == {("orders", "o_orderstatus")}
     whole = C.describe(spark, C.footers(spark, str(tmp_path))).collect()
     assert [(r.table_name, r.text, r.n_tokens) for r in base] == [(r.table_name, r.text, r.n_tokens) for r in whole]
+
+
+def test_budgets_are_of_given_texts(spark, sf):
+    from slicelink.plans import queries, slicing
+    from slicelink.plans.experiments import memory
+
+    m, rows = memory(1), queries.budget_caps(spark, sf)
+    assert rows.inputFiles() and queries.budget_gate(spark, sf).inputFiles()
+    assert all(r.cap == slicing.Budget.from_memory(r.budget_mb, 2, m, 100).cap for r in rows.collect())
