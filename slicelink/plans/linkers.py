@@ -253,7 +253,7 @@ class DenseLinker:
 
         k, n = self.k, self.block
         parts = {name: max(1, -(-df.count() // n)) for name, df in (("qb", queries), ("vb", vectors))}
-        cells = lambda df, own, other: df.select(F.col(id_col).cast("long").alias("i"), F.col(vec_col).cast("array<double>").alias("v"), F.pmod(F.xxhash64(id_col), F.lit(parts[own])).alias(own), F.explode(F.sequence(F.lit(0), F.lit(parts[other] - 1))).alias(other))
+        cells = lambda df, own, other: df.select(F.col(id_col).cast("long").alias("i"), F.col(vec_col).cast("array<double>").alias("v"), F.pmod(F.xxhash64(id_col), F.lit(parts[own])).cast("int").alias(own), F.explode(F.sequence(F.lit(0), F.lit(parts[other] - 1))).alias(other))
         left, right = cells(queries, "qb", "vb"), cells(vectors, "vb", "qb")
 
         def top(a: pa.Table, b: pa.Table) -> pa.Table:
