@@ -24,3 +24,12 @@ def test_budgets_are_of_given_texts(spark, sf):
     m, rows = memory(1), queries.budget_caps(spark, sf)
     assert rows.inputFiles() and queries.budget_gate(spark, sf).inputFiles()
     assert all(r.cap == slicing.Budget.from_memory(r.budget_mb, 2, m, 100).cap for r in rows.collect())
+
+
+def test_levels_are_of_what_the_events_ask(spark, sf):
+    from slicelink.plans import queries
+
+    rows = queries.difficulty_levels(spark, sf)
+    assert any("events.parquet" in x for x in rows.inputFiles())
+    assert sorted(r.qid for r in rows.collect()) == sorted(r.event_id for r in spark.read.parquet(f"{sf}/events.parquet").select("event_id").collect())
+    assert {r.level for r in rows.select("level").distinct().collect()} > {"easy"}
