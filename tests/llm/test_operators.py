@@ -301,6 +301,66 @@ def test_passage_links_do_not_depend_on_batches():
     assert {x[:2] for x in got[0]} == {x[:2] for x in got[1]} == {x[:2] for x in got[2]}
 
 
+def test_passages_edited_whose_seeds_have_other_holders(spark):
+    p = prose(120, 50, 10**6).split()
+    parts = [" ".join(p[i : i + 24]) for i in range(0, 100, 4)]
+    edited = " ".join(w if i % 24 != 23 else "changed" for i, w in enumerate(p))
+    alone = lambda first, seed: [(first + i, f"{prose(40, seed + i, 10**6)} {x} {prose(40, seed + 500 + i, 10**6)}") for i, x in enumerate(parts)]
+    rows = [*alone(0, 2000), (100, prose(30, 51, 10**6) + " " + edited), *alone(200, 4000), (300, " ".join(p) + " " + prose(30, 52, 10**6))]
+    got = passages.passages(spark.createDataFrame(rows, "doc_id long, text string").repartition(3)).collect()
+    assert {(r.doc_id, r.source_id) for r in got} == {(300, 100)}
+    assert min(r.start for r in got) == 0 and max(r.end for r in got) >= len(" ".join(p[:119]))
+
+
+def test_passages_against_all_pairs(spark):
+    r = random.Random(62)
+    pool = [prose(r.randint(70, 160), 700 + i, 10**6).split() for i in range(8)]
+
+    def piece(w):
+        n = r.choice([22, 30, 44, 90])
+        at = r.randrange(max(1, len(w) - n))
+        rate = r.choice([0, 0.03, 0.08])
+        return [x for x in w[at : at + n] for x in ([x] if r.random() > rate else r.choice([[], ["new"], [x, "more"]]))]
+
+    made = [" ".join(x for _ in range(r.randint(1, 4)) for x in (*piece(r.choice(pool)), *prose(r.randint(5, 40), r.randrange(10**6), 10**6).split())) for _ in range(120)]
+    rows = list(enumerate(made))
+    covered = defaultdict(list)
+    for x in passages.passages(spark.createDataFrame(rows, "doc_id long, text string").repartition(3)).collect():
+        covered[x.doc_id].append((x.start, x.end))
+    words = Words(pa.array(made))
+    of = [(words.hash[a:z] >> np.uint64(32)).astype(np.uint32) for a, z in zip(words.first, words.first[1:], strict=False)]
+    held = [defaultdict(list) for _ in made]
+    for h, at in zip(*passages.minimizers(words), strict=True):
+        held[words.doc[at]][h].append(int(at - words.first[words.doc[at]]))
+    pairs = missed = 0
+    for d, t in rows:
+        span = [m.span() for m in re.finditer(WORD, t)]
+        for s in range(d):
+            both = [(b, held[s][h][0 if first else min(k, len(held[s][h]) - 1)]) for h in held[d].keys() & held[s].keys() for k, b in enumerate(held[d][h]) for first in (0, 1)]
+            for bs, as_, b_lo, b_hi, a_lo, a_hi in passages._promising([b for b, _ in both], [a for _, a in both]):
+                b0, b1, a0, a1, equal = passages.align([b - b_lo for b in bs], [a - a_lo for a in as_], of[d][b_lo:b_hi], of[s][a_lo:a_hi])
+                if b1 - b0 >= 50 and equal >= 0.8 * max(b1 - b0, a1 - a0):
+                    pairs += 1
+                    missed += sum(not any(x <= span[b][0] and span[b + 4][1] <= y for x, y in covered[d]) for b in bs)
+    assert pairs > 100 and missed == 0
+
+
+def test_passage_ranks_and_islands_do_not_depend_on_batches():
+    r = random.Random(63)
+    rows = sorted({(r.randrange(40), r.randrange(12), 7, r.randrange(3)) for _ in range(400)})
+    table = pa.table([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.int64(), pa.int32()), strict=True)], names=["h", "doc", "t", "pos"])
+    held = defaultdict(set)
+    for h, d, _, _ in rows:
+        held[h].add(d)
+    want = sorted((d, t, p, min(2, sum(x < d for x in held[h])), h) for h, d, t, p in rows if len(held[h]) > 1)
+    for n in (10**6, 7, 1):
+        ranked = pa.Table.from_batches(passages._ranked(table.to_batches(max_chunksize=n)))
+        assert sorted(zip(*(c.to_pylist() for c in ranked.columns), strict=True)) == want
+    ranked = ranked.sort_by([(c, "ascending") for c in ("doc", "t", "pos", "rank")]).combine_chunks()
+    islands = [[x.as_py() for b in passages._islands(ranked.to_batches(max_chunksize=n)) for x in b.to_struct_array()] for n in (10**6, 7, 1)]
+    assert islands[0] and islands[0] == islands[1] == islands[2]
+
+
 def test_passages_against_all_windows(spark, sf, docs, texts):
     held = defaultdict(set)
     for d, t in texts.items():
