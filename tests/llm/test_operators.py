@@ -345,6 +345,54 @@ def test_passages_against_all_pairs(spark):
     assert pairs > 100 and missed == 0
 
 
+def test_passages_runs_of_repeated_words_are_covered(spark):
+    r = random.Random(64)
+    rows = [(i, " ".join(x for _ in range(r.randint(2, 5)) for x in (*[r.choice(["the", "of"])] * r.choice([20, 55, 63, 110, 170]), *prose(r.randint(1, 9), r.randrange(10**6), 10**6).split()))) for i in range(40)]
+    covered, seen, need = defaultdict(list), {}, 0
+    for x in passages.passages(spark.createDataFrame(rows, "doc_id long, text string").repartition(3)).collect():
+        covered[x.doc_id].append((x.start, x.end))
+    for d, t in rows:
+        w = [m.span() for m in re.finditer(WORD, t)]
+        for i in range(len(w) - 49):
+            if seen.setdefault(tuple(t[a:z] for a, z in w[i : i + 50]), d) != d:
+                need += 1
+                assert any(a <= w[i][0] and w[i + 49][1] <= z for a, z in covered[d])
+    assert need > 1000
+
+
+def test_passages_of_a_common_stretch_are_not_paired_with_all_its_holders(spark):
+    stretch, after = prose(36, 65, 10**6), prose(30, 66, 10**6).split()
+    goes_on = {7: " ".join(after), 40: " ".join(["changed", *after[1:]])}
+    rows = [(i, f"{prose(40, 5000 + i, 10**6)} {x} {goes_on.get(i, '')} {prose(40, 6000 + i, 10**6)}") for i in range(60) for x in (stretch if i % 2 else " ".join(["of"] * (20 + i // 2)),)]
+    rows[40] = (40, f"{prose(40, 5040, 10**6)} {stretch} {goes_on[40]} {prose(40, 6040, 10**6)}")
+    texts = spark.createDataFrame(rows, "doc long, t string")
+    got = passages._left_open(texts, spark.createDataFrame([], passages.FOUND), 3).collect()
+    assert {(x.doc, x.src) for x in got} == {(40, 7)}
+
+
+def test_passage_words_around_a_seed_large_groups_as_small_ones():
+    r = random.Random(67)
+    base = [r.randrange(30) for _ in range(128)]
+
+    def around():
+        left, right = r.randint(0, 30), r.randint(5, 30)
+        w = [x if 64 - left <= i < 64 + right or (r.random() < 0.8 and i % 7) else r.randrange(30) for i, x in enumerate(base)][r.choice([0, 20, 50]) :]
+        return np.uint32(len(w) - 64).tobytes() + np.array(w, np.uint32).tobytes()
+
+    words = [around() for _ in range(150)]
+    doc, loose = np.arange(150) // 2, np.array([r.random() < 0.6 for _ in range(150)])
+    small, large = ({(int(a), int(b)) for x, y in passages._going_on(doc, loose, words, n) for a, b in zip(x, y, strict=True)} for n in (10**6, 0))
+    of = [np.frombuffer(w, np.uint32) for w in words]
+    need = set()
+    for x in range(150):
+        for y in range(150):
+            sides = [(w[1 : 1 + w[0]][::-1], w[1 + w[0] :]) for w in (of[x], of[y])]
+            verbatim = sum(next((i for i, (u, v) in enumerate(zip(a, b, strict=False)) if u != v), min(len(a), len(b))) for a, b in zip(*sides, strict=True))
+            if loose[x] and doc[y] < doc[x] and verbatim < 50 and sum(passages.reach(a, b)[0] for a, b in zip(*sides, strict=True)) >= 50:
+                need.add((x, y))
+    assert len(need) > 20 and need <= large <= small
+
+
 def test_passage_ranks_and_islands_do_not_depend_on_batches():
     r = random.Random(63)
     rows = sorted({(r.randrange(40), r.randrange(12), 7, r.randrange(3)) for _ in range(400)})
